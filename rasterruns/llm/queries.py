@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from rasterruns.llm import bpe, chat_windows, mixing, resharding
+from rasterruns.llm import bpe, chat_windows, embedding_join, mixing, resharding, vector_file
 from rasterruns.llm.common import table
 
 
@@ -14,6 +15,14 @@ def op1_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip_digests(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
 
 
+def op3_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embedding_join.near_duplicates(table(spark, sf_dir, "embeddings"))
+
+
+def op4_vector_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return vector_file.search(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 50 == 0)
+
+
 def op5_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return resharding.reshard(table(spark, sf_dir, "documents"))
 
@@ -30,7 +39,7 @@ def op9_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_byte_bpe, op5_sharding, op6_chat_windows, op9_source_mixing)}
+    return {f.__name__: f for f in (op1_byte_bpe, op3_embedding_dedup, op4_vector_search, op5_sharding, op6_chat_windows, op9_source_mixing)}
 
 
 def oracle_sql() -> dict[str, str]:
