@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rasterruns.llm import bpe, chat_windows, embedding_join, mixing, resharding, vector_file
+from rasterruns.llm import bpe, chat_windows, embedding_join, mixing, resharding, suffix_dedup, vector_file
 from rasterruns.llm.common import table
 
 
@@ -34,12 +34,16 @@ def op6_chat_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat_windows.conversation_digests(chat_windows.format_windows(turns.union(probe)))
 
 
+def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.removal_digests(table(spark, sf_dir, "documents"))
+
+
 def op9_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_byte_bpe, op3_embedding_dedup, op4_vector_search, op5_sharding, op6_chat_windows, op9_source_mixing)}
+    return {f.__name__: f for f in (op1_byte_bpe, op3_embedding_dedup, op4_vector_search, op5_sharding, op6_chat_windows, op8_suffix_dedup, op9_source_mixing)}
 
 
 def oracle_sql() -> dict[str, str]:
