@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rasterruns.llm import bpe, chat_windows, embedding_join, mixing, resharding, suffix_dedup, vector_file
+from rasterruns.llm import bpe, chat_windows, embedding_join, minhash_dedup, mixing, resharding, suffix_dedup, vector_file
 from rasterruns.llm.common import table
 
 
@@ -15,6 +15,10 @@ def op1_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip_digests(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
 
 
+def op2_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minhash_dedup.near_duplicates(table(spark, sf_dir, "documents"), words=3, percent=85)
+
+
 def op3_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return embedding_join.near_duplicates(table(spark, sf_dir, "embeddings"))
 
@@ -43,7 +47,7 @@ def op9_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_byte_bpe, op3_embedding_dedup, op4_vector_search, op5_sharding, op6_chat_windows, op8_suffix_dedup, op9_source_mixing)}
+    return {f.__name__: f for f in (op1_byte_bpe, op2_minhash_dedup, op3_embedding_dedup, op4_vector_search, op5_sharding, op6_chat_windows, op8_suffix_dedup, op9_source_mixing)}
 
 
 def oracle_sql() -> dict[str, str]:
