@@ -66,8 +66,9 @@ def _rotation(rows: DataFrame, d: int, total: int) -> np.ndarray:
     share = min(1.0, FIT_ROWS / max(total, 1))
     sample = rows.where(F.pmod(F.xxhash64("rep"), F.lit(1 << 20)) <= int(share * (1 << 20))).select("v").limit(FIT_ROWS).toPandas()["v"].tolist()
     u = _unit([bytes(x) for x in sample], d) if sample else np.eye(d)
-    _, _, axes = np.linalg.svd(u - u.mean(axis=0), full_matrices=True)
-    return axes[: min(LEADING, d)].T.copy()
+    u = u - u.mean(axis=0)
+    _, axes = np.linalg.eigh(u.T @ u)  # ascending
+    return axes[:, ::-1][:, : min(LEADING, d)].copy()
 
 
 def _sequence(rows: DataFrame, d: int, axes: np.ndarray, eps: float) -> DataFrame:
