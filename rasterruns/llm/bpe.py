@@ -122,6 +122,11 @@ def _with_codec(df: DataFrame, rank_path: str, pattern: str):
     return df.sparkSession.sparkContext.broadcast((read_ranks(rank_path), pattern))
 
 
+def _lists(packed: list[bytes], sizes: np.ndarray) -> pa.ListArray:
+    offsets = pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32))
+    return pa.ListArray.from_arrays(offsets, pa.array(np.frombuffer(b"".join(packed), "<u4").astype(np.int32)))
+
+
 def encode(df: DataFrame, rank_path: str, pattern: str, key: str = "doc_id", text: str = "text") -> DataFrame:
     """``(key, ids array<int>, n_tokens long)`` for every row of ``df``."""
     shared = _with_codec(df, rank_path, pattern)
@@ -132,9 +137,7 @@ def encode(df: DataFrame, rank_path: str, pattern: str, key: str = "doc_id", tex
         for batch in batches:
             packed = [codec.encode(t) for t in batch.column(1).to_pylist()]
             sizes = np.array([len(p) // 4 for p in packed], np.int64)
-            offsets = pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32))
-            ids = pa.ListArray.from_arrays(offsets, pa.array(np.frombuffer(b"".join(packed), "<u4").astype(np.int32)))
-            yield pa.RecordBatch.from_arrays([batch.column(0), ids, pa.array(sizes)], names=["key", "ids", "n_tokens"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), _lists(packed, sizes), pa.array(sizes)], names=["key", "ids", "n_tokens"])
 
     return df.select(df[key].alias("key"), df[text].alias("text")).mapInArrow(run, schema).withColumnRenamed("key", key)
 
@@ -153,25 +156,33 @@ def decode(df: DataFrame, rank_path: str, key: str = "doc_id", ids: str = "ids")
     return df.select(df[key].alias("key"), df[ids].alias("ids")).mapInArrow(run, schema).withColumnRenamed("key", key)
 
 
-def round_trip_digests(df: DataFrame, rank_path: str, pattern: str, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """Encode, then decode what was encoded, keeping digests of both instead of the ids.
+def round_trip_digests(df: DataFrame, rank_path: str, pattern: str, key: str = "doc_id", text: str = "text", with_ids: bool = False) -> DataFrame:
+    """Encode, then decode what was encoded, keeping digests of both.
 
-    Columns: key, n_tokens, ids_sha256, decoded_sha256, n_bytes (of the decoded text).
+    Columns: key, n_tokens, ids_sha256, decoded_sha256, n_bytes (of the decoded
+    text) and, if asked for, ids (array).
     """
     shared = _with_codec(df, rank_path, pattern)
-    schema = T.StructType([T.StructField("key", df.schema[key].dataType), *(T.StructField(n, t()) for n, t in (("n_tokens", T.LongType), ("ids_sha256", T.StringType), ("decoded_sha256", T.StringType), ("n_bytes", T.LongType)))])
+    fields = [("n_tokens", T.LongType()), ("ids_sha256", T.StringType()), ("decoded_sha256", T.StringType()), ("n_bytes", T.LongType())]
+    if with_ids:
+        fields.append(("ids", T.ArrayType(T.IntegerType(), False)))
+    schema = T.StructType([T.StructField("key", df.schema[key].dataType), *(T.StructField(*f) for f in fields)])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = Codec(*shared.value)
         for batch in batches:
-            n, ids, back, size = [], [], [], []
+            packs, ids, back, size = [], [], [], []
             for value in batch.column(1):
                 packed = codec.encode(value.as_py())
                 plain = codec.decode(packed)
-                n.append(len(packed) // 4)
-                ids.append(hashlib.sha256(packed).hexdigest())
+                packs.append(packed if with_ids else b"")
+                ids.append((len(packed) // 4, hashlib.sha256(packed).hexdigest()))
                 back.append(hashlib.sha256(plain).hexdigest())
                 size.append(len(plain))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(ids, pa.string()), pa.array(back, pa.string()), pa.array(size, pa.int64())], names=["key", "n_tokens", "ids_sha256", "decoded_sha256", "n_bytes"])
+            n = np.array([x[0] for x in ids], np.int64)
+            columns = [batch.column(0), pa.array(n), pa.array([x[1] for x in ids], pa.string()), pa.array(back, pa.string()), pa.array(size, pa.int64())]
+            if with_ids:
+                columns.append(_lists(packs, n))
+            yield pa.RecordBatch.from_arrays(columns, names=["key", *(f[0] for f in fields)])
 
     return df.select(df[key].alias("key"), df[text].alias("text")).mapInArrow(run, schema).withColumnRenamed("key", key)

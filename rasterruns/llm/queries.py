@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rasterruns.llm import bpe, chat_windows, embedding_join, minhash_dedup, mixing, resharding, suffix_dedup, vector_file
+from rasterruns.llm import bpe, chat_windows, embedding_join, language_fusion, minhash_dedup, mixing, ordinal_quality, resharding, suffix_dedup, vector_file
 from rasterruns.llm.common import table
 
 
@@ -38,6 +38,10 @@ def op6_chat_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat_windows.conversation_digests(chat_windows.format_windows(turns.union(probe)))
 
 
+def op7_ordinal_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ordinal_quality.scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup.removal_digests(table(spark, sf_dir, "documents"))
 
@@ -46,8 +50,12 @@ def op9_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents"))
 
 
+def op10_language_fusion(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_fusion.identify(table(spark, sf_dir, "pages"), table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_byte_bpe, op2_minhash_dedup, op3_embedding_dedup, op4_vector_search, op5_sharding, op6_chat_windows, op8_suffix_dedup, op9_source_mixing)}
+    return {f.__name__: f for f in (op1_byte_bpe, op2_minhash_dedup, op3_embedding_dedup, op4_vector_search, op5_sharding, op6_chat_windows, op7_ordinal_quality, op8_suffix_dedup, op9_source_mixing, op10_language_fusion)}
 
 
 def oracle_sql() -> dict[str, str]:
