@@ -282,5 +282,7 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, key
 
 def without_near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, key: str = "doc_id", text: str = "text") -> DataFrame:
     """``documents`` less those that are not the first of their component; columns stay."""
-    gone = near_duplicates(documents, words, percent, key, text).where("not kept").select(F.col(key).alias("_gone")).distinct()
-    return documents.join(gone, documents[key].cast("long") == F.col("_gone"), "left_anti")
+    gone = near_duplicates(documents, words, percent, key, text).where("not kept").select(F.col(key).alias("gone")).distinct()
+    rows = documents.toDF(*[f"c{i}" for i in range(len(documents.columns))])
+    rest = rows.join(gone, F.col(f"c{documents.columns.index(key)}").cast("long") == F.col("gone"), "left_anti")
+    return rest.select(*[F.col(f"c{i}").alias(c) for i, c in enumerate(documents.columns)])

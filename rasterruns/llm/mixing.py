@@ -81,10 +81,15 @@ def mixed_documents(docs: DataFrame, source: str = "source", text: str = "text",
     A key that stands on several rows is told apart by row content, so copies
     follow the rows and not the key alone.
     """
-    chosen = mix(docs, source, text, key, **law).where("copies > 0").groupBy(F.col(key).alias("_k"), F.col(source).alias("_s"), F.col("size").alias("_z")).agg(F.sum("copies").alias("_all"), F.count(F.lit(1)).alias("_rows"))
-    same = docs.withColumn("_z2", word_count(docs[text]))
-    n = Window.partitionBy("_k", "_s", "_z").orderBy(F.xxhash64(*docs.columns))
-    joined = same.join(chosen, same[key].eqNullSafe(F.col("_k")) & same[source].eqNullSafe(F.col("_s")) & (F.col("_z2") == F.col("_z")))
-    joined = joined.withColumn("_i", F.when(F.col("_rows") > 1, F.row_number().over(n)).otherwise(F.lit(1)))
-    times = F.floor(F.col("_all") * F.col("_i") / F.col("_rows")) - F.floor(F.col("_all") * (F.col("_i") - 1) / F.col("_rows"))
-    return joined.withColumn("_t", F.explode(F.sequence(F.lit(1), times.cast("int")))).where(times > 0).select(*[docs[c] for c in docs.columns])
+    names = docs.columns
+    rows = docs.toDF(*[f"c{i}" for i in range(len(names))])
+    k, s, t = (f"c{names.index(c)}" for c in (key, source, text))
+    taken = mix(rows, s, t, k, **law).where("copies > 0").groupBy(F.col(k).alias("mk"), F.col(s).alias("ms"), F.col("size").alias("mz"))
+    taken = taken.agg(F.sum("copies").alias("all"), F.count(F.lit(1)).alias("rows"))
+    rows = rows.withColumn("z", word_count(F.col(t)))
+    joined = rows.join(taken, F.col(k).eqNullSafe(F.col("mk")) & F.col(s).eqNullSafe(F.col("ms")) & (F.col("z") == F.col("mz")))
+    alike = F.row_number().over(Window.partitionBy("mk", "ms", "mz").orderBy(F.xxhash64(*rows.columns)))
+    joined = joined.withColumn("i", alike)
+    times = F.floor(F.col("all") * F.col("i") / F.col("rows")) - F.floor(F.col("all") * (F.col("i") - 1) / F.col("rows"))
+    out = joined.withColumn("times", times.cast("int")).where("times > 0").withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("times"))))
+    return out.select(*[F.col(f"c{i}").alias(c) for i, c in enumerate(names)])

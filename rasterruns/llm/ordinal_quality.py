@@ -5,9 +5,11 @@ by all grades and ordered thresholds cut its score, so P(grade <= k) is the
 logistic of threshold k less the score; this gives an expected grade and the
 tail probability of the top grade, by which documents are selected.
 
-Features are hashed into a table of fixed size: the presence of each word, the
-share of each token shape (letter case, digits and trailing symbols) and the
-level of word variety at the text's length.  The whole text counts.
+Features are hashed into a table of fixed size: words, their beginnings and
+token shapes (letter case, digits and trailing symbols), each by the square
+root of its share of the text's tokens, so is the share of tokens that repeat
+the one before, and the level of word variety at the
+text's length.  The whole text counts.
 
 Training takes labelled documents chosen by a hash of the id, at most
 ``max_rows`` of them (a documented bound of the fit only); their features, not
@@ -24,6 +26,8 @@ from __future__ import annotations
 import re
 from collections import Counter
 from collections.abc import Iterator
+from itertools import islice
+from operator import eq
 
 import numpy as np
 import pyarrow as pa
@@ -35,7 +39,9 @@ MAX_ROWS = 16_000
 CUTOFF = 0.5
 #: Tokens remembered by one task at most.
 CACHE_TOKENS = 600_000
-_SHARE = 12.0
+_SCALE = 6.0
+#: Lengths of the word beginnings that count besides the whole word (99).
+_PREFIXES = (99, 5, 6, 7, 8)
 _WORD = re.compile(r"[^\W\d_]+")
 _RUNS = re.compile(r"(.)\1+")
 
@@ -47,10 +53,10 @@ def _slot(name: str) -> int:
 
 
 class Features(dict):
-    """Maps a token to (slots of its words, slot of its shape)."""
+    """Maps a token to (slots of its words and their beginnings, slot of its shape)."""
 
     def __missing__(self, token: str) -> tuple[tuple[int, ...], int]:
-        words = tuple(_slot("w:" + w) for w in _WORD.findall(token.lower()))
+        words = tuple(_slot(f"{n}:{w[:n]}") for w in _WORD.findall(token.lower()) for n in _PREFIXES if n == 99 or len(w) > n)
         case = "U" if token.isupper() and len(token) > 1 else "l"
         shape = _RUNS.sub(r"\1+", re.sub(r"[^\W\d_]+", case, re.sub(r"\d+", "9", token)))
         if len(self) >= CACHE_TOKENS:
@@ -60,17 +66,20 @@ class Features(dict):
 
     def of(self, text: str | None) -> dict[int, float]:
         """Slots and values of a text; empty for a text without tokens."""
-        counts = Counter((text or "").split())
-        n = sum(counts.values())
+        tokens = (text or "").split()
+        counts, n = Counter(tokens), len(tokens)
         if not n:
             return {}
         out: dict[int, float] = {}
-        share = _SHARE / n
         for token, c in counts.items():
             words, shape = self[token]
             for w in words:
-                out[w] = 1.0
-            out[shape] = out.get(shape, 0.0) + share * c
+                out[w] = out.get(w, 0.0) + c
+            out[shape] = out.get(shape, 0.0) + c
+        scale = _SCALE / n**0.5
+        if again := sum(map(eq, tokens, islice(tokens, 1, None))):
+            out[_slot("r:")] = again
+        out = {k: scale * c**0.5 for k, c in out.items()}
         out[_slot(f"v:{int(10 * len(counts) / n)}:{n.bit_length()}")] = 1.0
         return out
 
@@ -97,7 +106,7 @@ class Model:
         return np.diff(edge, axis=1)
 
 
-def train(slots: np.ndarray, values: np.ndarray, rows: np.ndarray, grades: np.ndarray, levels: int, steps: int = 220, rate: float = 0.15, ridge: float = 2e-3, least_rows: int = 3) -> Model:
+def train(slots: np.ndarray, values: np.ndarray, rows: np.ndarray, grades: np.ndarray, levels: int, steps: int = 220, rate: float = 0.15, ridge: float = 5e-4, least_rows: int = 5) -> Model:
     """Maximum likelihood with a ridge, by full-batch Adam; ``rows`` ascend and index ``grades``."""
     n = len(grades)
     seen = np.bincount(slots, minlength=1 << BITS)
