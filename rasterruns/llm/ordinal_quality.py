@@ -35,7 +35,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 BITS = 18
-MAX_ROWS = 16_000
+MAX_ROWS = 6_000
 CUTOFF = 0.5
 #: Tokens remembered by one task at most.
 CACHE_TOKENS = 600_000
@@ -114,7 +114,7 @@ def train(slots: np.ndarray, values: np.ndarray, rows: np.ndarray, grades: np.nd
     index = np.full(1 << BITS, -1)
     index[used] = np.arange(len(used))
     keep = index[slots] >= 0
-    slots, values, rows = index[slots[keep]], values[keep], rows[keep]
+    slots, values, rows = index[slots[keep]], values[keep].astype(np.float64), rows[keep].astype(np.intp)
     w = np.zeros(len(used))
     below = np.cumsum(np.bincount(grades, minlength=levels))[:-1] / n
     cut = np.log(np.clip(below, 1e-3, 1 - 1e-3) / np.clip(1 - below, 1e-3, 1 - 1e-3))
@@ -170,10 +170,11 @@ def fit(docs: DataFrame, ratings: DataFrame, key: str = "doc_id", text: str = "t
     got = rows.mapInArrow(run, f"k {kind}, grade int, slots binary, values binary").toPandas().sort_values("k", kind="stable")
     if not len(got):
         return None
-    slots = [np.frombuffer(x, np.int32) for x in got["slots"]]
-    row = np.repeat(np.arange(len(got)), [len(s) for s in slots])
+    slots = np.frombuffer(b"".join(got.pop("slots")), np.int32)
+    values = np.frombuffer(b"".join(got["values"]), np.float32)
+    row = np.repeat(np.arange(len(got), dtype=np.int32), [len(x) // 4 for x in got.pop("values")])
     grades = got["grade"].to_numpy(np.int64)
-    return train(np.concatenate(slots), np.concatenate([np.frombuffer(x, np.float32) for x in got["values"]]).astype(np.float64), row, grades, max(2, int(grades.max()) + 1))
+    return train(slots, values, row, grades, max(2, int(grades.max()) + 1))
 
 
 def _scored(docs: DataFrame, model: Model, text: str) -> DataFrame:
