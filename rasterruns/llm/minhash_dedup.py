@@ -11,7 +11,8 @@ nothing).  Equal sets are one node from the start.
 3. Buckets whose members still lie in several components get a better centre
    (the member that shares most buckets), and then all remaining pairs of
    members from different components are compared: small buckets by a self-join
-   on the bucket, large ones in blocks of signatures.  So a pair is skipped only
+   on the bucket, large ones in blocks of full sets, whose tasks return just the
+   links that join components.  So a pair is skipped only
    if its members are connected already.
 4. Components by alternating large-star and small-star; the smallest id of a
    component is kept.
@@ -39,9 +40,9 @@ from rasterruns.llm.components import connected_components
 BANDS, ROWS = 32, 5
 #: A pair whose estimate falls short by more than this (some five standard errors) isn't read in full.
 MARGIN = 0.13
-#: Members of a bucket up to which its pairs come from a self-join, and of a signature block beyond.
+#: Members of a bucket up to which its pairs come from a self-join, and bytes of sets in a block beyond.
 SMALL_BUCKET = 48
-BLOCK = 512
+BLOCK_BYTES = 8 << 20
 #: Words remembered by one task at most.
 CACHE_WORDS = 1_000_000
 _U = np.uint64
@@ -195,35 +196,72 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, nodes: DataFrame, words: int,
     return both.mapInArrow(run, "u long, v long")
 
 
-def _blocked_pairs(members: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
-    """Likely pairs from large buckets ``(band, n, node, comp)``, found between blocks of signatures.
+class _Union(dict):
+    """Components that a task has joined so far; a missing label stands for itself."""
+
+    def root(self, x: int) -> int:
+        while x in self:
+            x = self[x]
+        return x
+
+    def join(self, x: int, y: int) -> bool:
+        x, y = self.root(x), self.root(y)
+        if x != y:
+            self[max(x, y)] = min(x, y)
+        return x != y
+
+
+def _block_links(band: int, node: np.ndarray, comp: np.ndarray, left: np.ndarray, right: np.ndarray, same: bool, bands: np.ndarray, sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
+    """Links between components, enough to join them: pairs of the two sides whose first common band is this one."""
+    size = np.array([len(x) for x in sets], np.int64)
+    _, flat = np.unique(np.concatenate(sets), return_inverse=True)
+    ends = np.cumsum(size)
+    mark = np.zeros(int(flat.max()) + 1, bool)
+    values, counts = np.unique(comp, return_counts=True)
+    main = comp == values[counts.argmax()]
+    joined, out = _Union(), []
+    for p in np.flatnonzero(~main).tolist():
+        q = np.arange(len(node)) if same else right if left[p] else left
+        q = np.flatnonzero(q) if q.dtype == bool else q
+        q = q[(comp[q] != comp[p]) & (main[q] | (node[q] > node[p]))]
+        q = q[(100 * np.minimum(size[q], size[p]) >= percent * np.maximum(size[q], size[p]))]
+        q = q[bands[p][(bands[q] == bands[p]).argmax(axis=1)] == band] if len(q) else q
+        if not len(q):
+            continue
+        mine = flat[ends[p] - size[p] : ends[p]]
+        mark[mine] = True
+        at = np.repeat(ends[q] - np.cumsum(size[q]), size[q]) + np.arange(size[q].sum())
+        both = np.add.reduceat(mark[flat[at]].astype(np.int64), np.cumsum(size[q]) - size[q])
+        mark[mine] = False
+        for k in q[100 * both >= percent * (size[q] + size[p] - both)].tolist():
+            if joined.join(int(comp[p]), int(comp[k])):
+                out.append((int(node[p]), int(node[k])))
+    return out
+
 
-    A member goes to as many tasks as its bucket has blocks; a pair is reported
-    by the first band that both members share only.
+def _blocked_links(members: DataFrame, docs: DataFrame, nodes: DataFrame, words: int, percent: int) -> DataFrame:
+    """``(u, v)``: links that join the components of large buckets ``(band, node, comp)``.
+
+    A bucket is dealt into blocks by the bytes of its sets; a task compares two
+    blocks on full sets, so its memory is bounded, and returns at most one link
+    a component.
     """
-    least = percent / 100 - MARGIN
-    rows = members.join(nodes.select("node", "sketch", "bands"), "node").withColumn("blocks", F.ceil(F.col("n") / BLOCK))
+    full = materialize(_full_sets(docs, nodes, members.select("node").distinct(), words).dropDuplicates(["node"]))
+    rows = members.join(full, "node")
+    sizes = rows.groupBy("band").agg(F.ceil(F.sum(F.length("shingles")) / BLOCK_BYTES).alias("blocks"))
+    rows = rows.join(sizes, "band").join(nodes.select("node", "bands"), "node")
     rows = rows.withColumn("mine", F.pmod(F.xxhash64("node"), F.col("blocks"))).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    rows = rows.select("band", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "mine", "node", "comp", "sketch", "bands")
+    rows = rows.select("band", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "mine", "node", "comp", "shingles", "bands")
 
     def run(key, table):
         band, i, j = (k.as_py() for k in key)
         mine, node, comp = (table.column(c).to_numpy() for c in ("mine", "node", "comp"))
-        sketch = np.frombuffer(b"".join(table.column("sketch").to_pylist()), np.uint8).reshape(-1, BANDS * ROWS)
         bands = table.column("bands").combine_chunks().flatten().to_numpy().reshape(-1, BANDS)
-        left, right = np.flatnonzero(mine == i), np.flatnonzero(mine == j)
-        out = [np.zeros((0, 2), np.int64)]
-        for p in left.tolist():
-            q = right[(node[right] > node[p]) if i == j else slice(None)]
-            q = q[comp[q] != comp[p]]
-            q = q[(sketch[q] == sketch[p]).mean(axis=1) >= least]
-            if len(q):
-                q = q[bands[p][(bands[q] == bands[p]).argmax(axis=1)] == band]
-                out.append(np.stack([np.minimum(node[q], node[p]), np.maximum(node[q], node[p])], 1))
-        pairs = np.concatenate(out)
-        return pa.table({"a": pairs[:, 0], "b": pairs[:, 1]})
+        sets = [np.frombuffer(x.as_buffer(), _U) for x in table.column("shingles")]
+        links = _block_links(band, node, comp, mine == i, mine == j, i == j, bands, sets, percent)
+        return pa.table({"u": pa.array([x for x, _ in links], pa.int64()), "v": pa.array([y for _, y in links], pa.int64())})
 
-    return rows.groupBy("band", "i", "j").applyInArrow(run, "a long, b long")
+    return rows.groupBy("band", "i", "j").applyInArrow(run, "u long, v long")
 
 
 def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -266,8 +304,8 @@ def near_duplicates(documents: DataFrame, words: int = 5, percent: int = 80, key
         small = rest.where(F.col("n") <= SMALL_BUCKET)
         one, two = small.select("band", F.col("node").alias("a"), F.col("comp").alias("ca")), small.select("band", F.col("node").alias("b"), F.col("comp").alias("cb"))
         pairs = one.join(two, "band").where("a < b and ca <> cb").select("a", "b")
-        pairs = pairs.union(_blocked_pairs(rest.where(F.col("n") > SMALL_BUCKET), nodes, percent))
-        last = materialize(_confirmed(materialize(fresh(pairs)), docs, nodes, words, percent))
+        last = _confirmed(materialize(fresh(pairs)), docs, nodes, words, percent)
+        last = materialize(last.union(_blocked_links(rest.where(F.col("n") > SMALL_BUCKET).select("band", "node", "comp"), docs, nodes, words, percent)))
         if last.limit(1).count():
             links = links.union(last)
             component = materialize(connected_components(links))

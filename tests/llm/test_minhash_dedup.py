@@ -43,10 +43,10 @@ def test_whole_table_equals_all_pairs(spark, sf_dir):
     assert got == brute([(r.doc_id, r.text) for r in docs.collect()], 3, 85)
 
 
-@pytest.mark.parametrize("small,block", [(48, 512), (2, 8)])
+@pytest.mark.parametrize("small,block", [(48, 8 << 20), (2, 4000)])
 def test_families_and_hard_cases(spark, monkeypatch, small, block):
     monkeypatch.setattr(minhash_dedup, "SMALL_BUCKET", small)
-    monkeypatch.setattr(minhash_dedup, "BLOCK", block)
+    monkeypatch.setattr(minhash_dedup, "BLOCK_BYTES", block)
     rnd = random.Random(8)
     word = lambda: "".join(rnd.choice("abcdefg") for _ in range(3))
     rows = []
