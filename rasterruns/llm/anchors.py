@@ -101,12 +101,13 @@ def pieces(texts: list[bytes]) -> Iterator[tuple[list[int], list[int], list[byte
         yield numbers, starts, parts
 
 
-def find(parts: list[bytes]) -> tuple[np.ndarray, ...]:
+def find(parts: list[bytes], stretches: bool = True) -> tuple[np.ndarray, ...]:
     """Anchors of pieces: piece number, position in the piece, longest and shortest lead, anchor hash, stretch hash.
 
     Every SPAN-byte window belongs to the one anchor it picks.  The windows of
     an anchor start ``longest`` to ``shortest`` bytes before it; together they
-    are its stretch.  The stretch hash tells equal texts with unlike leads apart.
+    are its stretch.  The stretch hash tells equal texts with unlike leads apart.  Without
+    ``stretches`` only the piece numbers and anchor hashes are meant.
     """
     lengths = np.array([len(p) for p in parts], np.int64)
     buf = np.frombuffer(b"".join(parts), np.uint8)
@@ -121,6 +122,8 @@ def find(parts: list[bytes]) -> tuple[np.ndarray, ...]:
         last = np.append(first[1:], len(at)) - 1
         lo, hi, at = window[first], window[last] + SPAN, at[first]
         piece = np.searchsorted(ends, at, "right")
+        if not stretches:
+            return piece, at, at, at, g[at], at
         up, down = _power_pair(max(len(buf) + 1, _CHUNK + 4 * _OVERLAP))
         total = np.concatenate([np.zeros(1, _U), np.cumsum(_TC[buf] * up[: len(buf)])])
         longest, shortest = at - lo, at - (hi - SPAN)
@@ -138,8 +141,8 @@ def unpack(packed: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return packed >> 10, (packed >> 5) & 31, packed & 31
 
 
-def anchor_batch(texts: list[bytes]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+def anchor_batch(texts: list[bytes], stretches: bool = True) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
     """``(text number, packed place, anchor hash, stretch hash)`` of a batch of texts, hashes as signed."""
     for numbers, starts, parts in pieces(texts):
-        piece, at, longest, shortest, h, c = find(parts)
+        piece, at, longest, shortest, h, c = find(parts, stretches)
         yield np.array(numbers, np.int64)[piece], pack(np.array(starts, np.int64)[piece] + at, longest, shortest), h.view(np.int64), c.view(np.int64)

@@ -59,7 +59,9 @@ def _texts(column: pa.Array) -> list[list[bytes]]:
     return [[(t or "").encode() for t in ts] for ts in column.to_pylist()]
 
 
-def _anchors(grouped: DataFrame) -> DataFrame:
+def _anchors(grouped: DataFrame, places: bool) -> DataFrame:
+    """``(h, doc)`` of every anchor, with the stretch hash ``c`` and the place ``at`` if asked for."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids = batch.column(0).to_numpy()
@@ -67,11 +69,13 @@ def _anchors(grouped: DataFrame) -> DataFrame:
             flat = [t for ts in many for t in ts]
             owner = np.array([i for i, ts in enumerate(many) for _ in ts], np.int64)
             part = np.array([j for ts in many for j in range(len(ts))], np.int64)
-            for number, place, h, c in anchors.anchor_batch(flat):
-                shift = part[number] * _GAP
-                yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(c), pa.array(ids[owner[number]]), pa.array(place + (shift << 10))], names=["h", "c", "doc", "at"])
+            for number, place, h, c in anchors.anchor_batch(flat, places):
+                columns = [pa.array(h), pa.array(ids[owner[number]])]
+                if places:
+                    columns += [pa.array(c), pa.array(place + (part[number] * _GAP << 10))]
+                yield pa.RecordBatch.from_arrays(columns, names=["h", "doc", "c", "at"][: len(columns)])
 
-    return grouped.mapInArrow(run, "h long, c long, doc long, at long")
+    return grouped.mapInArrow(run, "h long, doc long" + ", c long, at long" * places)
 
 
 def _stretches(grouped: DataFrame, places: DataFrame) -> DataFrame:
@@ -195,11 +199,10 @@ def _sorted_runs(stretches: DataFrame) -> DataFrame:
 def repeated_runs(docs: DataFrame, key: str = "doc_id", text: str = "text") -> tuple[DataFrame, DataFrame]:
     """``(runs, grouped)``: runs ``(doc, start, end)`` to remove, and the texts they stand in."""
     grouped = _grouped(docs, key, text)
-    found = _anchors(grouped)
-    hashes = found.groupBy("h").agg(F.min("doc").alias("a"), F.max("doc").alias("b")).where("a < b").select("h")
+    hashes = _anchors(grouped, False).groupBy("h").agg(F.min("doc").alias("a"), F.max("doc").alias("b")).where("a < b").select("h")
     hashes = materialize(hashes)
     # one row a key on the built side, so its partitions keep to their share
-    shared = materialize(found.join(hashes.hint("shuffle_hash"), "h"))
+    shared = materialize(_anchors(grouped, True).join(hashes.hint("shuffle_hash"), "h"))
     release(hashes)
     classes = materialize(shared.groupBy("h", "c").agg(F.min("doc").alias("least"), F.max("doc").alias("most")))
     several = classes.groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.min("least").alias("a"), F.max("least").alias("b")).where("n > 1 and a < b").select("h")
