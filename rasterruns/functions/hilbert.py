@@ -51,14 +51,15 @@ def hilbert_id(cx: Column, cy: Column, order: int) -> Column:
     x, y = cx.cast("long"), cy.cast("long")
 
     def step(s: Column, i: Column) -> Column:
-        bx, by = F.getbit(x, i).cast("int"), F.getbit(y, i).cast("int")
+        bx, by = F.getbit(s["x"], i).cast("int"), F.getbit(s["y"], i).cast("int")
         swap = s["w"] * bx.bitwiseXOR(by)
         rx, ry = bx.bitwiseXOR(swap).bitwiseXOR(s["f"]), by.bitwiseXOR(swap).bitwiseXOR(s["f"])
         d = s["d"] * 4 + (rx * 3).bitwiseXOR(ry)
         still = F.lit(1) - ry
-        return F.struct(d.alias("d"), s["f"].bitwiseXOR(still * rx).alias("f"), s["w"].bitwiseXOR(still).alias("w"))
+        return F.struct(d.alias("d"), s["f"].bitwiseXOR(still * rx).alias("f"), s["w"].bitwiseXOR(still).alias("w"), s["x"].alias("x"), s["y"].alias("y"))
 
-    return F.aggregate(_levels(order), F.struct(F.lit(0).cast("long").alias("d"), F.lit(0).alias("f"), F.lit(0).alias("w")), step, lambda s: s["d"])
+    # the operands travel in the state, so that nested expressions are evaluated once
+    return F.aggregate(_levels(order), F.struct(F.lit(0).cast("long").alias("d"), F.lit(0).alias("f"), F.lit(0).alias("w"), x.alias("x"), y.alias("y")), step, lambda s: s["d"])
 
 
 def hilbert_cell(hid: Column, order: int) -> Column:
@@ -66,15 +67,15 @@ def hilbert_cell(hid: Column, order: int) -> Column:
     h = hid.cast("long")
 
     def step(s: Column, i: Column) -> Column:
-        rx = F.getbit(h, i * 2 + 1).cast("int")
-        ry = F.getbit(h, i * 2).cast("int").bitwiseXOR(rx)
+        rx = F.getbit(s["h"], i * 2 + 1).cast("int")
+        ry = F.getbit(s["h"], i * 2).cast("int").bitwiseXOR(rx)
         a, b = rx.bitwiseXOR(s["f"]), ry.bitwiseXOR(s["f"])
         swap = s["w"] * a.bitwiseXOR(b)
         still = F.lit(1) - ry
-        return F.struct((s["cx"] * 2 + a.bitwiseXOR(swap)).alias("cx"), (s["cy"] * 2 + b.bitwiseXOR(swap)).alias("cy"), s["f"].bitwiseXOR(still * rx).alias("f"), s["w"].bitwiseXOR(still).alias("w"))
+        return F.struct((s["cx"] * 2 + a.bitwiseXOR(swap)).alias("cx"), (s["cy"] * 2 + b.bitwiseXOR(swap)).alias("cy"), s["f"].bitwiseXOR(still * rx).alias("f"), s["w"].bitwiseXOR(still).alias("w"), s["h"].alias("h"))
 
     zero = F.lit(0).cast("long")
-    return F.aggregate(_levels(order), F.struct(zero.alias("cx"), zero.alias("cy"), F.lit(0).alias("f"), F.lit(0).alias("w")), step, lambda s: F.struct(s["cx"].alias("cx"), s["cy"].alias("cy")))
+    return F.aggregate(_levels(order), F.struct(zero.alias("cx"), zero.alias("cy"), F.lit(0).alias("f"), F.lit(0).alias("w"), h.alias("h")), step, lambda s: F.struct(s["cx"].alias("cx"), s["cy"].alias("cy")))
 
 
 def coarsen_id(hid: Column, order: int, to: int) -> Column:
