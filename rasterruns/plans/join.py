@@ -5,7 +5,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from rasterruns.functions import lists
@@ -30,8 +30,8 @@ class JoinResult:
     def stats(self) -> DataFrame:
         """Candidates by verdict, with the share in basis points."""
         n = self.verdicts.groupBy("verdict").agg(F.count(F.lit(1)).alias("n"))
-        total = self.verdicts.agg(F.count(F.lit(1)).alias("total"))
-        return n.join(F.broadcast(total)).select("verdict", "n", F.floor(F.col("n") * 10000 / F.col("total")).cast("long").alias("bp"))
+        total = F.sum("n").over(Window.partitionBy(F.lit(0)))  # over one row a verdict
+        return n.select("verdict", "n", F.floor(F.col("n") * 10000 / total).cast("long").alias("bp"))
 
 
 def approximate_layer(layer: DataFrame, method: str, side: str, grid: GridSpec, construction: str = "onestep_neighbours", max_cells: int = 750, column: str = "ring") -> DataFrame | None:
