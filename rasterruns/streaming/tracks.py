@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
@@ -69,24 +69,29 @@ def filter_segments(segs: DataFrame, polygons: DataFrame, grid: GridSpec, stored
     return got.where("verdict <> 'miss'").select("rid", "sid", "verdict")
 
 
-def windowed_counts(stream: DataFrame, at: Column | str, keys: list[str], width: str, slide: str | None = None, late: str = "1 hour") -> DataFrame:
+def _timed(stream: DataFrame, at: str, late: str) -> DataFrame:
+    """The stream with its event time as a point in time, under a watermark."""
+    return stream.withColumn(at, F.col(at).cast("timestamp")).withWatermark(at, late)
+
+
+def windowed_counts(stream: DataFrame, at: str, keys: list[str], width: str, slide: str | None = None, late: str = "1 hour") -> DataFrame:
     """Counts by window and keys; rows later than ``late`` are dropped by the watermark."""
     w = F.window(at, width, slide) if slide else F.window(at, width)
-    return stream.withWatermark(at, late).groupBy(w, *keys).agg(F.count(F.lit(1)).alias("n"))
+    return _timed(stream, at, late).groupBy(w, *keys).agg(F.count(F.lit(1)).alias("n"))
 
 
 def session_counts(stream: DataFrame, at: str, keys: list[str], gap: str, late: str = "1 hour") -> DataFrame:
-    return stream.withWatermark(at, late).groupBy(*keys, F.session_window(at, gap)).agg(F.count(F.lit(1)).alias("n"))
+    return _timed(stream, at, late).groupBy(*keys, F.session_window(at, gap)).agg(F.count(F.lit(1)).alias("n"))
 
 
 def deduplicated(stream: DataFrame, at: str, keys: list[str], late: str = "1 hour") -> DataFrame:
     """The first of equal events within the watermark."""
-    return stream.withWatermark(at, late).dropDuplicatesWithinWatermark(keys)
+    return _timed(stream, at, late).dropDuplicatesWithinWatermark(keys)
 
 
 def follow_ups(stream: DataFrame, first: str, then: str, within: str = "10 minutes", late: str = "1 hour") -> DataFrame:
     """Stream-stream join: events of one type with those of another that follow within an interval."""
-    a = stream.where(F.col("event_type") == first).select("user_id", F.col("event_id").alias("first_id"), F.col("ts").alias("first_ts")).withWatermark("first_ts", late)
-    b = stream.where(F.col("event_type") == then).select(F.col("user_id").alias("then_user"), F.col("event_id").alias("then_id"), F.col("ts").alias("then_ts")).withWatermark("then_ts", late)
+    a = stream.where(F.col("event_type") == first).select("user_id", F.col("event_id").alias("first_id"), F.col("ts").cast("timestamp").alias("first_ts")).withWatermark("first_ts", late)
+    b = stream.where(F.col("event_type") == then).select(F.col("user_id").alias("then_user"), F.col("event_id").alias("then_id"), F.col("ts").cast("timestamp").alias("then_ts")).withWatermark("then_ts", late)
     near = F.expr(f"user_id = then_user AND then_ts >= first_ts AND then_ts <= first_ts + INTERVAL {within}")
     return a.join(b, near)
