@@ -23,15 +23,20 @@ _OVERLAP = 128
 _U = np.uint64
 
 
-def _table(seed: int) -> np.ndarray:
-    """256 mixed words, by rule from the seed."""
+def mixed(x: np.ndarray) -> np.ndarray:
+    """64-bit words, bits well spread."""
     with np.errstate(over="ignore"):
-        x = np.arange(1, 257, dtype=_U) * _U(0x9E3779B97F4A7C15) + _U(seed)
         x = (x ^ (x >> _U(30))) * _U(0xBF58476D1CE4E5B9)
         x = (x ^ (x >> _U(27))) * _U(0x94D049BB133111EB)
         return x ^ (x >> _U(31))
 
 
+def _table(seed: int) -> np.ndarray:
+    """256 mixed words, by rule from the seed."""
+    with np.errstate(over="ignore"):
+        return mixed(np.arange(1, 257, dtype=_U) * _U(0x9E3779B97F4A7C15) + _U(seed))
+
+
 _BASE, _BASE_C = 0xD6E8FEB86659FD93, 0xA0761D6478BD642F
 _T, _TC = _table(1), _table(2)
 _powers: dict = {}

@@ -99,8 +99,8 @@ def _stretches(grouped: DataFrame, places: DataFrame) -> DataFrame:
     return joined.mapInArrow(run, "h long, doc long, at long, stretch binary")
 
 
-def _shared_leads(h: np.ndarray, doc: np.ndarray, longest: np.ndarray, shortest: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Per stretch the longest and shortest lead whose windows may be shared (longest -1: none).
+def _shared_leads(h: np.ndarray, doc: np.ndarray, longest: np.ndarray, shortest: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Per stretch the longest and shortest lead whose windows may be shared (longest -1: none), and the hash of what they hold.
 
     ``rows``: the stretches as byte rows with their anchors in one column.  A
     step of leads passes if the bytes common to its windows occur with the same
@@ -124,7 +124,9 @@ def _shared_leads(h: np.ndarray, doc: np.ndarray, longest: np.ndarray, shortest:
             ok = has[order[np.repeat(many, np.diff(np.append(new, len(order))))]]
             far[ok] = np.maximum(far[ok], np.minimum(high, longest[ok]))
             near[ok] = np.minimum(near[ok], np.maximum(low, shortest[ok]))
-    return far, near
+        held = sums[np.arange(len(rows)), _WIDTH - np.minimum(near, BEFORE)] - sums[np.arange(len(rows)), BEFORE - np.maximum(far, 0)]
+        names = anchors.mixed(held ^ anchors.mixed(h.view(np.uint64) + ((far.astype(np.uint64) << np.uint64(8)) | near.astype(np.uint64))))
+    return far, near, names
 
 
 def shared_runs(h: np.ndarray, doc: np.ndarray, at: np.ndarray, stretches: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -136,10 +138,17 @@ def shared_runs(h: np.ndarray, doc: np.ndarray, at: np.ndarray, stretches: list[
     row = np.repeat(np.arange(len(stretches)), lengths)
     column = np.arange(len(flat)) - np.repeat(np.cumsum(lengths) - lengths, lengths) + (BEFORE - longest)[row]
     rows[row, column] = flat
-    far, near = _shared_leads(h, doc, longest, shortest, rows)
+    far, near, names = _shared_leads(h, doc, longest, shortest, rows)
     keep = np.flatnonzero(far >= 0)
     if not len(keep):
         return (np.zeros(0, np.int64),) * 3
+    # what is left of the stretches may be equal now: again the first document's goes on
+    order = keep[np.lexsort((doc[keep], names[keep]))]
+    head = np.flatnonzero(np.concatenate([[True], names[order[1:]] != names[order[:-1]]]))
+    later = doc[order] > np.repeat(doc[order[head]], np.diff(np.append(head, len(order))))
+    whole = order[later]
+    known = doc[whole], place[whole] - far[whole], place[whole] - near[whole] + SPAN
+    keep = np.sort(order[~later])
     far, near = far[keep], near[keep]
     size = SPAN + far - near + 1  # with a separator
     ends = np.cumsum(size)
@@ -156,13 +165,13 @@ def shared_runs(h: np.ndarray, doc: np.ndarray, at: np.ndarray, stretches: list[
     hit = order[docs > least]
     hit.sort()
     if not len(hit):
-        return (np.zeros(0, np.int64),) * 3
+        return known
     # neighbouring windows of one stretch make one run
     opens = np.concatenate([[True], (np.diff(hit) != 1) | (np.diff(owner[hit]) != 0)])
     a, b = hit[opens], hit[np.append(np.flatnonzero(opens)[1:], len(hit)) - 1]
     who = owner[a]
     start = place[keep[who]] - far[who] + within[a]
-    return doc[keep[who]], start, start + (b - a) + SPAN
+    return tuple(np.concatenate(x) for x in zip(known, (doc[keep[who]], start, start + (b - a) + SPAN), strict=True))
 
 
 def _sorted_runs(stretches: DataFrame) -> DataFrame:
