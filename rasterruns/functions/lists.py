@@ -66,6 +66,23 @@ def overlap(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray])
     return hit
 
 
+def probe_overlap(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray], at: np.ndarray) -> np.ndarray:
+    """Per row of ``a``: does it share an id with list ``at[row]`` of ``b``?  Lists of ``b`` are not copied."""
+    hit = np.zeros(len(a[1]) - 1, bool)
+    if not len(a[0]) or not len(b[0]):
+        return hit
+    bits = _bits(b, a)
+    row = np.repeat(np.arange(len(a[1]) - 1), np.diff(a[1]) // 2)
+    shift = at[row] << (bits + 1)
+    sa, ea = a[0][0::2] + shift, a[0][1::2] + shift
+    sb, eb, _ = _runs(b, bits)
+    first = np.searchsorted(eb, sa, "right")
+    ok = first < len(sb)
+    ok[ok] = sb[first[ok]] < ea[ok]
+    hit[row[ok]] = True
+    return hit
+
+
 def contained(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
     """Per row: does every run of ``a`` lie inside one run of ``b``?  (True for an empty ``a``.)"""
     n = len(a[1]) - 1
@@ -83,6 +100,24 @@ def contained(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]
     return out
 
 
+def probe_contained(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray], at: np.ndarray) -> np.ndarray:
+    """Per row of ``a``: does every run lie inside one run of list ``at[row]`` of ``b``?"""
+    out = np.ones(len(a[1]) - 1, bool)
+    if not len(a[0]):
+        return out
+    bits = _bits(b, a)
+    row = np.repeat(np.arange(len(a[1]) - 1), np.diff(a[1]) // 2)
+    if not len(b[0]):
+        out[row] = False
+        return out
+    shift = at[row] << (bits + 1)
+    sa, ea = a[0][0::2] + shift, a[0][1::2] + shift
+    sb, eb, _ = _runs(b, bits)
+    k = np.minimum(np.searchsorted(eb, ea, "left"), len(eb) - 1)
+    out[row[~((sb[k] <= sa) & (ea <= eb[k]))]] = False
+    return out
+
+
 def unit_runs(cells: tuple[np.ndarray, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     """Sorted ids as runs of length one."""
     values, offsets = cells

@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 
 from rasterruns.functions import codec, geometry, lists
 from rasterruns.operators.approximate import CODES, SWAP
+from rasterruns.operators.pairstage import pair_stage
 
 ORDERS = ("CC,CK,KC", "CC,KC,CK", "CK,KC,CC", "KC,CK,CC", "CK,CC,KC", "KC,CC,CK")
 _NAMES = np.array(["unsure", "hit", "miss"])
@@ -79,9 +80,51 @@ def _coded(batch: pa.RecordBatch, read: np.ndarray):
     return fetch
 
 
-def dual_filter(pairs: DataFrame, left: DataFrame, right: DataFrame, merge_order: str = "CC,CK,KC", compressed: bool = False, incremental: bool = False, order_left: int | None = None, order_right: int | None = None) -> DataFrame:
+def _grouped_dual(pairs: DataFrame, left: DataFrame, right: DataFrame, large: str, steps: str, compressed: bool, down: dict[str, int] | None) -> DataFrame:
+    """The dual filter with the larger side's lists sent once: they are searched by the runs of the smaller side's."""
+    ids = {"left": ("sid", "rid"), "right": ("rid", "sid")}[large]
+    small_side, large_side = ("s", "r") if large == "left" else ("r", "s")
+    tables = [t.select("tile_id", "oid", "cover", "core") for t in ((right, left) if large == "left" else (left, right))]
+
+    def kernel(own: pa.RecordBatch, table: pa.RecordBatch, at: np.ndarray) -> pa.RecordBatch:
+        n = own.num_rows
+        verdict, merges, read = np.full(n, -1), np.zeros(n, np.int64), np.zeros(n, np.int64)
+        cache: dict = {}
+
+        def big(name: str):
+            if name not in cache:
+                got = codec.decode(table.column(f"q_{name}")) if compressed else lists.flat(table.column(f"q_{name}"))
+                cache[name] = lists.coarsen(got, down[large_side]) if down else got
+            return cache[name]
+
+        def tiny(name: str, rows: np.ndarray):
+            column = own.column(f"p_{name}").take(pa.array(rows))
+            if compressed:
+                read[rows] += np.array([len(x) for x in column.to_pylist()], np.int64)
+                return codec.decode(column)
+            got = lists.flat(column)
+            return lists.coarsen(got, down[small_side]) if down else got
+
+        for step in steps.split(","):
+            rows = np.flatnonzero(verdict < 0)
+            if not len(rows):
+                break
+            names = dict(zip("rs", {"CC": ("cover", "cover"), "CK": ("cover", "core"), "KC": ("core", "cover")}[step], strict=True))
+            shared = lists.probe_overlap(tiny(names[small_side], rows), big(names[large_side]), at[rows])
+            merges[rows] += 1
+            verdict[rows[~shared] if step == "CC" else rows[shared]] = MISS if step == "CC" else HIT
+        verdict[verdict < 0] = UNSURE
+        return _result(own, verdict, merges, read)
+
+    return pair_stage(pairs, *tables, *ids, kernel, _OUT)
+
+
+def dual_filter(pairs: DataFrame, left: DataFrame, right: DataFrame, merge_order: str = "CC,CK,KC", compressed: bool = False, incremental: bool = False, order_left: int | None = None, order_right: int | None = None, large: str | None = None) -> DataFrame:
     """Intersection filter on dual runs.
 
+    ``large`` (left or right) names the side with the longer lists: these are
+    then sent once for all their pairs instead of with every pair.
+
     With unlike orders the finer side's cover is shifted down, and only the
     merge with the coarser side's core can prove a hit.  ``incremental``
     decodes compressed lists block by block inside the merge and stops early.
@@ -95,6 +138,9 @@ def dual_filter(pairs: DataFrame, left: DataFrame, right: DataFrame, merge_order
         down = {"r": order_left - low, "s": order_right - low}
         steps = ",".join(x for x in merge_order.split(",") if x != ("KC" if order_left > order_right else "CK"))
 
+    if large and not incremental:
+        return _grouped_dual(pairs, left, right, large, steps, compressed, down)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             n, read = batch.num_rows, np.zeros(batch.num_rows, np.int64)
@@ -130,18 +176,18 @@ def dual_within_filter(pairs: DataFrame, left: DataFrame, right: DataFrame, stri
     if order_left is not None and order_right is not None:
         down, up = max(0, order_left - order_right), max(0, order_right - order_left)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            r, s, k = (lists.flat(batch.column(c)) for c in ("r_cover", "s_cover", "s_core"))
-            r = lists.widen(lists.coarsen(r, down), up)
-            verdict = np.full(batch.num_rows, UNSURE)
-            verdict[lists.contained(r, k)] = HIT
-            verdict[~lists.overlap(r, s)] = MISS
-            if strict and not up:
-                verdict[~lists.contained(r, s)] = MISS
-            yield _result(batch, verdict)
+    def kernel(own: pa.RecordBatch, table: pa.RecordBatch, at: np.ndarray) -> pa.RecordBatch:
+        r = lists.widen(lists.coarsen(lists.flat(own.column("p_cover")), down), up)
+        s, k = (lists.flat(table.column(c)) for c in ("q_cover", "q_core"))
+        verdict = np.full(own.num_rows, UNSURE)
+        verdict[lists.probe_contained(r, k, at)] = HIT
+        verdict[~lists.probe_overlap(r, s, at)] = MISS
+        if strict and not up:
+            verdict[~lists.probe_contained(r, s, at)] = MISS
+        return _result(own, verdict)
 
-    return attach(pairs, left, right, ["cover"], ["cover", "core"]).mapInArrow(run, _OUT)
+    # the container has the longer lists
+    return pair_stage(pairs, left.select("tile_id", "oid", "cover"), right.select("tile_id", "oid", "cover", "core"), "rid", "sid", kernel, _OUT)
 
 
 def _gather(batch: pa.RecordBatch, side: str, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -305,17 +351,16 @@ def corner_hull_within(pairs: DataFrame, left: DataFrame, right: DataFrame) -> D
 
 
 def dual_line_filter(pairs: DataFrame, polygons: DataFrame, lines: DataFrame) -> DataFrame:
-    """Does a path (its cells) meet a polygon (its dual runs)?"""
+    """Does a path (its cells) meet a polygon (its dual runs)?  The polygon's lists are sent once."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            cells = lists.unit_runs(lists.flat(batch.column("s_cells")))
-            verdict = np.full(batch.num_rows, UNSURE)
-            verdict[lists.overlap(lists.flat(batch.column("r_core")), cells)] = HIT
-            verdict[~lists.overlap(lists.flat(batch.column("r_cover")), cells)] = MISS
-            yield _result(batch, verdict)
+    def kernel(own: pa.RecordBatch, table: pa.RecordBatch, at: np.ndarray) -> pa.RecordBatch:
+        cells = lists.unit_runs(lists.flat(own.column("p_cells")))
+        verdict = np.full(own.num_rows, UNSURE)
+        verdict[lists.probe_overlap(cells, lists.flat(table.column("q_core")), at)] = HIT
+        verdict[~lists.probe_overlap(cells, lists.flat(table.column("q_cover")), at)] = MISS
+        return _result(own, verdict)
 
-    return attach(pairs, polygons, lines, ["cover", "core"], ["cells"]).mapInArrow(run, _OUT)
+    return pair_stage(pairs, lines.select("oid", "cells"), polygons.select("tile_id", "oid", "cover", "core"), "sid", "rid", kernel, _OUT)
 
 
 def no_filter(pairs: DataFrame) -> DataFrame:

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -11,6 +9,7 @@ from pyspark.sql import functions as F
 
 from rasterruns.functions import geometry
 from rasterruns.operators.approximate import points
+from rasterruns.operators.pairstage import pair_stage
 
 #: predicate -> (test, column of the right side)
 TESTS = {
@@ -20,18 +19,25 @@ TESTS = {
 }
 
 
-def refine(pairs: DataFrame, left: DataFrame, right: DataFrame, predicate: str = "intersects") -> DataFrame:
-    """``(rid, sid)`` of the pairs for which the predicate holds."""
+def refine(pairs: DataFrame, left: DataFrame, right: DataFrame, predicate: str = "intersects", large: str | None = None) -> DataFrame:
+    """``(rid, sid)`` of the pairs for which the predicate holds.
+
+    ``large`` names the side with the longer rings, sent once for all their
+    pairs (by default the right one, or the polygons of a line join).
+    """
     test, column = TESTS[predicate]
-    r = left.select(F.col("oid").alias("rid"), F.col("ring").alias("r_points"))
-    s = right.select(F.col("oid").alias("sid"), F.col(column).alias("s_points"))
-    both = pairs.select("rid", "sid").join(r, "rid").join(s, "sid").select("rid", "sid", "r_points", "s_points")
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            (rp, ro), (sp, so) = points(batch.column(2)), points(batch.column(3))
-            ok = [test(rp[ro[i] : ro[i + 1]], sp[so[i] : so[i + 1]]) for i in range(batch.num_rows)]
-            keep = pa.array(np.array(ok, bool))
-            yield pa.RecordBatch.from_arrays([batch.column(0).filter(keep), batch.column(1).filter(keep)], names=["rid", "sid"])
-
-    return both.mapInArrow(run, "rid long, sid long")
+    r = left.select("oid", F.col("ring").alias("points"))
+    s = right.select("oid", F.col(column).alias("points"))
+    left_large = predicate == "line" if large is None else large == "left"
+
+    def kernel(own: pa.RecordBatch, table: pa.RecordBatch, at: np.ndarray) -> pa.RecordBatch:
+        (pp, po), (qp, qo) = points(own.column("p_points")), points(table.column("q_points"))
+        ok = np.zeros(own.num_rows, bool)
+        for i, k in enumerate(at.tolist()):
+            mine, other = pp[po[i] : po[i + 1]], qp[qo[k] : qo[k + 1]]
+            ok[i] = test(other, mine) if left_large else test(mine, other)
+        keep = pa.array(ok)
+        return pa.RecordBatch.from_arrays([own.column("rid").filter(keep), own.column("sid").filter(keep)], names=["rid", "sid"])
+
+    sides = (s, r, "sid", "rid") if left_large else (r, s, "rid", "sid")
+    return pair_stage(pairs.select("rid", "sid"), *sides, kernel, "rid long, sid long")

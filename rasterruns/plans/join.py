@@ -49,6 +49,12 @@ def approximate_layer(layer: DataFrame, method: str, side: str, grid: GridSpec,
     raise ValueError(f"unknown method {method}")
 
 
+def larger_side(left: DataFrame, right: DataFrame) -> str:
+    """The side whose objects have the longer boundaries on average (two rows reach the driver)."""
+    size = F.avg((F.col("xmax") - F.col("xmin") + F.col("ymax") - F.col("ymin")).cast("double"))
+    return "left" if (left.agg(size).first()[0] or 0.0) > (right.agg(size).first()[0] or 0.0) else "right"
+
+
 def guess_order(left: DataFrame, right: DataFrame) -> str:
     """A merge order from mean box areas (two rows reach the driver); ours, off by default."""
     area = F.avg((F.col("xmax") - F.col("xmin") + 1.0) * (F.col("ymax") - F.col("ymin") + 1.0))
@@ -82,7 +88,7 @@ def verdicts(pairs: DataFrame, left: DataFrame, right: DataFrame, predicate: str
             return filters.dual_within_filter(pairs, a, b, strict, order_left, order_right)
         return {"coded": filters.coded_within_filter, "local_raster": filters.local_raster_within, "corner_hull": filters.corner_hull_within}[method](pairs, a, b)
     if method.startswith("dual"):
-        return filters.dual_filter(pairs, a, b, merge_order, method == "dual_compressed", order_left=order_left, order_right=order_right)
+        return filters.dual_filter(pairs, a, b, merge_order, method == "dual_compressed", order_left=order_left, order_right=order_right, large=larger_side(left, right))
     return {"coded": filters.coded_filter, "local_raster": filters.local_raster_filter, "corner_hull": filters.corner_hull_filter}[method](pairs, a, b)
 
 
@@ -94,7 +100,8 @@ def finish(found: DataFrame, left: DataFrame, right: DataFrame, predicate: str)
     """
     found = materialize(found)
     hits = found.where("verdict = 'hit'").select("rid", "sid", F.lit("filter").alias("source"))
-    rest = refine(found.where("verdict = 'unsure'"), left, right, predicate).withColumn("source", F.lit("exact"))
+    large = larger_side(left, right) if predicate == "intersects" else None
+    rest = refine(found.where("verdict = 'unsure'"), left, right, predicate, large).withColumn("source", F.lit("exact"))
     return JoinResult(hits.unionByName(rest), found)
 
 
@@ -111,7 +118,7 @@ def partitioned_join(left: DataFrame, right: DataFrame, p: int = 2, order: int =
     boxes = materialize(raster_boxes([layer.withColumn("tile_id", F.explode(tiles.touched())) for layer in (left, right)], order))
     a, b = (approximate.build_dual(assign(layer, tiles, boxes), None, method) for layer in (left, right))
     pairs = mbr.mbr_join(left, right, "intersects", "tiled", tiles)
-    return finish(filters.dual_filter(pairs, a, b), left, right, "intersects")
+    return finish(filters.dual_filter(pairs, a, b, large=larger_side(left, right)), left, right, "intersects")
 
 
 def approximate_query(spark: SparkSession, ring: list[tuple[int, int]], grid: GridSpec = GridSpec()) -> DataFrame:
