@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rasterruns.llm import bpe, chat_windows, embedding_join, language_fusion, minhash_dedup, mixing, ordinal_quality, resharding, suffix_dedup, vector_file
+from rasterruns.llm import bpe, chat_windows, embedding_join, language_fusion, minhash_dedup, mixing, oracles, ordinal_quality, resharding, suffix_dedup, vector_file
 from rasterruns.llm.common import table
 
 
@@ -59,4 +59,5 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """The others are tested against brute force: SQL has no merges, flows, trained models or seeded hashes."""
+    return {"op2_minhash_dedup": oracles.OP2, "op3_embedding_dedup": oracles.OP3, "op4_vector_search": oracles.OP4, "op6_chat_windows": oracles.OP6}
