@@ -37,8 +37,10 @@ from rasterruns.llm.anchors import BEFORE, SPAN
 from rasterruns.llm.common import materialize, release
 from rasterruns.llm.suffix_array import suffix_array
 
-#: Stretch bytes that are suffix-sorted at once (whole anchor groups, so a group may exceed it).
+#: Stretch bytes that are filtered at once, and joined bytes that are suffix-sorted at once, small enough for a
+#: processor's cache (both in whole anchor groups, so a group may exceed them).
 SORT_BYTES = 1 << 18
+TEXT_BYTES = 1 << 13
 #: Leads whose windows are filtered together, by the bytes they all hold.
 _STEP = 4
 _WIDTH = BEFORE + SPAN
@@ -129,6 +131,18 @@ def _shared_leads(h: np.ndarray, doc: np.ndarray, longest: np.ndarray, shortest:
     return far, near, names
 
 
+def _stretches_of_groups(h: np.ndarray, ends: np.ndarray) -> list[tuple[int, int]]:
+    """Cut joined stretches between anchor groups into texts of about TEXT_BYTES."""
+    last = np.append(np.flatnonzero(np.diff(h)), len(h) - 1)
+    cuts = [0]
+    for e in ends[last].tolist():
+        if e - cuts[-1] >= TEXT_BYTES:
+            cuts.append(e)
+    if cuts[-1] < ends[-1]:
+        cuts.append(int(ends[-1]))
+    return list(zip(cuts[:-1], cuts[1:], strict=True))
+
+
 def shared_runs(h: np.ndarray, doc: np.ndarray, at: np.ndarray, stretches: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """``(doc, start, end)`` of the runs that each stretch shares with a smaller document's."""
     place, longest, shortest = anchors.unpack(at)
@@ -155,7 +169,7 @@ def shared_runs(h: np.ndarray, doc: np.ndarray, at: np.ndarray, stretches: list[
     owner = np.repeat(np.arange(len(keep)), size)
     within = np.arange(ends[-1]) - (ends - size)[owner]
     text = np.where(within == size[owner] - 1, 0, rows[keep[owner], np.minimum((BEFORE - far)[owner] + within, _WIDTH - 1)].astype(np.int64) + 1)
-    order = np.array(suffix_array(text), np.int64)
+    order = np.concatenate([a + np.array(suffix_array(text[a:b]), np.int64) for a, b in _stretches_of_groups(h[keep], ends)])
     order = order[(within[order] + SPAN) < size[owner[order]]]  # whole windows only
     windows = np.lib.stride_tricks.sliding_window_view(text.astype(np.uint16), SPAN)
     new = np.concatenate([[True], (windows[order[1:]] != windows[order[:-1]]).any(axis=1)])
