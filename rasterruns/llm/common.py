@@ -2,80 +2,21 @@
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from rasterruns.runtime import materialize, release
+
+__all__ = ["WORD_PATTERN", "materialize", "release", "salted_rank", "table"]
+
 #: Fixed value: the characters that separate words in every word contract (space, tab to carriage return).
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
-_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or a local one in local mode only."""
-    named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if named:
-        return named.rstrip("/")
-    if not spark.sparkContext.master.startswith("local"):
-        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-    return "file://" + tempfile.gettempdir() + "/checkpoints"
-
-
-def _delete(spark: SparkSession, path: str) -> None:
-    target = spark._jvm.org.apache.hadoop.fs.Path(path)
-    target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
-
-
-def materialize(df: DataFrame) -> DataFrame:
-    """Write ``df`` as Parquet into the shared folder and read it back.
-
-    Cuts the lineage at files that outlive any executor; the shuffle files of
-    the writing job are released when it ends.
-    """
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/cut-{uuid.uuid4().hex}"
-    before = spark.conf.get(_CLEANUP, None)
-    try:
-        spark.conf.set(_CLEANUP, "true")
-        df.write.parquet(path)
-    finally:
-        if before is None:
-            spark.conf.unset(_CLEANUP)
-        else:
-            spark.conf.set(_CLEANUP, before)
-    out = spark.read.schema(df.schema).parquet(path)
-    out._cut_path = path
-    _made.append((spark, path))
-    return out
-
-
-def release(*frames: DataFrame) -> None:
-    """Delete the files of materialised frames that nothing reads any more."""
-    for df in frames:
-        path = getattr(df, "_cut_path", None)
-        if path:
-            _delete(df.sparkSession, path)
-
-
-_made: list = []
-
-
-@atexit.register
-def _sweep() -> None:
-    for spark, path in _made:
-        try:
-            _delete(spark, path)
-        except Exception:  # the session has ended; its folder belongs to the cluster
-            return
-
-
 def salted_rank(df: DataFrame, group: list[str], order: list, bucket, name: str) -> DataFrame:
     """Add ``name``: gapless rank from 0 within ``group``, without one task per group.
 
@@ -93,11 +34,3 @@ def salted_rank(df: DataFrame, group: list[str], order: list, bucket, name: str)
     cond = [numbered[k].eqNullSafe(offsets[f"_k{i}"]) for i, k in enumerate(keys)]
     joined = numbered.join(offsets, cond, "inner")
     return joined.withColumn(name, (F.col("_rn") + F.col("_off")).cast("long")).drop("_part", "_rn", "_off", *[f"_k{i}" for i in range(len(keys))])
-
-
-def unique_name(df: DataFrame, wanted: str) -> str:
-    """``wanted``, or with underscores before it until no column clashes (letter case ignored)."""
-    taken = {c.lower() for c in df.columns}
-    while wanted.lower() in taken:
-        wanted = f"_{wanted}"
-    return wanted

@@ -10,7 +10,8 @@ so only stretches whose anchor hash stands in two documents can share a window.
 2. Equal stretches form a class; all its documents but the first lose the whole
    stretch, and only the first one's stretch goes on.  So a passage in a third
    of all documents goes on once.
-3. Different classes of one anchor hash meet in a task.  Their stretches are
+3. Different classes of one anchor hash meet in a task (an anchor with very many
+   classes is first dealt by longer strings around it).  Their stretches are
    cut to the windows whose inner bytes occur twice, joined, and suffix-sorted
    by grouping (suffix_array).  Neighbours in suffix order that agree on a whole
    window share it, and the least document among them keeps it.
@@ -41,20 +42,22 @@ from rasterruns.llm.suffix_array import suffix_array
 #: processor's cache (both in whole anchor groups, so a group may exceed them).
 SORT_BYTES = 1 << 18
 TEXT_BYTES = 1 << 13
+#: Classes of an anchor beyond which its stretches are dealt by finer hashes first.
+HOT = 4096
 #: Leads whose windows are filtered together, by the bytes they all hold.
 _STEP = 4
 _WIDTH = BEFORE + SPAN
 _GAP = 1 << 40  # between the texts of one id
 
 
-def _grouped(docs: DataFrame, key: str, text: str) -> DataFrame:
-    """``(doc, texts)``: one row per id; ids that stand once need no shuffle."""
+def _grouped(docs: DataFrame, key: str, text: str) -> tuple[DataFrame, bool]:
+    """``(doc, texts)``, one row per id, and whether ids repeat; ids that stand once need no shuffle."""
     rows = docs.where(docs[key].isNotNull()).select(docs[key].cast("long").alias("doc"), docs[text].alias("text"))
     ids = rows.select("doc").groupBy("doc").agg(F.count(F.lit(1)).alias("n"))
     repeats = ids.where("n > 1").limit(1).count()
     if not repeats:
-        return rows.select("doc", F.array("text").alias("texts"))
-    return rows.groupBy("doc").agg(F.array_sort(F.collect_set(F.coalesce("text", F.lit("")))).alias("texts"))
+        return rows.select("doc", F.array("text").alias("texts")), False
+    return rows.groupBy("doc").agg(F.array_sort(F.collect_set(F.coalesce("text", F.lit("")))).alias("texts")), True
 
 
 def _texts(column: pa.Array) -> list[list[bytes]]:
@@ -219,24 +222,68 @@ def _sorted_runs(stretches: DataFrame) -> DataFrame:
     return stretches.repartition("h").sortWithinPartitions("h").mapInArrow(run, "doc long, start long, end long")
 
 
-def repeated_runs(docs: DataFrame, key: str = "doc_id", text: str = "text") -> tuple[DataFrame, DataFrame]:
-    """``(runs, grouped)``: runs ``(doc, start, end)`` to remove, and the texts they stand in."""
-    grouped = _grouped(docs, key, text)
+def _split_hot(stretches: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Deal anchors with very many classes by the bytes that the windows of a lead step share.
+
+    Returns runs that are sure and the stretches, shorter and under finer
+    hashes, that go on.  Equal windows share anchor, step and inner bytes, so
+    none is lost; equal pieces are one class again before anything is sorted.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            h, doc, at = (batch.column(j).to_numpy() for j in range(3))
+            place, longest, shortest = anchors.unpack(at)
+            out_h, out_row, out_at, cut = [], [], [], []
+            for i, text in enumerate(batch.column(3).to_pylist()):
+                start = BEFORE - int(longest[i])
+                for low in range(0, BEFORE + 1, _STEP):
+                    high = min(low + _STEP - 1, BEFORE)
+                    a, b = min(high, int(longest[i])), max(low, int(shortest[i]))
+                    if a >= b:
+                        inner = text[BEFORE - low - start : _WIDTH - high - start]
+                        out_h.append(int.from_bytes(hashlib.blake2b(inner, digest_size=8, salt=int(h[i]).to_bytes(8, "big", signed=True) + bytes([low])).digest(), "big", signed=True))
+                        out_row.append(i)
+                        out_at.append(int(place[i]) << 10 | a << 5 | b)
+                        cut.append(text[BEFORE - a - start : _WIDTH - b - start])
+            yield pa.RecordBatch.from_arrays([pa.array(out_h, pa.int64()), pa.array(doc[np.array(out_row, np.int64)]), pa.array(out_at, pa.int64()), pa.array(cut, pa.binary())], names=["h", "doc", "at", "stretch"])
+
+    pieces = materialize(stretches.select("h", "doc", "at", "stretch").mapInArrow(run, "h long, doc long, at long, stretch binary"))
+    least = pieces.groupBy("h", "stretch").agg(F.min("doc").alias("least"))
+    marked = materialize(pieces.join(least, ["h", "stretch"]))
+    start, end = F.shiftright("at", 10) - F.shiftright("at", 5).bitwiseAND(31), F.shiftright("at", 10) - F.col("at").bitwiseAND(31) + SPAN
+    runs = marked.where("doc > least").select("doc", start.alias("start"), end.alias("end"))
+    return runs, marked.where("doc = least").select("h", "doc", "at", "stretch")
+
+
+def repeated_runs(docs: DataFrame, key: str = "doc_id", text: str = "text") -> tuple[DataFrame, DataFrame | None]:
+    """``(runs, grouped)``: runs ``(doc, start, end)`` to remove; the texts of each id, if ids repeat."""
+    grouped, repeated = _grouped(docs, key, text)
     hashes = _anchors(grouped, False).groupBy("h").agg(F.min("doc").alias("a"), F.max("doc").alias("b")).where("a < b").select("h")
     hashes = materialize(hashes)
     # one row a key on the built side, so its partitions keep to their share
     shared = materialize(_anchors(grouped, True).join(hashes.hint("shuffle_hash"), "h"))
     release(hashes)
     classes = materialize(shared.groupBy("h", "c").agg(F.min("doc").alias("least"), F.max("doc").alias("most")))
-    several = classes.groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.min("least").alias("a"), F.max("least").alias("b")).where("n > 1 and a < b").select("h")
+    several = classes.groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.min("least").alias("a"), F.max("least").alias("b")).where("n > 1 and a < b").select("h", (F.col("n") > HOT).alias("hot"))
+    several = materialize(several)
     known = classes.join(several.withColumn("several", F.lit(True)), "h", "left").where("least < most or several").withColumnRenamed("h", "kh").withColumnRenamed("c", "kc")
     placed = shared.join(known.hint("shuffle_hash"), (F.col("h") == F.col("kh")) & (F.col("c") == F.col("kc"))).where("doc > least or several")
-    placed = materialize(placed.select("h", "doc", "at", (F.col("doc") > F.col("least")).alias("later")))
+    placed = materialize(placed.select("h", "doc", "at", (F.col("doc") > F.col("least")).alias("later"), "hot"))
     release(shared, classes)
     whole = placed.where("later").select("doc", (F.shiftright("at", 10) - F.shiftright("at", 5).bitwiseAND(31)).alias("start"), (F.shiftright("at", 10) - F.col("at").bitwiseAND(31) + SPAN).alias("end"))
     firsts = placed.where("not later").select("h", "doc", "at")
-    sorted_runs = materialize(_sorted_runs(_stretches(grouped, firsts)))
-    return whole.unionByName(sorted_runs), grouped
+    hot = several.where("hot").select("h")
+    if hot.limit(1).count():
+        cut = materialize(_stretches(grouped, firsts))
+        hot = materialize(hot)
+        runs, rest = _split_hot(cut.join(hot, "h"))
+        whole = whole.unionByName(runs)
+        stretches = cut.join(hot, "h", "left_anti").unionByName(rest)
+    else:
+        stretches = _stretches(grouped, firsts)
+    sorted_runs = materialize(_sorted_runs(stretches))
+    return whole.unionByName(sorted_runs), grouped if repeated else None
 
 
 def _gaps(size: int, starts: np.ndarray, ends: np.ndarray) -> list[tuple[int, int]]:
@@ -263,7 +310,7 @@ def _cut(docs: DataFrame, key: str, text: str, digests: bool) -> DataFrame:
     rows = docs.withColumnsRenamed({c: f"d_{c}" for c in docs.columns})
     rows = rows.withColumn("doc", F.col(f"d_{key}").cast("long")).withColumn("text", F.col(f"d_{text}"))
     joined = rows.drop(f"d_{text}").join(by_doc, "doc", "left")
-    if "collect_set" in str(grouped._jdf.queryExecution().logical()):
+    if grouped is not None:
         joined = joined.join(grouped, "doc", "left").withColumn("part", F.greatest(F.expr(index) - 1, F.lit(0))).drop("texts")
     else:
         joined = joined.withColumn("part", F.lit(0).cast("long"))

@@ -4,6 +4,7 @@ import hashlib
 import random
 from collections import Counter
 
+import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
@@ -50,7 +51,9 @@ def test_whole_table_equals_brute_force(spark, sf_dir):
     assert got == brute([(r.doc_id, r.text) for r in docs.collect()])
 
 
-def test_hard_cases(spark, monkeypatch):
+@pytest.mark.parametrize("hot", [4096, 3])
+def test_hard_cases(spark, monkeypatch, hot):
+    monkeypatch.setattr(suffix_dedup, "HOT", hot)
     rnd = random.Random(3)
     word = lambda n: "".join(rnd.choice("abcdefgh é") for _ in range(n))
     passage, rows = word(400), []
