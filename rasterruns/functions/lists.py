@@ -143,13 +143,18 @@ def widen(lists: tuple[np.ndarray, np.ndarray], levels: int) -> tuple[np.ndarray
     return lists[0] << (2 * levels), lists[1]
 
 
-def overlapping_pairs(a, b) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """All overlapping run pairs of each row: (run of a, run of b, row), runs by flat number."""
+def overlapping_pairs(a, b, at: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """All overlapping run pairs of each row: (run of a, run of b, row), runs by flat number.
+
+    Row i of ``a`` meets list ``at[i]`` of ``b`` (its own number by default).
+    """
     if not len(a[0]) or not len(b[0]):
         z = np.zeros(0, np.int64)
         return z, z, z
-    bits = _bits(a, b)
-    sa, ea, row = _runs(a, bits)
+    bits = _bits(b, a)
+    row = np.repeat(np.arange(len(a[1]) - 1), np.diff(a[1]) // 2)
+    shift = (row if at is None else at[row]) << (bits + 1)
+    sa, ea = a[0][0::2] + shift, a[0][1::2] + shift
     sb, eb, _ = _runs(b, bits)
     lo, hi = np.searchsorted(eb, sa, "right"), np.searchsorted(sb, ea, "left")
     n = np.maximum(hi - lo, 0)

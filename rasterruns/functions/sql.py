@@ -61,9 +61,9 @@ def register(spark: SparkSession) -> None:
         return pd.Series(np.where(lists.overlap(r, s), out, "miss"))
 
     def coded_verdict(rr: pd.Series, rcode: pd.Series, sr: pd.Series, scode: pd.Series) -> pd.Series:
-        batch = pa.RecordBatch.from_arrays([*(lists.to_column(*_lists(x)) for x in (rr, sr)), pa.array(list(rcode), pa.binary()), pa.array(list(scode), pa.binary())], names=["r_runs", "s_runs", "r_code", "s_code"])
+        sides = [(lists.to_column(*_lists(runs)), pa.array(list(code), pa.binary())) for runs, code in ((rr, rcode), (sr, scode))]
         hit, some = np.zeros(len(rr), bool), np.zeros(len(rr), bool)
-        for row, r, s in filters._common_codes(batch):
+        for row, r, s in filters.common_codes(*sides):
             some[row] = True
             hit[row[(r & s) != 0]] = True
         return pd.Series(np.where(hit, "hit", np.where(some, "unsure", "miss")))

@@ -190,68 +190,71 @@ def dual_within_filter(pairs: DataFrame, left: DataFrame, right: DataFrame, stri
     return pair_stage(pairs, left.select("tile_id", "oid", "cover"), right.select("tile_id", "oid", "cover", "core"), "rid", "sid", kernel, _OUT)
 
 
-def _gather(batch: pa.RecordBatch, side: str, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def _bits_of(codes: pa.Array, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """All code bits of a side, and the first bit of each run."""
-    data = np.frombuffer(b"".join(batch.column(f"{side}_code").to_pylist()), np.uint8)
+    data = np.frombuffer(b"".join(codes.to_pylist()), np.uint8)
     start = np.concatenate([[0], np.cumsum((3 * (values[1::2] - values[0::2]) + 7) // 8)])
     return np.unpackbits(data), 8 * start
 
 
-def _common_codes(batch: pa.RecordBatch, at_once: int = 3_000_000):
-    """Codes of the cells that both run lists hold: yields (pair row of each cell, r codes, s codes)."""
-    r, s = lists.flat(batch.column("r_runs")), lists.flat(batch.column("s_runs"))
-    i, j, row = lists.overlapping_pairs(r, s)
-    (rb, r0), (sb, s0) = _gather(batch, "r", r[0]), _gather(batch, "s", s[0])
+def common_codes(a: tuple[pa.Array, pa.Array], b: tuple[pa.Array, pa.Array], at: np.ndarray | None = None, at_once: int = 3_000_000):
+    """Codes of the cells that both run lists hold: yields (row of each cell, a's codes, b's codes).
+
+    ``a``, ``b``: columns of runs and codes; row i of ``a`` meets row ``at[i]`` of ``b``.
+    """
+    r, s = lists.flat(a[0]), lists.flat(b[0])
+    i, j, row = lists.overlapping_pairs(r, s, at)
+    (rb, r0), (sb, s0) = _bits_of(a[1], r[0]), _bits_of(b[1], s[0])
     start = np.maximum(r[0][0::2][i], s[0][0::2][j])
     size = np.minimum(r[0][1::2][i], s[0][1::2][j]) - start
-    cum, a = np.cumsum(size), 0
-    while a < len(i):
-        b = max(a + 1, int(np.searchsorted(cum, (cum[a - 1] if a else 0) + at_once, "right")))
-        own = np.repeat(np.arange(a, b), size[a:b])
-        k = np.arange(len(own)) - np.repeat(np.cumsum(size[a:b]) - size[a:b], size[a:b])
+    cum, done = np.cumsum(size), 0
+    while done < len(i):
+        end = max(done + 1, int(np.searchsorted(cum, (cum[done - 1] if done else 0) + at_once, "right")))
+        own = np.repeat(np.arange(done, end), size[done:end])
+        k = np.arange(len(own)) - np.repeat(np.cumsum(size[done:end]) - size[done:end], size[done:end])
         out = []
         for bits, first, values, run in ((rb, r0, r[0], i), (sb, s0, s[0], j)):
-            at = first[run[own]] + 3 * (start[own] - values[0::2][run[own]] + k)
-            out.append(bits[at] << 2 | bits[at + 1] << 1 | bits[at + 2])
+            bit = first[run[own]] + 3 * (start[own] - values[0::2][run[own]] + k)
+            out.append(bits[bit] << 2 | bits[bit + 1] << 1 | bits[bit + 2])
         yield row[own], *out
-        a = b
+        done = end
 
 
-def coded_filter(pairs: DataFrame, left: DataFrame, right: DataFrame, same_side: bool = False) -> DataFrame:
+def coded_filter(pairs: DataFrame, left: DataFrame, right: DataFrame, same_side: bool = False, large: str = "right") -> DataFrame:
     """Intersection filter on coded runs: a common cell whose codes share a bit proves a hit.
 
-    ``same_side``: both lists carry left-hand codes; one side's are swapped on the way.
+    ``same_side``: both lists carry left-hand codes; one side's are swapped on
+    the way.  ``large`` names the side whose lists are sent once.
     """
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            hit, some = np.zeros(batch.num_rows, bool), np.zeros(batch.num_rows, bool)
-            for row, r, s in _common_codes(batch):
-                some[row] = True
-                hit[row[(r & (s ^ SWAP if same_side else s)) != 0]] = True
-            yield _result(batch, np.where(hit, HIT, np.where(some, UNSURE, MISS)))
+    def kernel(own: pa.RecordBatch, table: pa.RecordBatch, at: np.ndarray) -> pa.RecordBatch:
+        hit, some = np.zeros(own.num_rows, bool), np.zeros(own.num_rows, bool)
+        for row, p, q in common_codes((own.column("p_runs"), own.column("p_code")), (table.column("q_runs"), table.column("q_code")), at):
+            some[row] = True
+            hit[row[(p & (q ^ SWAP if same_side else q)) != 0]] = True
+        return _result(own, np.where(hit, HIT, np.where(some, UNSURE, MISS)))
 
-    return attach(pairs, left, right, ["runs", "code"]).mapInArrow(run, _OUT)
+    sides = (right, left, "sid", "rid") if large == "left" else (left, right, "rid", "sid")
+    return pair_stage(pairs, *(t.select("oid", "runs", "code") for t in sides[:2]), *sides[2:], kernel, _OUT)
 
 
 def coded_within_filter(pairs: DataFrame, left: DataFrame, right: DataFrame) -> DataFrame:
-    """Is r within s, on coded runs (left-hand codes on r, right-hand on s)?"""
+    """Is r within s, on coded runs (left-hand codes on r, right-hand on s)?  s's lists are sent once."""
     kinds = {side: np.zeros(8, np.int64) for side in "RS"}
     for side, table in CODES.items():
         for t, c in table.items():
             kinds[side][c] = t
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            r, s = lists.flat(batch.column("r_runs")), lists.flat(batch.column("s_runs"))
-            miss, full = ~lists.contained(r, s), np.ones(batch.num_rows, bool)
-            for row, rc, sc in _common_codes(batch):
-                rt, st = kinds["R"][rc], kinds["S"][sc]
-                miss[row[(rt == 3) & (st != 3) | (rt == 2) & (st == 1)]] = True
-                full[row[st != 3]] = False
-            yield _result(batch, np.where(miss, MISS, np.where(full, HIT, UNSURE)))
-
-    return attach(pairs, left, right, ["runs", "code"]).mapInArrow(run, _OUT)
+    def kernel(own: pa.RecordBatch, table: pa.RecordBatch, at: np.ndarray) -> pa.RecordBatch:
+        miss = ~lists.probe_contained(lists.flat(own.column("p_runs")), lists.flat(table.column("q_runs")), at)
+        full = np.ones(own.num_rows, bool)
+        for row, rc, sc in common_codes((own.column("p_runs"), own.column("p_code")), (table.column("q_runs"), table.column("q_code")), at):
+            rt, st = kinds["R"][rc], kinds["S"][sc]
+            miss[row[(rt == 3) & (st != 3) | (rt == 2) & (st == 1)]] = True
+            full[row[st != 3]] = False
+        return _result(own, np.where(miss, MISS, np.where(full, HIT, UNSURE)))
+
+    return pair_stage(pairs, left.select("oid", "runs", "code"), right.select("oid", "runs", "code"), "rid", "sid", kernel, _OUT)
 
 
 def upscale(pair: np.ndarray, cx: np.ndarray, cy: np.ndarray, kind: np.ndarray, levels: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

@@ -89,7 +89,9 @@ def verdicts(pairs: DataFrame, left: DataFrame, right: DataFrame, predicate: str
         return {"coded": filters.coded_within_filter, "local_raster": filters.local_raster_within, "corner_hull": filters.corner_hull_within}[method](pairs, a, b)
     if method.startswith("dual"):
         return filters.dual_filter(pairs, a, b, merge_order, method == "dual_compressed", order_left=order_left, order_right=order_right, large=larger_side(left, right))
-    return {"coded": filters.coded_filter, "local_raster": filters.local_raster_filter, "corner_hull": filters.corner_hull_filter}[method](pairs, a, b)
+    if method == "coded":
+        return filters.coded_filter(pairs, a, b, large=larger_side(left, right))
+    return {"local_raster": filters.local_raster_filter, "corner_hull": filters.corner_hull_filter}[method](pairs, a, b)
 
 
 def finish(found: DataFrame, left: DataFrame, right: DataFrame, predicate: str) -> JoinResult:
