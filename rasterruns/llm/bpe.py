@@ -22,6 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from rasterruns.llm.common import sliced
+
 #: Matches remembered by one task at most; the memory is emptied when it is full.
 CACHE_PIECES = 400_000
 _SHORT = 200
@@ -134,7 +136,7 @@ def encode(df: DataFrame, rank_path: str, pattern: str, key: str = "doc_id", tex
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = Codec(*shared.value)
-        for batch in batches:
+        for batch in sliced(batches):
             packed = [codec.encode(t) for t in batch.column(1).to_pylist()]
             sizes = np.array([len(p) // 4 for p in packed], np.int64)
             yield pa.RecordBatch.from_arrays([batch.column(0), _lists(packed, sizes), pa.array(sizes)], names=["key", "ids", "n_tokens"])
@@ -149,7 +151,7 @@ def decode(df: DataFrame, rank_path: str, key: str = "doc_id", ids: str = "ids")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = Codec(*shared.value)
-        for batch in batches:
+        for batch in sliced(batches):
             out = [codec.decode(np.array(x or [], "<u4").tobytes()) for x in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], names=["key", "bytes"])
 
@@ -170,7 +172,7 @@ def round_trip_digests(df: DataFrame, rank_path: str, pattern: str, key: str = "
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = Codec(*shared.value)
-        for batch in batches:
+        for batch in sliced(batches):
             packs, ids, back, size = [], [], [], []
             for value in batch.column(1):
                 packed = codec.encode(value.as_py())

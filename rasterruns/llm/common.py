@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from rasterruns.runtime import materialize, release
 
-__all__ = ["WORD_PATTERN", "materialize", "release", "salted_rank", "table"]
+__all__ = ["WORD_PATTERN", "materialize", "release", "salted_rank", "sliced", "table"]
+
+#: Rows of an Arrow batch that are turned into Python objects at once.
+SLICE_ROWS = 256
 
 #: Fixed value: the characters that separate words in every word contract (space, tab to carriage return).
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
@@ -17,6 +23,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def sliced(batches: Iterator[pa.RecordBatch], rows: int = SLICE_ROWS) -> Iterator[pa.RecordBatch]:
+    """Batches of texts in slices (views), so that few texts are Python objects at the same time."""
+    for batch in batches:
+        for a in range(0, batch.num_rows, rows):
+            yield batch.slice(a, rows)
+
+
 def salted_rank(df: DataFrame, group: list[str], order: list, bucket, name: str) -> DataFrame:
     """Add ``name``: gapless rank from 0 within ``group``, without one task per group.
 

@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rasterruns.llm.common import materialize
+from rasterruns.llm.common import materialize, sliced
 from rasterruns.llm.components import connected_components
 
 BANDS, ROWS = 32, 5
@@ -44,7 +44,7 @@ MARGIN = 0.13
 SMALL_BUCKET = 48
 BLOCK_BYTES = 8 << 20
 #: Words remembered by one task at most.
-CACHE_WORDS = 1_000_000
+CACHE_WORDS = 500_000
 _U = np.uint64
 
 
@@ -112,7 +112,7 @@ def _profiles(docs: DataFrame, words: int) -> DataFrame:
         n = BANDS * ROWS
         a, b = _odd(n, 2, np.uint32), _odd(n, 3, np.uint32)
         fold, tag = _odd(ROWS, 4, _U), _odd(BANDS, 5, _U)
-        for batch in batches:
+        for batch in sliced(batches):
             sizes, sids, sketches, signatures = [], [], [], []
             for t in batch.column(1):
                 s = shingler.shingles(t.as_py())
@@ -159,7 +159,7 @@ def _full_sets(docs: DataFrame, nodes: DataFrame, wanted: DataFrame, words: int)
         import xxhash
 
         shingler = Shingler(words)
-        for batch in batches:
+        for batch in sliced(batches):
             ids, sets = [], []
             for node, sid, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
                 packed = shingler.shingles(text.as_py()).tobytes()

@@ -34,11 +34,13 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from rasterruns.llm.common import sliced
+
 BITS = 18
 MAX_ROWS = 6_000
 CUTOFF = 0.5
 #: Tokens remembered by one task at most.
-CACHE_TOKENS = 600_000
+CACHE_TOKENS = 300_000
 _SCALE = 6.0
 #: Lengths of the word beginnings that count besides the whole word (99).
 _PREFIXES = (99, 5, 6, 7, 8)
@@ -158,7 +160,7 @@ def fit(docs: DataFrame, ratings: DataFrame, key: str = "doc_id", text: str = "t
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         features = Features()
-        for batch in batches:
+        for batch in sliced(batches):
             slots, values = [], []
             for t in batch.column(2):
                 f = features.of(t.as_py())
@@ -187,7 +189,7 @@ def _scored(docs: DataFrame, model: Model, text: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         weights, thresholds = shared.value
         own, features = Model(weights, thresholds), Features()
-        for batch in batches:
+        for batch in sliced(batches):
             score, some = np.zeros(batch.num_rows), np.zeros(batch.num_rows, bool)
             for i, t in enumerate(batch.column(at)):
                 f = features.of(t.as_py())

@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 
 from rasterruns.llm import anchors
 from rasterruns.llm.anchors import BEFORE, SPAN
-from rasterruns.llm.common import materialize, release
+from rasterruns.llm.common import materialize, release, sliced
 from rasterruns.llm.suffix_array import suffix_array
 
 #: Stretch bytes that are filtered at once, and joined bytes that are suffix-sorted at once, small enough for a
@@ -68,7 +68,7 @@ def _anchors(grouped: DataFrame, places: bool) -> DataFrame:
     """``(h, doc)`` of every anchor, with the stretch hash ``c`` and the place ``at`` if asked for."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in sliced(batches):
             ids = batch.column(0).to_numpy()
             many = _texts(batch.column(1))
             flat = [t for ts in many for t in ts]
@@ -89,10 +89,10 @@ def _stretches(grouped: DataFrame, places: DataFrame) -> DataFrame:
     joined = grouped.join(by_doc, "doc").select("doc", "texts", "places")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in sliced(batches):
             many = _texts(batch.column(1))
             column = batch.column(2)
-            sizes = np.diff(column.offsets.to_numpy())
+            sizes = column.value_lengths().to_numpy()
             flat = column.flatten()
             h, at = flat.field(0), flat.field(1).to_numpy()
             row = np.repeat(np.arange(len(many)), sizes)
@@ -321,7 +321,7 @@ def _cut(docs: DataFrame, key: str, text: str, digests: bool) -> DataFrame:
     n = len(others)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in sliced(batches):
             sizes, removed, spans, kept = [], [], [], []
             lists = [batch.column(n + 2), batch.column(n + 3)]
             for value, part, starts, ends in zip(batch.column(n), batch.column(n + 1).to_pylist(), *lists, strict=True):
