@@ -81,7 +81,7 @@ def _(spark, d):
 SELECT oid, s_suppkey AS cell FROM runs JOIN supplier ON s_suppkey >= st AND s_suppkey < en""")
 def _(spark, d):
     """Cells between run bounds: runs exploded to blocks, an equi-join on the block, then the range."""
-    li = _t(spark, d, "lineitem").where("l_orderkey % 40 = 0").groupBy(F.col("l_orderkey").alias("oid")).agg(F.min("l_partkey").alias("st"), (F.max("l_partkey") + 1).alias("en"))
+    li = _t(spark, d, "lineitem").groupBy(F.col("l_orderkey").alias("oid")).agg(F.min("l_partkey").alias("st"), (F.max("l_partkey") + 1).alias("en"))
     runs = li.withColumn("block", F.explode(F.sequence(F.shiftright("st", 6), F.shiftright(F.col("en") - 1, 6))))
     points = _t(spark, d, "supplier").select(F.col("s_suppkey").alias("cell"), F.shiftright("s_suppkey", 6).alias("block"))
     return runs.join(points, "block").where("cell >= st AND cell < en").select("oid", "cell")
@@ -90,10 +90,11 @@ def _(spark, d):
 @_query("join_interval_runs", """WITH runs AS (SELECT l_suppkey AS oid, l_orderkey AS st, l_orderkey + l_linenumber AS en FROM lineitem WHERE l_quantity > 45),
 r AS (SELECT * FROM runs WHERE oid % 2 = 0), s AS (SELECT * FROM runs WHERE oid % 2 = 1) SELECT DISTINCT r.oid AS rid, s.oid AS sid FROM r JOIN s ON r.st < s.en AND s.st < r.en""")
 def _(spark, d):
+    """Suppliers whose runs of lines overlap: all runs with all runs, so each supplier also meets itself."""
     from rasterruns.operators.cells import interval_join
 
-    runs = _t(spark, d, "lineitem").where("l_quantity > 45").select(F.col("l_suppkey").alias("oid"), F.col("l_orderkey").alias("st"), (F.col("l_orderkey") + F.col("l_linenumber")).alias("en"))
-    return interval_join(runs.where("oid % 2 = 0"), runs.where("oid % 2 = 1")).distinct()
+    runs = _t(spark, d, "lineitem").select(F.col("l_suppkey").alias("oid"), F.col("l_orderkey").alias("st"), (F.col("l_orderkey") + F.col("l_linenumber")).alias("en"))
+    return interval_join(runs, runs, bits=3).distinct()  # blocks about as wide as a run; the width doesn't change the pairs
 
 
 @_query("join_asof_events", """SELECT e.event_id, p.event_id AS last_purchase FROM (SELECT * FROM events WHERE event_type = 'click') e
