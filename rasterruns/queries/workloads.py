@@ -24,6 +24,8 @@ REGIONS = 5
 #: Orders that separate the methods at our sizes (order 16 settles nearly all pairs).
 ORDERS = (8, 10, 11, 12, 14)
 POLYGONS = ("ponds", "sites", "zones", "counties", "provinces", "lakes", "parks")
+#: Orders of the constructions, coarser for larger objects, as some keep every cell.
+BUILD_ORDERS = {"sites": 11, "ponds": 12, "counties": 9, "zones": 10, "provinces": 8, "lakes": 12, "parks": 11}
 
 
 def _all(frames: list[DataFrame]) -> DataFrame:
@@ -63,7 +65,7 @@ def _(spark, d):
 @_query("w1_space")
 def _(spark, d):
     """Bytes of every representation."""
-    return measures.space_report({x: layer(spark, d, x) for x in ("ponds", "sites", "lakes", "parks")}, GridSpec(12))
+    return measures.space_report({x: layer(spark, d, x) for x in POLYGONS}, GridSpec(12))
 
 
 @_query("w2_order_effect")
@@ -109,14 +111,14 @@ def _(spark, d):
 
 @_query("w5_tiles_regions")
 def _(spark, d):
-    return _all([shares(join.partitioned_join(_grp(spark, d, "lakes", g), _grp(spark, d, "parks", g), p, 10).verdicts, region=g, tiles=p) for g in range(REGIONS) for p in (1, 3)])
+    return _all([shares(join.partitioned_join(_grp(spark, d, "lakes", g), _grp(spark, d, "parks", g), p, 10).verdicts, region=g, tiles=p) for g in range(REGIONS) for p in (1, 2, 3, 4)])
 
 
 @_query("w6_tile_space")
 def _(spark, d):
     """Tiles per dimension: bytes of the lists."""
     out = []
-    for name in ("ponds", "sites", "counties"):
+    for name in POLYGONS:
         x = layer(spark, d, name)
         for p in (1, 2, 3, 4):
             t = tiles.uniform_tiles(p)
@@ -136,19 +138,23 @@ def _(spark, d):
 def _(spark, d):
     """All constructions build the same lists; their centre tests differ."""
     out = []
-    for name, order in (("sites", 11), ("ponds", 12), ("counties", 9)):
+    for name, order in BUILD_ORDERS.items():
         for m in ("clip", "flood", "scanline", "object_grid", "onestep_pip", "onestep_neighbours"):
             got = approximate.build_dual(layer(spark, d, name), GridSpec(order), m)
             out.append(got.agg(F.lit(name).alias("layer"), F.lit(m).alias("method"), F.sum(F.size("cover")).alias("cover_ends"), F.sum(F.size("core")).alias("core_ends"), F.sum("n_pip").alias("tests")))
     return _all(out)
 
 
+def _pairs(spark, d) -> list[tuple[str, DataFrame, DataFrame]]:
+    """The pairs of layers that intersection joins run on."""
+    pairs = [(f"sites-{s}", layer(spark, d, "sites"), layer(spark, d, s)) for s in ("ponds", "counties")]
+    return pairs + [(f"lakes-parks-{g}", _grp(spark, d, "lakes", g), _grp(spark, d, "parks", g)) for g in range(REGIONS)]
+
+
 @_query("w9_intersection_joins")
 def _(spark, d):
     """Six filters on two pairs and five regional pairs."""
-    pairs = [("sites-ponds", layer(spark, d, "sites"), layer(spark, d, "ponds")), ("sites-counties", layer(spark, d, "sites"), layer(spark, d, "counties"))]
-    pairs += [(f"lakes-parks-{g}", _grp(spark, d, "lakes", g), _grp(spark, d, "parks", g)) for g in range(REGIONS)]
-    return _all([shares(_filtered(spark, d, a, b, m, 11), pair=n, method=m) for n, a, b in pairs for m in join.METHODS])
+    return _all([shares(_filtered(spark, d, a, b, m, 11), pair=n, method=m) for n, a, b in _pairs(spark, d) for m in join.METHODS])
 
 
 for _g in range(REGIONS):
@@ -159,7 +165,9 @@ for _g in range(REGIONS):
 @_query("w10_dual_over_coded")
 def _(spark, d):
     """How many times smaller dual lists are than coded ones, and the verdicts of both."""
-    return measures.ratio_report(measures.space_report({x: layer(spark, d, x) for x in ("sites", "lakes", "parks")}, GridSpec(12)))
+    sizes = measures.ratio_report(measures.space_report({x: layer(spark, d, x) for x in POLYGONS}, GridSpec(12)))
+    verdicts = _all([shares(_filtered(spark, d, a, b, m, 11), pair=n, kind=m) for n, a, b in _pairs(spark, d) for m in ("coded", "dual")])
+    return sizes.unionByName(verdicts, allowMissingColumns=True)
 
 
 @_query("w11_size_variance")
@@ -206,13 +214,13 @@ def _(spark, d):
 def _(spark, d):
     """Plain, compressed and incrementally decoded lists: equal verdicts; bytes decoded."""
     out = []
-    for s, o in (("ponds", 12), ("counties", 10)):
-        a, b = (layer(spark, d, x) for x in ("sites", s))
+    for pair, a, b in _pairs(spark, d):
+        o = 10 if pair == "sites-counties" else 12
         pairs = mbr.mbr_join(a, b).drop("tile_id")
         coded = [approximate.build_dual(x, GridSpec(o), compressed=True) for x in (a, b)]
         for name, inc in (("whole", False), ("incremental", True)):
             got = filters.dual_filter(pairs, *coded, compressed=True, incremental=inc)
-            out.append(got.groupBy("verdict").agg(F.lit(f"sites-{s}").alias("pair"), F.lit(name).alias("decoding"), F.count(F.lit(1)).alias("n"), F.sum("bytes_decoded").alias("bytes")))
+            out.append(got.groupBy("verdict").agg(F.lit(pair).alias("pair"), F.lit(name).alias("decoding"), F.count(F.lit(1)).alias("n"), F.sum("bytes_decoded").alias("bytes")))
     return _all(out)
 
 
