@@ -4,8 +4,10 @@ Vectors are integer components ``floor(scale * x)``; the score is the integer
 inner product.  The approximation file holds 6 bits a component: the cell of
 the component on a per-dimension grid between its least and greatest value.
 A scan of the cells alone bounds every score from both sides.  A vector stays
-a candidate while its upper bound reaches the k-th best lower bound; candidates
-are then read exactly, best bound first, until the k-th result is certain.
+a candidate while its upper bound reaches the k-th best lower bound.  All
+candidates are then read exactly at once, in no order: the threshold takes the
+place of reading by bounds with an early stop, so more vectors may be read, and
+the results are the same.
 
 Queries come in blocks of at most QUERY_BLOCK rows: a block is broadcast, so
 the broadcast's size is fixed, and each block scans all cells once.  Copies of
