@@ -1,5 +1,6 @@
 """Near-duplicate documents against all pairs."""
 
+import math
 import random
 import re
 from collections import Counter, defaultdict
@@ -64,3 +65,11 @@ def test_families_and_hard_cases(spark, monkeypatch, small, block):
         assert got == brute(rows, k, percent)
     assert minhash_dedup.without_near_duplicates(docs).columns == docs.columns
     assert minhash_dedup.near_duplicates(docs.limit(0)).count() == 0
+
+
+@pytest.mark.parametrize("percent", [80, 85])
+def test_gate_loses_less_than_bands(percent):
+    p, n = percent / 100, minhash_dedup.BANDS * minhash_dedup.ROWS
+    least = p - minhash_dedup.MARGIN
+    gate = sum(math.comb(n, k) * p**k * (1 - p) ** (n - k) for k in range(n + 1) if k / n < least)
+    assert gate < (1 - p**minhash_dedup.ROWS) ** minhash_dedup.BANDS
