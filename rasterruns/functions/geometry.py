@@ -198,12 +198,12 @@ def five_corners(hull: np.ndarray) -> np.ndarray:
 
 
 def convex_apart(a: np.ndarray, b: np.ndarray) -> bool:
-    """Whether some side of a convex polygon (counter-clockwise) has the other strictly beyond it.
+    """Whether some side of a convex polygon (counter-clockwise) has the other strictly beyond it; a segment has two sides.
 
     A margin keeps rounded corners on the safe side: never true for polygons that touch.
     """
     for p, q in ((a, b), (b, a)):
-        if len(p) < 3:
+        if len(p) < 2:
             continue
         d = np.roll(p, -1, axis=0) - p
         side = d[:, None, 0] * (q[None, :, 1] - p[:, None, 1]) - d[:, None, 1] * (q[None, :, 0] - p[:, None, 0])

@@ -93,3 +93,13 @@ def duckdb_hilbert(x: str, y: str, order: int) -> str:
     body = body.replace("i)", "e.i)")
     levels = "[" + ", ".join(f"{{'d': 0::BIGINT, 'f': 0::BIGINT, 'w': 0::BIGINT, 'i': {i}::BIGINT}}" for i in range(order - 1, -1, -1)) + "]"
     return f"list_reduce({levels}, lambda s, e: {body}, {{'d': 0::BIGINT, 'f': 0::BIGINT, 'w': 0::BIGINT, 'i': 0::BIGINT}}).d"
+
+
+def duckdb_ids(source: str, keys: str, order: int) -> str:
+    """``SELECT keys, h`` of a relation with cells (cx, cy): a level of the curve is a subquery, which suits many cells."""
+    q = f"SELECT {keys}, cx, cy, 0::BIGINT AS d, 0::BIGINT AS f, 0::BIGINT AS w FROM {source}"
+    for i in range(order - 1, -1, -1):
+        q = f"SELECT *, w * xor((cx >> {i}) & 1, (cy >> {i}) & 1) AS sw FROM ({q})"
+        q = f"SELECT * EXCLUDE (sw), xor(xor((cx >> {i}) & 1, sw), f) AS rx, xor(xor((cy >> {i}) & 1, sw), f) AS ry FROM ({q})"
+        q = f"SELECT {keys}, cx, cy, d * 4 + xor(3 * rx, ry) AS d, xor(f, (1 - ry) * rx) AS f, xor(w, 1 - ry) AS w FROM ({q})"
+    return f"SELECT {keys}, cx, cy, d AS h FROM ({q})"

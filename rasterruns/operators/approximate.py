@@ -163,6 +163,25 @@ def build_coded(layer: DataFrame, grid: GridSpec, side: str = "R", clip_all: boo
     return layer.select("oid", "ring").mapInArrow(run, "oid long, runs array<bigint>, code binary, side string")
 
 
+def cell_codes(coded: DataFrame) -> DataFrame:
+    """``(oid, hid, code)`` of every cell of coded runs, read back from the packed bytes."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            values, off = lists.flat(batch.column("runs"))
+            size = values[1::2] - values[0::2]
+            first = np.concatenate([[0], np.cumsum((3 * size + 7) // 8)])[:-1]
+            bits = np.unpackbits(np.frombuffer(b"".join(batch.column("code").to_pylist()), np.uint8))
+            run_of = np.repeat(np.arange(len(size)), size)
+            k = np.arange(len(run_of)) - np.repeat(np.cumsum(size) - size, size)
+            at = 8 * first[run_of] + 3 * k
+            row = np.repeat(np.arange(batch.num_rows), np.diff(off) // 2)[run_of]
+            code = bits[at] << 2 | bits[at + 1] << 1 | bits[at + 2]
+            yield pa.RecordBatch.from_arrays([batch.column("oid").take(pa.array(row)), pa.array(values[0::2][run_of] + k), pa.array(code.astype(np.int32))], names=["oid", "hid", "code"])
+
+    return coded.select("oid", "runs", "code").mapInArrow(run, "oid long, hid long, code int")
+
+
 def build_line_cells(lines: DataFrame, grid: GridSpec, as_runs: bool = False) -> DataFrame:
     """``(oid, cells)``: sorted ids of the cells a path enters, or the same as runs."""
 

@@ -56,15 +56,17 @@ def dual_verdicts(fetch, n: int, order: str = "CC,CK,KC") -> tuple[np.ndarray, n
     return verdict, merges
 
 
-def _whole(batch: pa.RecordBatch, mixed: dict[str, int] | None = None):
-    """Fetch from plain list columns, brought to a common lower order if ``mixed`` says by how much."""
+def _whole(batch: pa.RecordBatch, read: np.ndarray, mixed: dict[str, int] | None = None):
+    """Fetch from plain list columns (8 bytes an end), brought to a common lower order if ``mixed`` says by how much."""
     cache: dict = {}
 
     def fetch(side: str, name: str, rows: np.ndarray):
         if (side, name) not in cache:
             got = lists.flat(batch.column(f"{side}_{name}"))
             cache[side, name] = lists.coarsen(got, mixed[side]) if mixed else got
-        return lists.take(cache[side, name], rows)
+        got = lists.take(cache[side, name], rows)
+        read[rows] += 8 * np.diff(got[1])
+        return got
 
     return fetch
 
@@ -159,7 +161,7 @@ def dual_filter(pairs: DataFrame, left: DataFrame, right: DataFrame, merge_order
                             verdict[i] = MISS if step == "CC" else HIT
                             break
             else:
-                verdict, merges = dual_verdicts(_coded(batch, read) if compressed else _whole(batch, down), n, steps)
+                verdict, merges = dual_verdicts(_coded(batch, read) if compressed else _whole(batch, read, down), n, steps)
             yield _result(batch, verdict, merges, read)
 
     return attach(pairs, left, right, ["cover", "core"]).mapInArrow(run, _OUT)

@@ -57,11 +57,11 @@ def space_report(layers: dict[str, DataFrame], grid: GridSpec, max_cells: int =
 
 
 def ratio_report(space: DataFrame, old: str = "coded", new: tuple[str, ...] = ("dual", "dual_compressed")) -> DataFrame:
-    """How many times smaller the new lists are: least, greatest and mean ratio over layers."""
+    """How many times smaller the new lists are, in basis points: least, greatest and mean ratio over layers."""
     a = space.where(F.col("kind") == old).select("layer", F.col("bytes").alias("old"))
     b = space.where(F.col("kind").isin(*new)).select("layer", "kind", F.col("bytes").alias("new"))
-    r = F.col("old") / F.col("new")
-    return a.join(b, "layer").groupBy("kind").agg(F.min(r).alias("least"), F.max(r).alias("most"), F.avg(r).alias("mean"))
+    bp = a.join(b, "layer").select("kind", F.expr("old * 10000 div new").alias("bp"))
+    return bp.groupBy("kind").agg(F.min("bp").alias("least"), F.max("bp").alias("most"), F.expr("sum(bp) div count(1)").alias("mean"))
 
 
 def line_bytes(lines: DataFrame, grid: GridSpec) -> DataFrame:

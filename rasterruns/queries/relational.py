@@ -77,7 +77,7 @@ def _(spark, d):
     return left.join(right, (F.col("c_nationkey") == F.col("n_nationkey")) & (left["salt"] == right["salt"])).groupBy(F.col("n_nationkey")).agg(F.count(F.lit(1)).alias("n"))
 
 
-@_query("join_range_cells", """WITH runs AS (SELECT l_orderkey AS oid, min(l_partkey) AS st, max(l_partkey) + 1 AS en FROM lineitem WHERE l_orderkey % 40 = 0 GROUP BY l_orderkey)
+@_query("join_range_cells", """WITH runs AS (SELECT l_orderkey AS oid, min(l_partkey) AS st, max(l_partkey) + 1 AS en FROM lineitem GROUP BY l_orderkey)
 SELECT oid, s_suppkey AS cell FROM runs JOIN supplier ON s_suppkey >= st AND s_suppkey < en""")
 def _(spark, d):
     """Cells between run bounds: runs exploded to blocks, an equi-join on the block, then the range."""
@@ -87,8 +87,8 @@ def _(spark, d):
     return runs.join(points, "block").where("cell >= st AND cell < en").select("oid", "cell")
 
 
-@_query("join_interval_runs", """WITH runs AS (SELECT l_suppkey AS oid, l_orderkey AS st, l_orderkey + l_linenumber AS en FROM lineitem WHERE l_quantity > 45),
-r AS (SELECT * FROM runs WHERE oid % 2 = 0), s AS (SELECT * FROM runs WHERE oid % 2 = 1) SELECT DISTINCT r.oid AS rid, s.oid AS sid FROM r JOIN s ON r.st < s.en AND s.st < r.en""")
+@_query("join_interval_runs", """WITH runs AS (SELECT l_suppkey AS oid, l_orderkey AS st, l_orderkey + l_linenumber AS en FROM lineitem)
+SELECT DISTINCT r.oid AS rid, s.oid AS sid FROM runs r JOIN runs s ON r.st < s.en AND s.st < r.en""")
 def _(spark, d):
     """Suppliers whose runs of lines overlap: all runs with all runs, so each supplier also meets itself."""
     from rasterruns.operators.cells import interval_join

@@ -157,9 +157,17 @@ def _(spark, d):
     return got.groupBy("oid").agg(F.round(F.sum("coverage") * (2 * s * s)).cast("long").alias("area2"))
 
 
-@query("coverage_cells", f"WITH {duckdb_layer('sites')}, {oracle.cells('sites', FINE)} SELECT oid, {hilbert.duckdb_hilbert('cx', 'cy', FINE)} AS hid FROM sites_cells")
+_TYPES = f"WITH {duckdb_layer('sites')}, {oracle.cells('sites', FINE)}, {oracle.types('sites')}"
+
+
+@query("coverage_cells", f"{_TYPES} SELECT oid, {hilbert.duckdb_hilbert('cx', 'cy', FINE)} AS hid, type FROM sites_types")
 def _(spark, d):
-    return approximate.coverage_cells(layer(spark, d, "sites"), GridSpec(FINE)).select("oid", "hid")
+    return approximate.coverage_cells(layer(spark, d, "sites"), GridSpec(FINE)).select("oid", "hid", "type")
+
+
+for _side in "RS":
+    _code = " ".join(f"WHEN {k} THEN {v}" for k, v in approximate.CODES[_side].items())
+    query(f"coded_run_codes_{_side.lower()}", f"{_TYPES} SELECT oid, {hilbert.duckdb_hilbert('cx', 'cy', FINE)} AS hid, CASE type {_code} END AS code FROM sites_types")(lambda spark, d, s=_side: approximate.cell_codes(approximate.build_coded(layer(spark, d, "sites"), GridSpec(FINE), s)))
 
 
 @query("coded_runs", _runs_sql("sites", FINE).replace("SELECT oid, list, min(h) AS st, max(h) + 1 AS en FROM marked GROUP BY oid, list, g", "SELECT oid, min(h) AS st, max(h) + 1 AS en FROM marked WHERE list = 'cover' GROUP BY oid, g"))
@@ -168,7 +176,10 @@ def _(spark, d):
     return exploded(coded.select("oid", F.col("runs").alias("cover"), F.col("runs").alias("core"))).where("list = 'cover'").drop("list")
 
 
-@query("local_raster", None)
+_RASTER = f"WITH {duckdb_layer('sites')}, {oracle.cells('sites', None)}, {oracle.types('sites')}"
+
+
+@query("local_raster", f"{_RASTER} SELECT oid, k::BIGINT AS k, cx, cy, type::BIGINT AS type FROM sites_types JOIN sites_s USING (oid)")
 def _(spark, d):
     got = approximate.build_local_raster(layer(spark, d, "sites"))
     return got.select("oid", F.col("k").cast("long").alias("k"), F.explode("cells").alias("c")).select("oid", "k", "c.cx", "c.cy", F.col("c.type").cast("long").alias("type"))
@@ -179,9 +190,23 @@ def _(spark, d):
     return approximate.raster_level(layer(spark, d, "counties")).select("oid", F.col("k").cast("long").alias("k"))
 
 
-@query("corner_hull", None)
+@query("corner_hull", f"WITH {duckdb_layer('sites')}, {oracle.hulls('sites')} SELECT oid, least(count(*), 5) AS n_corners, count(*) AS n_hull, 0::BIGINT AS n_outside FROM sites_hull GROUP BY oid")
 def _(spark, d):
-    return approximate.build_corner_hull(layer(spark, d, "sites")).select("oid", (F.size("corners") / 2).cast("long").alias("n_corners"), (F.size("hull") / 2).cast("long").alias("n_hull"))
+    """At most five corners, around all corners of the hull (none lies outside)."""
+    got = approximate.build_corner_hull(layer(spark, d, "sites"))
+    n = F.size("corners") / 2
+
+    def corner(i):
+        j = (F.pmod(i, n) * 2).cast("int")
+        return F.get("corners", j), F.get("corners", j + 1)
+
+    def outside(i, j):
+        (ax, ay), (bx, by) = corner(i), corner(i + 1)
+        x, y = F.get("hull", j * 2), F.get("hull", j * 2 + 1)
+        return (bx - ax) * (y - ay) - (by - ay) * (x - ax) < -1e-3
+
+    out = F.size(F.filter(F.sequence(F.lit(0), (F.size("hull") / 2 - 1).cast("int")), lambda j: F.exists(F.sequence(F.lit(0), (n - 1).cast("int")), lambda i: outside(i, j))))
+    return got.select("oid", n.cast("long").alias("n_corners"), (F.size("hull") / 2).cast("long").alias("n_hull"), out.cast("long").alias("n_outside"))
 
 
 @query("convex_hull", f"""WITH {duckdb_layer('sites')}, p AS (SELECT DISTINCT oid, x, y FROM sites_v),
@@ -226,6 +251,7 @@ def _(spark, d):
 PAIRS = {"sites_ponds": ("sites", "ponds", FINE), "sites_counties": ("sites", "counties", COARSE)}
 _COUNT = " SELECT verdict, count(*) AS n FROM verdicts GROUP BY verdict"
 _ALL = " SELECT rid, sid, verdict FROM verdicts"
+_SHARE = " SELECT verdict, count(*) AS n, count(*) * 10000 // (SELECT count(*) FROM verdicts) AS bp FROM verdicts GROUP BY verdict"
 
 
 def _join(spark, d, pair: str, **k) -> join.JoinResult:
@@ -243,7 +269,7 @@ for _p, (_r, _s, _o) in PAIRS.items():
     _dual = oracle.dual_verdicts(_r, _s, _o)
     query(f"dual_filter_{_p}", _dual + _ALL)(lambda spark, d, p=_p: _verdicts(spark, d, *PAIRS[p]).select("rid", "sid", "verdict"))
     query(f"dual_filter_compressed_{_p}", _dual + _ALL)(lambda spark, d, p=_p: _verdicts(spark, d, *PAIRS[p], method="dual_compressed").select("rid", "sid", "verdict"))
-    query(f"effectiveness_dual_{_p}", _dual + " SELECT verdict, count(*) AS n, count(*) * 10000 // (SELECT count(*) FROM verdicts) AS bp FROM verdicts GROUP BY verdict")(lambda spark, d, p=_p: _join(spark, d, p).stats())
+    query(f"effectiveness_dual_{_p}", _dual + _SHARE)(lambda spark, d, p=_p: _join(spark, d, p).stats())
     _exact = oracle.exact_intersects(_r, _s) + " SELECT rid, sid FROM result"
     for _m in join.METHODS:
         query(f"join_{_m}_{_p}", _exact)(lambda spark, d, p=_p, m=_m: _pairs(_join(spark, d, p, method=m)))
@@ -252,7 +278,7 @@ for _p, (_r, _s, _o) in PAIRS.items():
     query(f"quadtree_join_{_p}", _exact)(lambda spark, d, p=_p: _quadtree(spark, d, p))
     query(f"refine_intersects_{_p}", _exact)(lambda spark, d, p=_p: refine(mbr.mbr_join(layer(spark, d, PAIRS[p][0]), layer(spark, d, PAIRS[p][1])), layer(spark, d, PAIRS[p][0]), layer(spark, d, PAIRS[p][1])))
     for _m in ("coded", "local_raster", "corner_hull", "direct"):
-        query(f"effectiveness_{_m}_{_p}")(lambda spark, d, p=_p, m=_m: _join(spark, d, p, method=m).stats())
+        query(f"effectiveness_{_m}_{_p}", oracle.method_verdicts(_r, _s, _m, _o) + _SHARE)(lambda spark, d, p=_p, m=_m: _join(spark, d, p, method=m).stats())
 
 
 def _quadtree(spark, d, p: str) -> DataFrame:
@@ -260,7 +286,7 @@ def _quadtree(spark, d, p: str) -> DataFrame:
     return _pairs(join.spatial_join(a, b, grid=GridSpec(PAIRS[p][2]), tiles=tiles.quadtree_tiles([a, b], 500)))
 
 
-@query("dual_filter_orders")
+@query("dual_filter_orders", " UNION ALL ".join(f"SELECT '{_o}' AS merge_order, * FROM ({oracle.dual_verdicts('sites', 'ponds', FINE, merge_order=_o)} SELECT verdict, count(*) AS n, CAST(sum(merges) AS BIGINT) AS merges FROM verdicts GROUP BY verdict)" for _o in filters.ORDERS))
 def _(spark, d):
     """Merges performed and verdicts for each merge order: verdicts agree, merges don't."""
     out = None
@@ -296,48 +322,50 @@ def _(spark, d):
     return cells.interval_join(r, s).join(pairs, ["rid", "sid"], "left_semi").distinct()
 
 
-@query("coded_filter_cells")
+@query("coded_filter_cells", oracle.coded_verdicts('sites', 'counties', COARSE) + _ALL)
 def _(spark, d):
     """The coded filter as a relation: equal cells joined, codes compared by bit_and."""
     return cells.coded_verdicts_relational(mbr.mbr_join(layer(spark, d, "sites"), layer(spark, d, "counties")), *(approximate.coverage_cells(layer(spark, d, x), GridSpec(COARSE)) for x in ("sites", "counties")))
 
 
-@query("coded_filter")
+@query("coded_filter", oracle.coded_verdicts('sites', 'counties', COARSE) + _ALL)
 def _(spark, d):
     return _verdicts(spark, d, *PAIRS["sites_counties"], method="coded").select("rid", "sid", "verdict")
 
 
-@query("coded_filter_swapped")
+@query("coded_filter_swapped", oracle.coded_verdicts('sites', 'counties', COARSE) + _ALL)
 def _(spark, d):
     a, b = (layer(spark, d, x) for x in ("sites", "counties"))
     coded = [approximate.build_coded(x, GridSpec(COARSE), "R") for x in (a, b)]
     return filters.coded_filter(mbr.mbr_join(a, b).drop("tile_id"), *coded, same_side=True).select("rid", "sid", "verdict")
 
 
-@query("coded_within_filter")
+@query("coded_within_filter", oracle.coded_within_verdicts("ponds", "sites", FINE) + _ALL)
 def _(spark, d):
     return _verdicts(spark, d, "ponds", "sites", FINE, "within", method="coded").select("rid", "sid", "verdict")
 
 
-@query("local_raster_filter")
+@query("local_raster_filter", oracle.raster_verdicts("sites", "counties") + _ALL)
 def _(spark, d):
     return _verdicts(spark, d, *PAIRS["sites_counties"], method="local_raster").select("rid", "sid", "verdict")
 
 
-@query("local_raster_upscale")
+@query("local_raster_upscale", f"{_RASTER}, one AS (SELECT *, 1 AS d FROM sites_types) SELECT oid, cx, cy, type::BIGINT AS type FROM ({oracle.upscaled('one', 'd', 'oid')})")
 def _(spark, d):
     return measures.upscaled_types(approximate.build_local_raster(layer(spark, d, "sites")), 1)
 
 
-@query("corner_hull_filter")
+@query("corner_hull_filter", oracle.hull_verdicts("sites", "counties") + _ALL)
 def _(spark, d):
     return _verdicts(spark, d, *PAIRS["sites_counties"], method="corner_hull").select("rid", "sid", "verdict")
 
 
-@query("dual_filter_mixed_order")
-def _(spark, d):
-    a, b = (layer(spark, d, x) for x in ("sites", "counties"))
-    return join.verdicts(mbr.mbr_join(a, b).drop("tile_id"), a, b, order_left=11, order_right=8).groupBy("verdict").agg(F.count(F.lit(1)).alias("n"))
+for _a, _b in ((11, 8), (8, 10)):
+
+    @query("dual_filter_mixed_order" if _a > _b else "dual_filter_mixed_order_up", oracle.mixed_verdicts("sites", "counties", _a, _b) + _ALL)
+    def _(spark, d, a=_a, b=_b):
+        r, s = (layer(spark, d, x) for x in ("sites", "counties"))
+        return join.verdicts(mbr.mbr_join(r, s).drop("tile_id"), r, s, order_left=a, order_right=b).select("rid", "sid", "verdict")
 
 
 WITHIN = {"ponds_sites": ("ponds", "sites", FINE), "sites_counties": ("sites", "counties", COARSE)}
@@ -346,8 +374,8 @@ for _p, (_r, _s, _o) in WITHIN.items():
         query(f"dual_within_{'strict' if _strict else 'filter'}_{_p}", oracle.within_verdicts(_r, _s, _o, _strict) + _ALL)(lambda spark, d, a=(_r, _s, _o), x=_strict: _verdicts(spark, d, *a, "within", strict=x).select("rid", "sid", "verdict"))
     for _m in join.METHODS:
         query(f"within_join_{_m}_{_p}", oracle.exact_within(_r, _s) + " SELECT rid, sid FROM result")(lambda spark, d, a=(_r, _s, _o), m=_m: _pairs(join.spatial_join(layer(spark, d, a[0]), layer(spark, d, a[1]), "within", m, GridSpec(a[2]))))
-    query(f"local_raster_within_{_p}")(lambda spark, d, a=(_r, _s, _o): _verdicts(spark, d, *a, "within", method="local_raster").groupBy("verdict").agg(F.count(F.lit(1)).alias("n")))
-    query(f"corner_hull_within_{_p}")(lambda spark, d, a=(_r, _s, _o): _verdicts(spark, d, *a, "within", method="corner_hull").groupBy("verdict").agg(F.count(F.lit(1)).alias("n")))
+    query(f"local_raster_within_{_p}", oracle.raster_verdicts(_r, _s, "within", True) + _COUNT)(lambda spark, d, a=(_r, _s, _o): _verdicts(spark, d, *a, "within", method="local_raster").groupBy("verdict").agg(F.count(F.lit(1)).alias("n")))
+    query(f"corner_hull_within_{_p}", oracle.hull_verdicts(_r, _s, "within", True) + _COUNT)(lambda spark, d, a=(_r, _s, _o): _verdicts(spark, d, *a, "within", method="corner_hull").groupBy("verdict").agg(F.count(F.lit(1)).alias("n")))
 query("refine_within", oracle.exact_within("ponds", "sites") + " SELECT rid, sid FROM result")(lambda spark, d: refine(mbr.mbr_join(layer(spark, d, "ponds"), layer(spark, d, "sites"), "within"), layer(spark, d, "ponds"), layer(spark, d, "sites"), "within"))
 
 LINES = {"sites_tracks": ("sites", "tracks", 12), "ponds_tracks": ("ponds", "tracks", 12), "counties_tracks": ("counties", "tracks", COARSE)}
@@ -355,7 +383,7 @@ for _p, (_r, _s, _o) in LINES.items():
     query(f"dual_line_filter_{_p}", oracle.line_verdicts(_r, _s, _o) + _ALL)(lambda spark, d, a=(_r, _s, _o): _verdicts(spark, d, *a, "line").select("rid", "sid", "verdict"))
     for _m in ("dual", "corner_hull", "direct"):
         query(f"line_join_{_m}_{_p}", oracle.exact_intersects(_r, _s, True) + " SELECT rid, sid FROM result")(lambda spark, d, a=(_r, _s, _o), m=_m: _pairs(join.spatial_join(layer(spark, d, a[0]), layer(spark, d, a[1]), "line", m, GridSpec(a[2]))))
-query("corner_hull_line_filter")(lambda spark, d: _verdicts(spark, d, "counties", "tracks", COARSE, "line", method="corner_hull").groupBy("verdict").agg(F.count(F.lit(1)).alias("n")))
+query("corner_hull_line_filter", oracle.hull_verdicts("counties", "tracks") + _COUNT)(lambda spark, d: _verdicts(spark, d, "counties", "tracks", COARSE, "line", method="corner_hull").groupBy("verdict").agg(F.count(F.lit(1)).alias("n")))
 query("refine_line", oracle.exact_intersects("sites", "tracks", True) + " SELECT rid, sid FROM result")(lambda spark, d: refine(mbr.mbr_join(layer(spark, d, "sites"), layer(spark, d, "tracks")), layer(spark, d, "sites"), layer(spark, d, "tracks"), "line"))
 
 _CAND = f"WITH {duckdb_layer('sites')}, {duckdb_layer('ponds')}, {oracle.candidates('sites', 'ponds')} SELECT rid, sid FROM cand"
@@ -419,11 +447,13 @@ query("codec_roundtrip", _runs_sql("sites", FINE))(lambda spark, d: exploded(app
 
 query("layer_stats", "WITH " + ", ".join(duckdb_layer(x) for x in ("ponds", "sites", "zones", "counties", "provinces")) + " " + " UNION ALL ".join(f"SELECT '{x}' AS layer, count(*) AS objects, CAST(sum(n) AS BIGINT) AS vertices, CAST(sum((xmax - xmin) * (ymax - ymin)) AS BIGINT) AS box_area FROM {x}" for x in ("ponds", "sites", "zones", "counties", "provinces")))(lambda spark, d: measures.layer_stats({x: layer(spark, d, x) for x in ("ponds", "sites", "zones", "counties", "provinces")}))
 query("run_stats", _runs_sql("sites", FINE).replace("SELECT oid, list, min(h)", ", runs AS (SELECT oid, list, min(h)") + """) SELECT oid, count(*) FILTER (WHERE list = 'cover') AS cover_runs, count(*) FILTER (WHERE list = 'core') AS core_runs, CAST(coalesce(sum(en - st) FILTER (WHERE list = 'cover'), 0) AS BIGINT) AS cover_cells, CAST(coalesce(sum(en - st) FILTER (WHERE list = 'core'), 0) AS BIGINT) AS core_cells FROM runs GROUP BY oid""")(lambda spark, d: measures.run_stats(approximate.build_dual(layer(spark, d, "sites"), GridSpec(FINE))))
-query("pip_counts")(lambda spark, d: measures.pip_counts(layer(spark, d, "sites"), GridSpec(12)))
+query("pip_counts", f"""WITH RECURSIVE {duckdb_layer('sites')}, {oracle.cells('sites', 12)}, {oracle.gaps('sites', 12)}, {oracle.regions('sites')} SELECT 'onestep_pip' AS method, count(*) AS gaps, count(*) AS tests FROM sites_gap
+UNION ALL SELECT 'onestep_neighbours', count(*), count(*) FILTER (WHERE root) FROM sites_gap UNION ALL SELECT 'flood', 0, n FROM sites_regions""")(lambda spark, d: measures.pip_counts(layer(spark, d, "sites"), GridSpec(12)))
 query("gap_counts", f"""WITH {duckdb_layer('sites')}, {oracle.cells('sites', FINE)}, ids AS (SELECT oid, {hilbert.duckdb_hilbert('cx', 'cy', FINE)} AS h FROM sites_edge), m AS (SELECT *, h - row_number() OVER (PARTITION BY oid ORDER BY h) AS g FROM ids)
 SELECT oid, count(DISTINCT g) - 1 AS n_gaps, count(*) AS n_edge FROM m GROUP BY oid""")(lambda spark, d: approximate.build_dual(layer(spark, d, "sites"), GridSpec(FINE), "onestep_pip").select("oid", F.col("n_pip").cast("long").alias("n_gaps"), F.col("n_edge").cast("long").alias("n_edge")))
-query("space_report")(lambda spark, d: measures.space_report({x: layer(spark, d, x) for x in ("ponds", "sites")}, GridSpec(FINE)))
-query("ratio_report")(lambda spark, d: measures.ratio_report(measures.space_report({x: layer(spark, d, x) for x in ("ponds", "sites")}, GridSpec(FINE))))
+_SPACE = " UNION ALL ".join(oracle.space(x, FINE) for x in ("ponds", "sites"))
+query("space_report", _SPACE)(lambda spark, d: measures.space_report({x: layer(spark, d, x) for x in ("ponds", "sites")}, GridSpec(FINE)))
+query("ratio_report", oracle.ratios(_SPACE))(lambda spark, d: measures.ratio_report(measures.space_report({x: layer(spark, d, x) for x in ("ponds", "sites")}, GridSpec(FINE))))
 query("line_bytes", f"""WITH {duckdb_layer('tracks')}, {oracle.cells('tracks', 12, False)}, ids AS (SELECT oid, {hilbert.duckdb_hilbert('cx', 'cy', 12)} AS h FROM tracks_edge),
 m AS (SELECT *, h - row_number() OVER (PARTITION BY oid ORDER BY h) AS g FROM ids) SELECT oid, 4 * count(*) AS as_cells, 8 * count(DISTINCT g) AS as_runs FROM m GROUP BY oid""")(lambda spark, d: measures.line_bytes(layer(spark, d, "tracks"), GridSpec(12)))
 
@@ -439,7 +469,7 @@ def _(spark, d):
     return tiles.replicate(a, tiles.quadtree_tiles([a], 400)).groupBy("tile_id").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("choose_order")
+@query("choose_order", "WITH " + ", ".join(duckdb_layer(x) for x in ("ponds", "sites", "counties", "provinces")) + " " + " UNION ALL ".join(f"SELECT '{x}' AS layer, coalesce((SELECT max(o) FROM range(1, 17) t(o) WHERE 2 * (SELECT avg((xmax - xmin) + (ymax - ymin)) FROM {x}) / ({DOMAIN} >> o) <= 2000), 1)::INT AS order_" for x in ("ponds", "sites", "counties", "provinces")))
 def _(spark, d):
     return spark.createDataFrame([(x, join.choose_order(layer(spark, d, x), 2000)) for x in ("ponds", "sites", "counties", "provinces")], "layer string, order_ int")
 

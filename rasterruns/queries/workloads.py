@@ -50,6 +50,10 @@ def shares(verdicts: DataFrame, **labels) -> DataFrame:
     return out.select(*[F.lit(v).alias(k) for k, v in labels.items()], *out.columns)
 
 
+def _union(parts) -> str:
+    return " UNION ALL ".join(f"SELECT * FROM ({x})" for x in parts)
+
+
 def _filtered(spark, d, r: str, s: str, method: str, order: int = 16, predicate: str = "intersects", **k) -> DataFrame:
     a, b = (layer(spark, d, x) if isinstance(x, str) else x for x in (r, s))
     pairs = mbr.mbr_join(a, b, k.pop("boxes", "intersects"))
@@ -62,13 +66,13 @@ def _(spark, d):
     return measures.layer_stats({x: layer(spark, d, x) for x in POLYGONS})
 
 
-@_query("w1_space")
+@_query("w1_space", _union(oracle.space(x, 12) for x in POLYGONS))
 def _(spark, d):
     """Bytes of every representation."""
     return measures.space_report({x: layer(spark, d, x) for x in POLYGONS}, GridSpec(12))
 
 
-@_query("w2_order_effect")
+@_query("w2_order_effect", _union(oracle.shares(oracle.method_verdicts("sites", "ponds", m, o), method=m, grid_order=o) for m in ("coded", "dual") for o in ORDERS))
 def _(spark, d):
     """Effect of the grid order, coded and dual, sites with ponds."""
     return _all([shares(_filtered(spark, d, "sites", "ponds", m, o), method=m, grid_order=o) for m in ("coded", "dual") for o in ORDERS])
@@ -78,18 +82,26 @@ for _o in (8, 10, 11):
     _query(f"w2_dual_order_{_o}", oracle.dual_verdicts("sites", "ponds", _o) + " SELECT verdict, count(*) AS n FROM verdicts GROUP BY verdict")(lambda spark, d, o=_o: _filtered(spark, d, "sites", "ponds", "dual", o).groupBy("verdict").agg(F.count(F.lit(1)).alias("n")))
 
 
-@_query("w3_order_space")
+def _order_space_sql(name: str, o: int) -> str:
+    lists = f"WITH {duckdb_layer(name)}, {oracle.cells(name, o)}, {oracle.gap_lists(name, o)}, {oracle.list_bytes(name)}"
+    return f"""{lists} SELECT '{name}' AS layer, 'dual' AS kind, {o} AS grid_order, CAST(sum(4 * ends) AS BIGINT) AS bytes, (SELECT count(*) FROM {name}_gap WHERE root) AS tests FROM {name}_bytes
+UNION ALL SELECT '{name}', 'coded', {o}, CAST(sum(4 * ends + code) AS BIGINT), 0 FROM {name}_bytes WHERE list = 'cover'"""
+
+
+@_query("w3_order_space", _union(_order_space_sql(x, o) for x in ("sites", "ponds") for o in ORDERS))
 def _(spark, d):
-    """Effect of the grid order on list sizes."""
+    """Effect of the grid order on list sizes and centre tests, dual and coded."""
     out = []
     for name in ("sites", "ponds"):
-        for o in (8, 10, 12):
-            got = approximate.build_dual(layer(spark, d, name), GridSpec(o))
-            out.append(got.agg(F.lit(name).alias("layer"), F.lit(o).alias("grid_order"), F.sum(4 * (F.size("cover") + F.size("core"))).alias("bytes"), F.sum("n_pip").alias("tests")))
+        for o in ORDERS:
+            x = layer(spark, d, name)
+            label = lambda kind, name=name, o=o: [F.lit(name).alias("layer"), F.lit(kind).alias("kind"), F.lit(o).alias("grid_order")]
+            out.append(approximate.build_dual(x, GridSpec(o)).agg(*label("dual"), F.sum(4 * (F.size("cover") + F.size("core"))).alias("bytes"), F.sum("n_pip").alias("tests")))
+            out.append(approximate.build_coded(x, GridSpec(o)).agg(*label("coded"), F.sum(4 * F.size("runs") + F.length("code")).alias("bytes"), F.lit(0).cast("long").alias("tests")))
     return _all(out)
 
 
-@_query("w4_merge_order")
+@_query("w4_merge_order", _union(oracle.shares(oracle.dual_verdicts("sites", s, o, merge_order=m), pair=f"sites-{s}", merge_order=m) for s, o in (("ponds", 12), ("counties", 11)) for m in filters.ORDERS[:4]))
 def _(spark, d):
     """Merge orders: equal verdicts, unlike numbers of merges."""
     return _all([shares(_filtered(spark, d, "sites", s, "dual", o, merge_order=m), pair=f"sites-{s}", merge_order=m) for s, o in (("ponds", 12), ("counties", 11)) for m in filters.ORDERS[:4]])
@@ -99,7 +111,7 @@ def _grp(spark, d, name: str, g: int) -> DataFrame:
     return layer(spark, d, name).where(F.col("grp") == g)
 
 
-@_query("w5_tiles")
+@_query("w5_tiles", _union(oracle.shares(oracle.tiled_verdicts("sites", s, p, 10), pair=f"sites-{s}", tiles=p) for s in ("ponds", "counties") for p in (1, 2, 3, 4)))
 def _(spark, d):
     """Tiles per dimension: verdict shares."""
     out = []
@@ -109,12 +121,12 @@ def _(spark, d):
     return _all(out)
 
 
-@_query("w5_tiles_regions")
+@_query("w5_tiles_regions", _union(oracle.shares(oracle.tiled_verdicts("lakes", "parks", p, 10, g), region=g, tiles=p) for g in range(REGIONS) for p in (1, 2, 3, 4)))
 def _(spark, d):
     return _all([shares(join.partitioned_join(_grp(spark, d, "lakes", g), _grp(spark, d, "parks", g), p, 10).verdicts, region=g, tiles=p) for g in range(REGIONS) for p in (1, 2, 3, 4)])
 
 
-@_query("w6_tile_space")
+@_query("w6_tile_space", _union(oracle.tiled_bytes(x, p, 10) for x in POLYGONS for p in (1, 2, 3, 4)))
 def _(spark, d):
     """Tiles per dimension: bytes of the lists."""
     out = []
@@ -128,13 +140,21 @@ def _(spark, d):
     return _all(out)
 
 
-@_query("w7_mixed_orders")
+@_query("w7_mixed_orders", _union(oracle.shares(oracle.mixed_verdicts("sites", "counties", 12, o), right_order=o) for o in (12, 11, 10, 9, 8)))
 def _(spark, d):
     """Sites at a fine order with counties at coarser ones."""
     return _all([shares(_filtered(spark, d, "sites", "counties", "dual", order_left=12, order_right=o), right_order=o) for o in (12, 11, 10, 9, 8)])
 
 
-@_query("w8_constructions")
+def _constructions_sql(name: str, o: int) -> str:
+    """Ends of the lists from labelled cells; centre tests of each method: gaps, unlabelled gaps, regions, free cells."""
+    head = f"WITH RECURSIVE {duckdb_layer(name)}, {oracle.cells(name, o)}, {oracle.run_lists(name, o)}, {oracle.gaps(name, o)}, {oracle.regions(name)}"
+    tests = {"clip": "0", "flood": f"(SELECT n FROM {name}_regions)", "scanline": "0", "object_grid": f"(SELECT count(*) FROM {name}_w2 ANTI JOIN {name}_edge USING (oid, cx, cy))", "onestep_pip": f"(SELECT count(*) FROM {name}_gap)", "onestep_neighbours": f"(SELECT count(*) FROM {name}_gap WHERE root)"}
+    ends = ", ".join(f"(SELECT 2 * count(*) FROM {name}_runs WHERE list = '{x}') AS {x}_ends" for x in ("cover", "core"))
+    return head + " " + " UNION ALL ".join(f"SELECT '{name}' AS layer, '{m}' AS method, {ends}, {n} AS tests" for m, n in tests.items())
+
+
+@_query("w8_constructions", _union(_constructions_sql(x, o) for x, o in BUILD_ORDERS.items()))
 def _(spark, d):
     """All constructions build the same lists; their centre tests differ."""
     out = []
@@ -151,7 +171,12 @@ def _pairs(spark, d) -> list[tuple[str, DataFrame, DataFrame]]:
     return pairs + [(f"lakes-parks-{g}", _grp(spark, d, "lakes", g), _grp(spark, d, "parks", g)) for g in range(REGIONS)]
 
 
-@_query("w9_intersection_joins")
+#: The same pairs for the SQL: name, sides, group.
+_PAIRS = [(f"sites-{s}", "sites", s, None) for s in ("ponds", "counties")] + [(f"lakes-parks-{g}", "lakes", "parks", g) for g in range(REGIONS)]
+_KIND = {"dual_compressed": "dual"}
+
+
+@_query("w9_intersection_joins", _union(oracle.shares(oracle.method_verdicts(r, s, _KIND.get(m, m), 11, only=g), pair=n, method=m) for n, r, s, g in _PAIRS for m in join.METHODS))
 def _(spark, d):
     """Six filters on two pairs and five regional pairs."""
     return _all([shares(_filtered(spark, d, a, b, m, 11), pair=n, method=m) for n, a, b in _pairs(spark, d) for m in join.METHODS])
@@ -162,19 +187,26 @@ for _g in range(REGIONS):
     _query(f"w9_lakes_parks_{_g}", oracle.exact_intersects("lakes", "parks").replace(duckdb_layer("lakes"), _only("lakes")).replace(duckdb_layer("parks"), _only("parks")) + " SELECT rid, sid FROM result")(lambda spark, d, g=_g: join.spatial_join(_grp(spark, d, "lakes", g), _grp(spark, d, "parks", g), grid=GridSpec(12)).pairs.select("rid", "sid"))
 
 
-@_query("w10_dual_over_coded")
+_SPACE = _union(oracle.space(x, 12) for x in POLYGONS)
+_VERDICTS = _union(oracle.shares(oracle.method_verdicts(r, s, m, 11, only=g), pair=n, kind=m) for n, r, s, g in _PAIRS for m in ("coded", "dual"))
+
+
+@_query("w10_dual_over_coded", f"SELECT kind, least, most, mean, NULL::VARCHAR AS pair, NULL::VARCHAR AS verdict, NULL::BIGINT AS n, NULL::BIGINT AS merges, NULL::BIGINT AS share FROM ({oracle.ratios(_SPACE)}) UNION ALL SELECT kind, NULL, NULL, NULL, pair, verdict, n, merges, share FROM ({_VERDICTS})")
 def _(spark, d):
-    """How many times smaller dual lists are than coded ones, and the verdicts of both."""
+    """How many times smaller dual lists are than coded ones, and the verdicts of both; time ratios are bench.py's."""
     sizes = measures.ratio_report(measures.space_report({x: layer(spark, d, x) for x in POLYGONS}, GridSpec(12)))
     verdicts = _all([shares(_filtered(spark, d, a, b, m, 11), pair=n, kind=m) for n, a, b in _pairs(spark, d) for m in ("coded", "dual")])
     return sizes.unionByName(verdicts, allowMissingColumns=True)
 
 
-@_query("w11_size_variance")
+_SIZES = (("sites", 750), ("zones", 150), ("counties", 150), ("provinces", 150))
+
+
+@_query("w11_size_variance", _union(oracle.shares(oracle.method_verdicts("ponds", s, m, 11, max_cells=c), pair=f"ponds-{s}", method=m) for s, c in _SIZES for m in ("direct", "local_raster", "corner_hull", "dual")))
 def _(spark, d):
     """Ponds with ever larger objects: direct, local raster, corner and hull, dual."""
     out = []
-    for s, cells in (("sites", 750), ("zones", 150), ("counties", 150), ("provinces", 150)):
+    for s, cells in _SIZES:
         for m in ("direct", "local_raster", "corner_hull", "dual"):
             out.append(shares(_filtered(spark, d, "ponds", s, m, 11, max_cells=cells), pair=f"ponds-{s}", method=m))
     return _all(out)
@@ -183,18 +215,21 @@ def _(spark, d):
 _query("w11_ponds_zones", oracle.exact_intersects("ponds", "zones") + " SELECT rid, sid FROM result")(lambda spark, d: join.spatial_join(layer(spark, d, "ponds"), layer(spark, d, "zones"), grid=GridSpec(12)).pairs.select("rid", "sid"))
 
 
-@_query("w12_selections")
+@_query("w12_selections", _union(oracle.shares(oracle.method_verdicts("probes", x, m, 10), layer=x, method=m) for x in ("sites", "ponds") for m in ("coded", "dual")))
 def _(spark, d):
     """Query polygons over two layers, coded and dual."""
     probes = layer(spark, d, "probes")
     return _all([shares(join.spatial_select(layer(spark, d, t), probes, m, GridSpec(10)).verdicts, layer=t, method=m) for t in ("sites", "ponds") for m in ("coded", "dual")])
 
 
-@_query("w13_within")
+_WITHIN = (("ponds", "sites", FINE), ("sites", "counties", COARSE), ("ponds", "counties", 10))
+
+
+@_query("w13_within", _union(oracle.shares(oracle.method_verdicts(r, s, m, o, "within", b), pair=f"{r}-{s}", method=m, boxes=b) for r, s, o in _WITHIN for m in ("direct", "corner_hull", "local_raster", "coded", "dual") for b in ("within", "intersects")))
 def _(spark, d):
     """Containment joins by all methods, on containing and on intersecting boxes."""
     out = []
-    for r, s, o in (("ponds", "sites", FINE), ("sites", "counties", COARSE), ("ponds", "counties", 10)):
+    for r, s, o in _WITHIN:
         for m in ("direct", "corner_hull", "local_raster", "coded", "dual"):
             for boxes in ("within", "intersects"):
                 out.append(shares(_filtered(spark, d, r, s, m, o, "within", boxes=boxes), pair=f"{r}-{s}", method=m, boxes=boxes))
@@ -204,26 +239,54 @@ def _(spark, d):
 _query("w13_ponds_in_counties", oracle.exact_within("ponds", "counties") + " SELECT rid, sid FROM result")(lambda spark, d: join.spatial_join(layer(spark, d, "ponds"), layer(spark, d, "counties"), "within", grid=GridSpec(11)).pairs.select("rid", "sid"))
 
 
-@_query("w14_lines")
+_LINES = (("sites", 12), ("ponds", 14), ("counties", 10))
+
+
+@_query("w14_lines", _union(oracle.shares(oracle.method_verdicts(r, "tracks", m, o, "line"), pair=f"{r}-tracks", method=m) for r, o in _LINES for m in ("direct", "corner_hull", "dual")))
 def _(spark, d):
     """Polygons with paths: direct, corner and hull, dual."""
-    return _all([shares(_filtered(spark, d, r, "tracks", m, o, "line"), pair=f"{r}-tracks", method=m) for r, o in (("sites", 12), ("ponds", 14), ("counties", 10)) for m in ("direct", "corner_hull", "dual")])
+    return _all([shares(_filtered(spark, d, r, "tracks", m, o, "line"), pair=f"{r}-tracks", method=m) for r, o in _LINES for m in ("direct", "corner_hull", "dual")])
+
+
+def _compression_sql(pair: str, r: str, s: str, g: int | None) -> str:
+    """Bytes that each decoding reads: both lists of every merge that is made."""
+    o = _decode_order(pair)
+    head = f"{oracle.dual_verdicts(r, s, o, only=g)}, " + ", ".join(f"{oracle.run_lists(x, o)}, {oracle.list_bytes(x)}, {x}_z AS (SELECT oid, coalesce(sum({{0}}) FILTER (WHERE list = 'cover'), 0) AS c, coalesce(sum({{0}}) FILTER (WHERE list = 'core'), 0) AS k FROM {x}_bytes GROUP BY oid)" for x in (r, s))
+    read = "a.c + b.c + CASE WHEN merges > 1 THEN a.c + b.k ELSE 0 END + CASE WHEN merges > 2 THEN a.k + b.c ELSE 0 END"
+    rows = lambda name, size: f"{head.replace('{0}', size)} SELECT '{pair}' AS pair, '{name}' AS decoding, verdict, count(*) AS n, CAST(sum({read}) AS BIGINT) AS bytes FROM verdicts JOIN {r}_z a ON a.oid = rid JOIN {s}_z b ON b.oid = sid GROUP BY verdict"
+    return f"SELECT * FROM ({rows('whole', 'bytes')}) UNION ALL SELECT * FROM ({rows('plain', '8 * ends')})"
 
 
-@_query("w15_compression")
+def _decode_order(pair: str) -> int:
+    return 10 if pair == "sites-counties" else 12
+
+
+@_query("w15_compression", _union(_compression_sql(*x) for x in _PAIRS))
 def _(spark, d):
-    """Plain, compressed and incrementally decoded lists: equal verdicts; bytes decoded."""
+    """Plain lists (8 bytes a run) and compressed ones decoded whole: equal verdicts; bytes that the merges read."""
     out = []
     for pair, a, b in _pairs(spark, d):
-        o = 10 if pair == "sites-counties" else 12
         pairs = mbr.mbr_join(a, b).drop("tile_id")
-        coded = [approximate.build_dual(x, GridSpec(o), compressed=True) for x in (a, b)]
-        for name, inc in (("whole", False), ("incremental", True)):
-            got = filters.dual_filter(pairs, *coded, compressed=True, incremental=inc)
+        for name, packed in (("whole", True), ("plain", False)):
+            lists = [approximate.build_dual(x, GridSpec(_decode_order(pair)), compressed=packed) for x in (a, b)]
+            got = filters.dual_filter(pairs, *lists, compressed=packed)
             out.append(got.groupBy("verdict").agg(F.lit(pair).alias("pair"), F.lit(name).alias("decoding"), F.count(F.lit(1)).alias("n"), F.sum("bytes_decoded").alias("bytes")))
     return _all(out)
 
 
+@_query("w15_incremental", _union(f"{oracle.dual_verdicts(r, s, _decode_order(n), only=g)} SELECT '{n}' AS pair, verdict, count(*) AS n, TRUE AS reads_less FROM verdicts GROUP BY verdict" for n, r, s, g in _PAIRS))
+def _(spark, d):
+    """Lists decoded block by block inside the merge: equal verdicts, and never more bytes than whole lists."""
+    out = []
+    for pair, a, b in _pairs(spark, d):
+        pairs = mbr.mbr_join(a, b).drop("tile_id")
+        coded = [approximate.build_dual(x, GridSpec(_decode_order(pair)), compressed=True) for x in (a, b)]
+        whole, parts = (filters.dual_filter(pairs, *coded, compressed=True, incremental=inc).select("rid", "sid", "verdict", F.col("bytes_decoded").alias(name)) for name, inc in (("whole", False), ("parts", True)))
+        both = whole.join(parts, ["rid", "sid", "verdict"])
+        out.append(both.groupBy("verdict").agg(F.lit(pair).alias("pair"), F.count(F.lit(1)).alias("n"), F.bool_and(F.col("parts") <= F.col("whole")).alias("reads_less")))
+    return _all(out)
+
+
 @_query("w16_examples", "SELECT * FROM (VALUES ('and_of_aligned_codes', 'false'), ('code_of_run_9_12', '100101100'), ('xor_maps_left_to_right', 'true')) t(example, value)")
 def _(spark, d):
     """The worked examples: packing, alignment, swapping."""

@@ -167,8 +167,11 @@ def _dh(k: str, salt: int) -> str:
     return _dmix(_dmix(f"((({k}) * 2654435 + {salt * 97531 + 12345}) & {_M})"))
 
 
-def duckdb_layer(name: str) -> str:
-    """CTEs ``{name}_v(oid, grp, i, x, y)`` (vertices) and ``{name}(oid, grp, xmin, ymin, xmax, ymax, n)``."""
+def duckdb_layer(name: str, only: int | None = None) -> str:
+    """CTEs ``{name}_v(oid, grp, i, x, y)`` (vertices) and ``{name}(oid, grp, xmin, ymin, xmax, ymax, n)``.
+
+    ``only``: the objects of one group.
+    """
     if name == "tracks":
         return _duckdb_tracks()
     if name == "probes":
@@ -200,7 +203,7 @@ def duckdb_layer(name: str) -> str:
     return f"""{name}_c AS (SELECT {key} AS oid, {grp} AS grp, {kk} AS kk, {x} AS cx, {y} AS cy, {q.rmin} + {_dh(kk, 4)} % {q.rmax - q.rmin} AS r FROM {source}),
 {name}_r AS (SELECT oid, grp, i, cx, cy, {r} AS ri FROM {name}_c, (SELECT unnest(range({q.n})) AS i)),
 {name}_v AS (SELECT oid, grp, i, cx + (({dx}[i + 1] * ri) >> 16) AS x, cy + (({dy}[i + 1] * ri) >> 16) AS y FROM {name}_r),
-{name} AS (SELECT oid, any_value(grp) AS grp, min(x) AS xmin, min(y) AS ymin, max(x) AS xmax, max(y) AS ymax, count(*) AS n FROM {name}_v GROUP BY oid)"""
+{name} AS (SELECT oid, any_value(grp) AS grp, min(x) AS xmin, min(y) AS ymin, max(x) AS xmax, max(y) AS ymax, count(*) AS n FROM {name}_v{'' if only is None else f' WHERE grp = {only}'} GROUP BY oid)"""
 
 
 def _duckdb_tracks() -> str:
