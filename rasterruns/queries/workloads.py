@@ -66,10 +66,13 @@ def _(spark, d):
     return measures.layer_stats({x: layer(spark, d, x) for x in POLYGONS})
 
 
-@_query("w1_space", _union(oracle.space(x, 12) for x in POLYGONS))
-def _(spark, d):
-    """Bytes of every representation."""
-    return measures.space_report({x: layer(spark, d, x) for x in POLYGONS}, GridSpec(12))
+# The tables of the larger experiments are split by layer or pair, so that each comparison stays small.
+for _x in POLYGONS:
+
+    @_query(f"w1_space_{_x}", oracle.space(_x, 12))
+    def _(spark, d, x=_x):
+        """Bytes of every representation."""
+        return measures.space_report({x: layer(spark, d, x)}, GridSpec(12))
 
 
 @_query("w2_order_effect", _union(oracle.shares(oracle.method_verdicts("sites", "ponds", m, o), method=m, grid_order=o) for m in ("coded", "dual") for o in ORDERS))
@@ -126,18 +129,18 @@ def _(spark, d):
     return _all([shares(join.partitioned_join(_grp(spark, d, "lakes", g), _grp(spark, d, "parks", g), p, 10).verdicts, region=g, tiles=p) for g in range(REGIONS) for p in (1, 2, 3, 4)])
 
 
-@_query("w6_tile_space", _union(oracle.tiled_bytes(x, p, 10) for x in POLYGONS for p in (1, 2, 3, 4)))
-def _(spark, d):
-    """Tiles per dimension: bytes of the lists."""
-    out = []
-    for name in POLYGONS:
-        x = layer(spark, d, name)
+for _x in POLYGONS:
+
+    @_query(f"w6_tile_space_{_x}", _union(oracle.tiled_bytes(_x, p, 10) for p in (1, 2, 3, 4)))
+    def _(spark, d, name=_x):
+        """Tiles per dimension: bytes of the lists."""
+        x, out = layer(spark, d, name), []
         for p in (1, 2, 3, 4):
             t = tiles.uniform_tiles(p)
             boxes = tiles.raster_boxes([tiles.replicate(x, t)], 10)
             got = approximate.build_dual(tiles.assign(x, t, boxes))
             out.append(got.agg(F.lit(name).alias("layer"), F.lit(p).alias("tiles"), F.sum(4 * (F.size("cover") + F.size("core"))).alias("bytes")))
-    return _all(out)
+        return _all(out)
 
 
 @_query("w7_mixed_orders", _union(oracle.shares(oracle.mixed_verdicts("sites", "counties", 12, o), right_order=o) for o in (12, 11, 10, 9, 8)))
@@ -165,21 +168,29 @@ def _(spark, d):
     return _all(out)
 
 
+#: The pairs of layers that intersection joins run on: name, sides, group.
+_PAIRS = [(f"sites-{s}", "sites", s, None) for s in ("ponds", "counties")] + [(f"lakes-parks-{g}", "lakes", "parks", g) for g in range(REGIONS)]
+_KIND = {"dual_compressed": "dual"}
+
+
+def _pair(spark, d, r: str, s: str, g: int | None) -> list[DataFrame]:
+    return [layer(spark, d, x) if g is None else _grp(spark, d, x, g) for x in (r, s)]
+
+
 def _pairs(spark, d) -> list[tuple[str, DataFrame, DataFrame]]:
     """The pairs of layers that intersection joins run on."""
-    pairs = [(f"sites-{s}", layer(spark, d, "sites"), layer(spark, d, s)) for s in ("ponds", "counties")]
-    return pairs + [(f"lakes-parks-{g}", _grp(spark, d, "lakes", g), _grp(spark, d, "parks", g)) for g in range(REGIONS)]
+    return [(n, *_pair(spark, d, r, s, g)) for n, r, s, g in _PAIRS]
 
 
-#: The same pairs for the SQL: name, sides, group.
-_PAIRS = [(f"sites-{s}", "sites", s, None) for s in ("ponds", "counties")] + [(f"lakes-parks-{g}", "lakes", "parks", g) for g in range(REGIONS)]
-_KIND = {"dual_compressed": "dual"}
 
 
-@_query("w9_intersection_joins", _union(oracle.shares(oracle.method_verdicts(r, s, _KIND.get(m, m), 11, only=g), pair=n, method=m) for n, r, s, g in _PAIRS for m in join.METHODS))
-def _(spark, d):
-    """Six filters on two pairs and five regional pairs."""
-    return _all([shares(_filtered(spark, d, a, b, m, 11), pair=n, method=m) for n, a, b in _pairs(spark, d) for m in join.METHODS])
+for _n, _r, _s, _g in _PAIRS:
+
+    @_query(f"w9_joins_{_n.replace('-', '_')}", _union(oracle.shares(oracle.method_verdicts(_r, _s, _KIND.get(m, m), 11, only=_g), pair=_n, method=m) for m in join.METHODS))
+    def _(spark, d, n=_n, r=_r, s=_s, g=_g):
+        """Six filters on a pair of layers (two pairs and five regional ones)."""
+        a, b = _pair(spark, d, r, s, g)
+        return _all([shares(_filtered(spark, d, a, b, m, 11), pair=n, method=m) for m in join.METHODS])
 
 
 for _g in range(REGIONS):
@@ -187,29 +198,27 @@ for _g in range(REGIONS):
     _query(f"w9_lakes_parks_{_g}", oracle.exact_intersects("lakes", "parks").replace(duckdb_layer("lakes"), _only("lakes")).replace(duckdb_layer("parks"), _only("parks")) + " SELECT rid, sid FROM result")(lambda spark, d, g=_g: join.spatial_join(_grp(spark, d, "lakes", g), _grp(spark, d, "parks", g), grid=GridSpec(12)).pairs.select("rid", "sid"))
 
 
-_SPACE = _union(oracle.space(x, 12) for x in POLYGONS)
-_VERDICTS = _union(oracle.shares(oracle.method_verdicts(r, s, m, 11, only=g), pair=n, kind=m) for n, r, s, g in _PAIRS for m in ("coded", "dual"))
+@_query("w10_space_ratios", oracle.ratios(_union(oracle.space(x, 12) for x in POLYGONS)))
+def _(spark, d):
+    """How many times smaller dual lists are than coded ones, over all layers; time ratios are bench.py's."""
+    return measures.ratio_report(measures.space_report({x: layer(spark, d, x) for x in POLYGONS}, GridSpec(12)))
 
 
-@_query("w10_dual_over_coded", f"SELECT kind, least, most, mean, NULL::VARCHAR AS pair, NULL::VARCHAR AS verdict, NULL::BIGINT AS n, NULL::BIGINT AS merges, NULL::BIGINT AS share FROM ({oracle.ratios(_SPACE)}) UNION ALL SELECT kind, NULL, NULL, NULL, pair, verdict, n, merges, share FROM ({_VERDICTS})")
+@_query("w10_verdicts", _union(oracle.shares(oracle.method_verdicts(r, s, m, 11, only=g), pair=n, kind=m) for n, r, s, g in _PAIRS for m in ("coded", "dual")))
 def _(spark, d):
-    """How many times smaller dual lists are than coded ones, and the verdicts of both; time ratios are bench.py's."""
-    sizes = measures.ratio_report(measures.space_report({x: layer(spark, d, x) for x in POLYGONS}, GridSpec(12)))
-    verdicts = _all([shares(_filtered(spark, d, a, b, m, 11), pair=n, kind=m) for n, a, b in _pairs(spark, d) for m in ("coded", "dual")])
-    return sizes.unionByName(verdicts, allowMissingColumns=True)
+    """What coded and dual runs settle on all pairs: equal misses, and coded hits contain dual hits."""
+    return _all([shares(_filtered(spark, d, a, b, m, 11), pair=n, kind=m) for n, a, b in _pairs(spark, d) for m in ("coded", "dual")])
 
 
 _SIZES = (("sites", 750), ("zones", 150), ("counties", 150), ("provinces", 150))
 
 
-@_query("w11_size_variance", _union(oracle.shares(oracle.method_verdicts("ponds", s, m, 11, max_cells=c), pair=f"ponds-{s}", method=m) for s, c in _SIZES for m in ("direct", "local_raster", "corner_hull", "dual")))
-def _(spark, d):
-    """Ponds with ever larger objects: direct, local raster, corner and hull, dual."""
-    out = []
-    for s, cells in _SIZES:
-        for m in ("direct", "local_raster", "corner_hull", "dual"):
-            out.append(shares(_filtered(spark, d, "ponds", s, m, 11, max_cells=cells), pair=f"ponds-{s}", method=m))
-    return _all(out)
+for _s, _c in _SIZES:
+
+    @_query(f"w11_size_variance_{_s}", _union(oracle.shares(oracle.method_verdicts("ponds", _s, m, 11, max_cells=_c), pair=f"ponds-{_s}", method=m) for m in ("direct", "local_raster", "corner_hull", "dual")))
+    def _(spark, d, s=_s, cells=_c):
+        """Ponds with ever larger objects: direct, local raster, corner and hull, dual."""
+        return _all([shares(_filtered(spark, d, "ponds", s, m, 11, max_cells=cells), pair=f"ponds-{s}", method=m) for m in ("direct", "local_raster", "corner_hull", "dual")])
 
 
 _query("w11_ponds_zones", oracle.exact_intersects("ponds", "zones") + " SELECT rid, sid FROM result")(lambda spark, d: join.spatial_join(layer(spark, d, "ponds"), layer(spark, d, "zones"), grid=GridSpec(12)).pairs.select("rid", "sid"))
@@ -225,15 +234,12 @@ def _(spark, d):
 _WITHIN = (("ponds", "sites", FINE), ("sites", "counties", COARSE), ("ponds", "counties", 10))
 
 
-@_query("w13_within", _union(oracle.shares(oracle.method_verdicts(r, s, m, o, "within", b), pair=f"{r}-{s}", method=m, boxes=b) for r, s, o in _WITHIN for m in ("direct", "corner_hull", "local_raster", "coded", "dual") for b in ("within", "intersects")))
-def _(spark, d):
-    """Containment joins by all methods, on containing and on intersecting boxes."""
-    out = []
-    for r, s, o in _WITHIN:
-        for m in ("direct", "corner_hull", "local_raster", "coded", "dual"):
-            for boxes in ("within", "intersects"):
-                out.append(shares(_filtered(spark, d, r, s, m, o, "within", boxes=boxes), pair=f"{r}-{s}", method=m, boxes=boxes))
-    return _all(out)
+for _r, _s, _o in _WITHIN:
+
+    @_query(f"w13_within_{_r}_{_s}", _union(oracle.shares(oracle.method_verdicts(_r, _s, m, _o, "within", b), pair=f"{_r}-{_s}", method=m, boxes=b) for m in ("direct", "corner_hull", "local_raster", "coded", "dual") for b in ("within", "intersects")))
+    def _(spark, d, r=_r, s=_s, o=_o):
+        """Containment joins by all methods, on containing and on intersecting boxes."""
+        return _all([shares(_filtered(spark, d, r, s, m, o, "within", boxes=boxes), pair=f"{r}-{s}", method=m, boxes=boxes) for m in ("direct", "corner_hull", "local_raster", "coded", "dual") for boxes in ("within", "intersects")])
 
 
 _query("w13_ponds_in_counties", oracle.exact_within("ponds", "counties") + " SELECT rid, sid FROM result")(lambda spark, d: join.spatial_join(layer(spark, d, "ponds"), layer(spark, d, "counties"), "within", grid=GridSpec(11)).pairs.select("rid", "sid"))

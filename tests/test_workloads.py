@@ -21,15 +21,18 @@ def labels(spark, monkeypatch, query, owner, name, stub, sf_dir):
     return seen
 
 
-@pytest.mark.parametrize("query", ["w1_space", "w10_dual_over_coded"])
-def test_space_covers_all_layers(spark, sf_dir, monkeypatch, query):
+def test_space_covers_all_layers(spark, sf_dir, monkeypatch):
+    seen = []
+
     def report(layers, *_):
-        assert set(layers) == set(workloads.POLYGONS)
+        seen.append(set(layers))
         raise Stop
 
     monkeypatch.setattr(measures, "space_report", report)
-    with pytest.raises(Stop):
-        workloads.Q[query](spark, sf_dir)
+    for query in [f"w1_space_{x}" for x in workloads.POLYGONS] + ["w10_space_ratios"]:
+        with pytest.raises(Stop):
+            workloads.Q[query](spark, sf_dir)
+    assert seen == [{x} for x in workloads.POLYGONS] + [set(workloads.POLYGONS)]
 
 
 def test_regions_take_one_to_four_tiles(spark, sf_dir, monkeypatch):
@@ -53,13 +56,16 @@ def test_tile_space_covers_all_layers(spark, sf_dir, monkeypatch):
     monkeypatch.setattr(tiles, "assign", lambda x, *_: x)
     empty = spark.createDataFrame([], "cover array<long>, core array<long>")
     monkeypatch.setattr(approximate, "build_dual", lambda *_: empty)
-    got = {(r.layer, r.tiles) for r in workloads.Q["w6_tile_space"](spark, sf_dir).collect()}
+    got = {(r.layer, r.tiles) for x in workloads.POLYGONS for r in workloads.Q[f"w6_tile_space_{x}"](spark, sf_dir).collect()}
     assert got == {(x, p) for x in workloads.POLYGONS for p in (1, 2, 3, 4)}
 
 
 def test_compression_runs_on_all_pairs(spark, sf_dir):
     n = {}
     for r in workloads.Q["w15_compression"](spark, sf_dir).collect():
-        n.setdefault(r.pair, {}).setdefault(r.decoding, {})[r.verdict] = r.n
+        n.setdefault(r.pair, {}).setdefault(r.decoding, {})[r.verdict] = (r.n, r.bytes)
     assert set(n) <= PAIRS and len(n) > 2
-    assert all(x["whole"] == x["incremental"] for x in n.values())
+    for x in n.values():
+        assert {k: v[0] for k, v in x["whole"].items()} == {k: v[0] for k, v in x["plain"].items()}
+        assert all(x["whole"][k][1] < x["plain"][k][1] for k in x["whole"])
+    assert all(r.reads_less for r in workloads.Q["w15_incremental"](spark, sf_dir).collect())
