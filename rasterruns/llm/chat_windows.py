@@ -1,11 +1,13 @@
 """Chat formatting in budgeted windows, with DataFrame functions only.
 
-A conversation's turns get prefix sums of their token counts.  The sum before
-a turn, divided by half the budget, names the turn's window, so windows are
-turn-aligned and hold at most the budget unless a single turn exceeds half of
-it.  Each window repeats the leading system turn and a limited history of
-turns just before it; repeated turns are context, outside the loss mask, so
-each assistant text is under the mask once.
+A conversation's turns get prefix sums of their token counts.  What the budget
+leaves beside the system turn and the history is the span: turns that lie
+between the same two multiples of the span along the sums share a window, and a
+turn that crosses a multiple has a window of its own.  Each window repeats the
+leading system turn and, as far as the budget still allows, a limited history
+of the turns just before it, so a window never exceeds the budget unless the
+system turn and one turn alone do.  Repeated turns are context, outside the loss
+mask, so each assistant text is under the mask once.
 
 Template: a turn is ``<turn:n>`` (new) or ``<turn:c>`` (context), the role, a
 newline, the text and ``</turn>`` with a newline.  In roles and texts ``&``,
@@ -23,7 +25,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-#: Tokens of new turns a window may hold, and of history it may repeat (at most HISTORY_TURNS turns).
+#: Tokens of a window with all that it repeats, and of the history among them (at most HISTORY_TURNS turns).
 BUDGET = 512
 HISTORY_TOKENS = 128
 HISTORY_TURNS = 2
@@ -53,39 +55,45 @@ def format_windows(turns: DataFrame, budget: int = BUDGET, history_tokens: int =
     """``turns(conv_id, turn, role, text)`` -> one row per window.
 
     Columns: conv_id, window (from 1), text, loss (array of start, length in
-    characters), n_new, n_context.  One shuffle, by conversation; only the
-    turns of one window are ever held together.
+    characters), n_new, n_context, tokens.  One shuffle, by conversation; rows
+    hold the turns of one window.
     """
     t = turns.select("conv_id", "turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
     t = t.select("conv_id", "turn", "role", "text", _swap(escape(F.col("role")), "\n", "&n").alias("safe_role"), escape(F.col("text")).alias("safe"))
     line = Window.partitionBy("conv_id").orderBy(F.col("turn").asc_nulls_first(), "role", "text")
     t = t.withColumn("pos", F.row_number().over(line))
     t = t.withColumn("is_system", (F.col("pos") == 1) & (F.col("role") == "system"))
-    t = t.withColumn("tokens", F.when(F.col("is_system"), F.lit(0)).otherwise(F.ceil(F.length("safe") / 4) + 4).cast("long"))
+    cost = (F.ceil(F.length("safe") / 4) + 4).cast("long")
+    # the system turn is charged to every window apart from the sums
+    t = t.withColumn("system", F.first(F.when(F.col("is_system"), cost).otherwise(F.lit(0))).over(line))
+    t = t.withColumn("tokens", F.when(F.col("is_system"), F.lit(0)).otherwise(cost).cast("long"))
     t = t.withColumn("start", F.coalesce(F.sum("tokens").over(line.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
-    t = t.withColumn("span", F.floor(F.col("start") / (budget // 2)))
-    t = t.withColumn("opens", F.coalesce((F.col("span") != F.lag("span").over(line)), F.lit(True)).cast("int"))
+    width = F.greatest(F.lit(budget - history_tokens) - F.col("system"), F.lit(1))
+    t = t.withColumn("span", F.floor(F.col("start") / width))
+    t = t.withColumn("crosses", (F.col("tokens") > 0) & (F.floor((F.col("start") + F.col("tokens") - 1) / width) > F.col("span")))
+    opens = (F.col("span") != F.lag("span").over(line)) | F.col("crosses") | F.lag("crosses").over(line)
+    t = t.withColumn("opens", F.coalesce(opens, F.lit(True)).cast("int"))
     t = t.withColumn("win", F.sum("opens").over(line.rowsBetween(Window.unboundedPreceding, 0)).cast("int"))
-    after = [(F.lead("win", k).over(line), F.lead("start", k).over(line)) for k in range(1, history_turns + 1)]
-    for k, (w, s) in enumerate(after, 1):
-        t = t.withColumn(f"w{k}", w).withColumn(f"s{k}", s)
+    t = t.withColumn("room", F.least(F.lit(history_tokens), F.lit(budget) - F.col("system") - F.sum("tokens").over(Window.partitionBy("conv_id", "win"))))
+    for k in range(1, history_turns + 1):
+        t = t.withColumn(f"w{k}", F.lead("win", k).over(line)).withColumn(f"s{k}", F.lead("start", k).over(line)).withColumn(f"r{k}", F.lead("room", k).over(line))
     t = t.withColumn("last_win", F.max("win").over(Window.partitionBy("conv_id")))
     seen, repeats = F.col("win"), []
     for k in range(1, history_turns + 1):
-        fits = (F.col(f"w{k}") > seen) & (F.col(f"s{k}") - F.col("start") <= history_tokens)
+        fits = (F.col(f"w{k}") > seen) & (F.col(f"s{k}") - F.col("start") <= F.col(f"r{k}"))
         repeats.append(F.when(fits, F.col(f"w{k}")))
         seen = F.greatest(seen, F.col(f"w{k}"))
     history = F.array_compact(F.array(*repeats)) if repeats else F.array().cast("array<int>")
     again = F.when(F.col("is_system"), F.when(F.col("last_win") > 1, F.sequence(F.lit(2), F.col("last_win"))).otherwise(F.array().cast("array<int>"))).otherwise(history)
     placed = t.withColumn("window", F.explode(F.concat(F.array("win"), again))).withColumn("is_new", F.col("window") == F.col("win"))
     head = F.concat(F.when(F.col("is_new"), F.lit(OPEN_NEW)).otherwise(F.lit(OPEN_CONTEXT)), F.col("safe_role"), F.lit("\n"))
-    placed = placed.select("conv_id", "window", "pos", "is_new", (F.col("is_new") & (F.col("role") == "assistant")).alias("learn"), F.length(head).alias("head"), F.length("safe").alias("body"), F.concat(head, F.col("safe"), F.lit(CLOSE)).alias("piece"))
+    placed = placed.select("conv_id", "window", "pos", "is_new", (F.col("is_new") & (F.col("role") == "assistant")).alias("learn"), F.length(head).alias("head"), F.length("safe").alias("body"), F.concat(head, F.col("safe"), F.lit(CLOSE)).alias("piece"), F.when(F.col("is_system"), F.col("system")).otherwise(F.col("tokens")).alias("tokens"))
     inside = Window.partitionBy("conv_id", "window").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
     placed = placed.withColumn("off", F.coalesce(F.sum(F.length("piece")).over(inside), F.lit(0)).cast("int"))
-    parts = placed.groupBy("conv_id", "window").agg(F.array_sort(F.collect_list(F.struct("pos", "piece", "learn", (F.col("off") + F.col("head")).alias("start"), "body"))).alias("parts"), F.sum(F.col("is_new").cast("int")).cast("long").alias("n_new"), F.sum((~F.col("is_new")).cast("int")).cast("long").alias("n_context"))
+    parts = placed.groupBy("conv_id", "window").agg(F.array_sort(F.collect_list(F.struct("pos", "piece", "learn", (F.col("off") + F.col("head")).alias("start"), "body"))).alias("parts"), F.sum(F.col("is_new").cast("int")).cast("long").alias("n_new"), F.sum((~F.col("is_new")).cast("int")).cast("long").alias("n_context"), F.sum("tokens").alias("tokens"))
     text = F.array_join(F.transform("parts", lambda p: p["piece"]), "")
     loss = F.transform(F.filter("parts", lambda p: p["learn"]), lambda p: F.struct(p["start"].alias("start"), p["body"].alias("length")))
-    return parts.select("conv_id", "window", text.alias("text"), loss.alias("loss"), "n_new", "n_context")
+    return parts.select("conv_id", "window", text.alias("text"), loss.alias("loss"), "n_new", "n_context", "tokens")
 
 
 def read_back(windows: DataFrame) -> DataFrame:

@@ -17,7 +17,8 @@ are.
 Defined results: null, zero and non-finite vectors (and vectors with null
 components) link with nothing and stay as rows of their own; vectors of
 different lengths never link; a row without an id gets a row with null
-component; an empty table gives no rows.
+component; rows that share an id are judged by their own vectors, each as a
+vector of its own; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -26,7 +27,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rasterruns.llm.common import materialize
@@ -44,13 +45,19 @@ SLACK = 1e-6
 
 
 def _valid(df: DataFrame, key: str, vector: str) -> DataFrame:
+    """``(vec_id, d, v)`` of every row; d and v are null where the row takes no part."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for d, ids, m in matrices(batch.column(0), batch.column(1)):
-                peak = np.abs(m).max(axis=1) if d else np.zeros(len(m))
-                fine = peak > 0
-                m = m[fine] + 0.0  # no negative zero
-                yield pa.RecordBatch.from_arrays([pa.array(ids[fine], pa.int64()), pa.array(np.full(len(m), d), pa.int32()), pa.array([r.tobytes() for r in m], pa.binary())], names=["vec_id", "d", "v"])
+            ids, at = batch.column(0), pa.array(np.arange(batch.num_rows))
+            rest = np.ones(batch.num_rows, bool)
+            for d, row, m in matrices(at, batch.column(1)):
+                fine = (np.abs(m).max(axis=1) > 0 if d else np.zeros(len(m), bool)) & ids.take(pa.array(row)).is_valid().to_numpy(zero_copy_only=False)
+                row, m = row[fine], m[fine] + 0.0  # no negative zero
+                rest[row] = False
+                yield pa.RecordBatch.from_arrays([ids.take(pa.array(row)), pa.array(np.full(len(m), d), pa.int32()), pa.array([r.tobytes() for r in m], pa.binary())], names=["vec_id", "d", "v"])
+            n = int(rest.sum())
+            yield pa.RecordBatch.from_arrays([ids.filter(pa.array(rest)), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary())], names=["vec_id", "d", "v"])
 
     return df.select(df[key].cast("long").alias("vec_id"), df[vector].alias("v")).mapInArrow(run, "vec_id long, d int, v binary")
 
@@ -161,14 +168,23 @@ def _join(a: _Strip, b: _Strip, same: bool, least: float, eps: float):
     return na, nb, edges
 
 
-def _strip_pairs(blocks: DataFrame, eps: float) -> DataFrame:
-    """Pairs of strips whose boxes come within eps: an equi-join on the reachable cells of the first dimension."""
-    boxes = blocks.groupBy("strip").agg(*[f(F.element_at(side, 1)).alias(n) for f, side, n in ((F.min, "low", "lo"), (F.max, "high", "hi"))])
+def _strip_pairs(blocks: DataFrame, m: int, eps: float) -> DataFrame:
+    """Pairs of strips whose boxes come within eps on all leading dimensions.
+
+    An equi-join on the reachable cells of the first dimension, then the distance of the boxes.
+    """
+    lows = [F.min(F.element_at("low", j + 1)).alias(f"lo{j}") for j in range(m)]
+    highs = [F.max(F.element_at("high", j + 1)).alias(f"hi{j}") for j in range(m)]
+    boxes = blocks.groupBy("strip").agg(*lows, *highs)
     cell = lambda c: F.floor(F.col(c) / eps)
-    left = boxes.select(F.col("strip").alias("s"), F.col("lo").alias("slo"), F.col("hi").alias("shi"), F.explode(F.sequence(cell("lo") - 1, cell("hi") + 1)).alias("cell"))
-    right = boxes.select(F.col("strip").alias("t"), F.col("lo").alias("tlo"), F.col("hi").alias("thi"), F.explode(F.sequence(cell("lo"), cell("hi"))).alias("cell"))
-    reach = (F.col("tlo") <= F.col("shi") + eps + SLACK) & (F.col("slo") <= F.col("thi") + eps + SLACK) & (F.col("s") >= F.col("t"))
-    return left.join(right, "cell").where(reach).select("s", "t").distinct()
+    corners = lambda p: [F.col(f"{x}{j}").alias(f"{p}{x}{j}") for x in ("lo", "hi") for j in range(m)]
+    left = boxes.select(F.col("strip").alias("s"), *corners("s"), F.explode(F.sequence(cell("lo0") - 1, cell("hi0") + 1)).alias("cell"))
+    right = boxes.select(F.col("strip").alias("t"), *corners("t"), F.explode(F.sequence(cell("lo0"), cell("hi0"))).alias("cell"))
+    gap = F.lit(0.0)
+    for j in range(m):
+        apart = F.greatest(F.lit(0.0), F.col(f"tlo{j}") - F.col(f"shi{j}"), F.col(f"slo{j}") - F.col(f"thi{j}"))
+        gap = gap + apart * apart
+    return left.join(right, "cell").where((F.col("s") >= F.col("t")) & (gap <= (eps + SLACK) ** 2)).select("s", "t").distinct()
 
 
 def _links(rows: DataFrame, d: int, total: int, least: float) -> DataFrame:
@@ -178,10 +194,10 @@ def _links(rows: DataFrame, d: int, total: int, least: float) -> DataFrame:
     blocks = materialize(_blocks(_sequence(rows, d, axes, eps), d, axes))
     count = blocks.count()
     size = max(1, min(STRIP, count // 8))
-    # one row a block: far below one task's load up to many billions of vectors
-    place = (F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("block")) - 1).cast("long")
-    places = blocks.select("block", "low", "high").withColumn("strip", F.floor(place / size))
-    pairs = _strip_pairs(places, eps)
+    # a block's number holds its partition in the upper bits; strips are stretches within a partition
+    part = F.shiftright("block", 33)
+    places = blocks.select("block", "low", "high").withColumn("strip", F.shiftleft(part, 33) + F.floor((F.col("block") - F.shiftleft(part, 33)) / size))
+    pairs = _strip_pairs(places, axes.shape[1], eps)
     where = places.select("block", "strip")
     data = blocks.select("block", "ids", "weights", "rows").join(where, "block")
     sides = pairs.withColumn("side", F.explode(F.when(F.col("s") == F.col("t"), F.array(F.lit(0))).otherwise(F.array(F.lit(0), F.lit(1))))).withColumn("strip", F.when(F.col("side") == 0, F.col("s")).otherwise(F.col("t")))
@@ -209,16 +225,17 @@ def near_duplicates(df: DataFrame, least: float = 0.9, key: str = "vec_id", vect
     """One row per row of ``df``: vec_id, n_links, component_id (smallest id reachable), kept."""
     spark = df.sparkSession
     rows = materialize(_valid(df, key, vector))
-    reps = materialize(rows.groupBy("d", "v").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("n")))
+    # one number for each different vector, fixed by the files
+    reps = rows.where("v IS NOT NULL").groupBy("d", "v").agg(F.min("vec_id").alias("least_id"), F.count(F.lit(1)).alias("n"))
+    reps = materialize(reps.withColumn("rep", F.monotonically_increasing_id()))
     found = spark.createDataFrame([], "vec long, other long, n long")
     for d, total in reps.groupBy("d").count().orderBy("d").collect():
-        found = found.union(_links(reps.where(F.col("d") == d), d, total, least))
+        found = found.union(_links(reps.where(F.col("d") == d).select("rep", "n", "v"), d, total, least))
     found = materialize(found)
     counts = found.where("n is not null").groupBy(F.col("vec").alias("rep")).agg(F.sum("n").alias("linked"))
     component = connected_components(found.where("other is not null").select(F.col("vec").alias("u"), F.col("other").alias("v")))
-    known = reps.join(counts, "rep", "left").join(component, F.col("rep") == F.col("node"), "left")
-    known = known.select("d", "v", (F.coalesce("linked", F.lit(0)) + F.col("n") - 1).alias("n_links"), F.coalesce("component", "rep").alias("component_id"))
-    whole = rows.join(known, ["d", "v"]).select("vec_id", "n_links", "component_id").distinct()
-    every = df.select(df[key].cast("long").alias("_id"))
-    out = every.join(whole, F.col("_id") == F.col("vec_id"), "left").select(F.col("_id").alias(key), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("component_id", "_id").alias("component_id"))
+    known = reps.join(counts, "rep", "left").join(component, F.col("rep") == F.col("node"), "left").withColumn("component", F.coalesce("component", "rep"))
+    smallest = known.groupBy("component").agg(F.min("least_id").alias("component_id"))
+    known = known.join(smallest, "component").select("d", "v", (F.coalesce("linked", F.lit(0)) + F.col("n") - 1).alias("n_links"), "component_id")
+    out = rows.join(known, ["d", "v"], "left").select(F.col("vec_id").alias(key), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("component_id", "vec_id").alias("component_id"))
     return out.withColumn("kept", F.col(key) == F.col("component_id"))

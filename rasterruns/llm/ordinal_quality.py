@@ -154,8 +154,10 @@ def fit(docs: DataFrame, ratings: DataFrame, key: str = "doc_id", text: str = "t
     total = rated.count()
     if not total:
         return None
-    share = min(1.0, max_rows / total)
-    chosen = rated.where(F.pmod(F.xxhash64("k"), F.lit(1 << 20)) < int(share * (1 << 20))).limit(max_rows)
+    # the rows of the smallest hashes, so that any partitioning fits the same model; the range beforehand keeps the sort small
+    share = min(1.0, (max_rows + 6 * max_rows**0.5) / total)
+    draw = F.pmod(F.xxhash64("k"), F.lit(1 << 40))
+    chosen = rated.where(draw < int(share * (1 << 40))).orderBy(draw, "k").limit(max_rows)
     rows = docs.select(docs[key].alias("k"), docs[text].alias("text")).join(chosen, "k").select("k", "grade", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -4,10 +4,9 @@ Vectors are integer components ``floor(scale * x)``; the score is the integer
 inner product.  The approximation file holds 6 bits a component: the cell of
 the component on a per-dimension grid between its least and greatest value.
 A scan of the cells alone bounds every score from both sides.  A vector stays
-a candidate while its upper bound reaches the k-th best lower bound.  All
-candidates are then read exactly at once, in no order: the threshold takes the
-place of reading by bounds with an early stop, so more vectors may be read, and
-the results are the same.
+a candidate while its upper bound reaches the k-th best lower bound.  Exact
+vectors of the candidates are read best bound first, in rounds of growing
+size; a query stops when its k-th exact score exceeds the next upper bound.
 
 Queries come in blocks of at most QUERY_BLOCK rows: a block is broadcast, so
 the broadcast's size is fixed, and each block scans all cells once.  Copies of
@@ -31,12 +30,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from rasterruns.llm.common import materialize
+from rasterruns.llm.common import materialize, release
 from rasterruns.llm.vectors import matrices
 
-#: Bits of a cell, queries in a block, and rows bounded at a time.
+#: Cells a dimension (BITS bits each), queries in a block, and rows bounded at a time.
 CELLS = 64
 QUERY_BLOCK = 8192
+BITS = 6
+#: Candidates that a query reads in the first round; each round doubles what has been read.
+FIRST_READ = 16
 _ROWS = 2048
 _LARGE = 1 << 26
 
@@ -87,13 +89,25 @@ def _grid(pool: DataFrame, d: int) -> tuple[np.ndarray, np.ndarray]:
     return low, np.ceil((high - low + 1) / CELLS)
 
 
+def _pack(cells: np.ndarray) -> np.ndarray:
+    """Rows of cell numbers as rows of bytes, BITS bits a cell."""
+    bits = np.unpackbits(cells[:, :, None], axis=2)[:, :, 8 - BITS :]
+    return np.packbits(bits.reshape(len(cells), -1), axis=1)
+
+
+def _unpack_cells(column: pa.Array, d: int) -> np.ndarray:
+    packed = np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(len(column), (d * BITS + 7) // 8)
+    bits = np.unpackbits(packed, axis=1)[:, : d * BITS].reshape(len(column), d, BITS)
+    return (bits @ (1 << np.arange(BITS)[::-1])).astype(np.float64)
+
+
 def _cells(pool: DataFrame, d: int, low: np.ndarray, width: np.ndarray) -> DataFrame:
-    """The approximation file ``(vec_id, cells)``, one byte a component."""
+    """The approximation file ``(vec_id, cells)``, BITS bits a component."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             cells = np.clip((_unpack(batch.column(1), d) - low) // width, 0, CELLS - 1).astype(np.uint8)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([c.tobytes() for c in cells], pa.binary())], names=["vec_id", "cells"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([c.tobytes() for c in _pack(cells)], pa.binary())], names=["vec_id", "cells"])
 
     return pool.select("vec_id", "q").mapInArrow(run, "vec_id long, cells binary")
 
@@ -108,7 +122,7 @@ def _scan(cells: DataFrame, d: int, low: np.ndarray, width: np.ndarray, block, k
         floor = np.full(len(qid), -np.inf)
         for batch in batches:
             ids = batch.column(0).to_numpy()
-            middle = low + width * np.frombuffer(b"".join(batch.column(1).to_pylist()), np.uint8).reshape(len(ids), d) + (width - 1) / 2
+            middle = low + width * _unpack_cells(batch.column(1), d) + (width - 1) / 2
             for a in range(0, len(ids), _ROWS):
                 part, some = ids[a : a + _ROWS], middle[a : a + _ROWS]
                 for b in range(0, len(qid), _ROWS):
@@ -160,29 +174,66 @@ def _blocks(queries: DataFrame, d: int) -> Iterator[tuple[np.ndarray, np.ndarray
         yield np.concatenate(ids), np.concatenate(rows)
 
 
-def search(df: DataFrame, is_query, k: int = 5, key: str = "vec_id", vector: str = "embedding", scale: int = 256) -> DataFrame:
+def _read_in_order(near: DataFrame, vectors: DataFrame, d: int, block, k: int, trace: list | None) -> DataFrame:
+    """The k best by exact score of ``near(query_id, vec_id, lower, upper)``, reading vectors best bound first.
+
+    After each round a query is open while its next candidate's upper bound
+    reaches its k-th exact score (equal scores may still win by the smaller id).
+    """
+    by_bound = Window.partitionBy("query_id").orderBy(F.col("upper").desc(), "vec_id")
+    best = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
+    left = near.withColumn("place", F.row_number().over(by_bound))
+    left = materialize(left.withColumn("after", F.lead("upper").over(by_bound)))
+    done, top, open_ = 0, None, None
+    while True:
+        upto = 2 * done or max(FIRST_READ, k)
+        turn = left.where((F.col("place") > done) & (F.col("place") <= upto))
+        if open_ is not None:
+            turn = turn.join(open_, "query_id", "left_semi")
+        scored = _refine(turn.join(vectors, "vec_id").select("query_id", "vec_id", "q"), d, block)
+        both = scored if top is None else top.select("query_id", "vec_id", "score").unionByName(scored)
+        old, top = top, materialize(both.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k))
+        if trace is not None:
+            trace.append(turn.count())
+        if old is not None:
+            release(old)
+        kth = top.groupBy("query_id").agg(F.when(F.count(F.lit(1)) == k, F.min("score")).alias("kth"))
+        last = turn.where((F.col("place") == upto) & F.col("after").isNotNull()).select("query_id", "after")
+        more = materialize(last.join(kth, "query_id").where("kth IS NULL OR after >= kth").select("query_id"))
+        if open_ is not None:
+            release(open_)
+        done, open_ = upto, more
+        if more.isEmpty():
+            release(left, more)
+            return top.select("query_id", "rank", "vec_id", "score")
+
+
+def search(df: DataFrame, is_query, k: int = 5, key: str = "vec_id", vector: str = "embedding", scale: int = 256, trace: list | None = None) -> DataFrame:
     """Each query's k best of all other rows: query_id, rank (from 1), vec_id, score.
 
-    ``is_query``: a condition on the column ``vec_id``.
+    ``is_query``: a condition on the column ``vec_id``.  ``trace`` takes, for
+    each block of queries, (candidates that the bounds leave, vectors read by round).
     """
     spark = df.sparkSession
     rows = materialize(quantised(df, key, vector, scale).distinct())
     copies = Window.partitionBy("d", "q").orderBy("vec_id")
     pool = materialize(rows.withColumn("_c", F.row_number().over(copies)).where(F.col("_c") <= k + 1).drop("_c"))
-    best = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
     out = spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
     for (d,) in rows.select("d").distinct().orderBy("d").collect():
         mine = pool.where(F.col("d") == d)
         low, width = _grid(mine, d)
         cells = materialize(_cells(mine, d, low, width))
-        for n, found in enumerate(_blocks(rows.where((F.col("d") == d) & is_query).dropDuplicates(["vec_id"]), d)):
+        for found in _blocks(rows.where((F.col("d") == d) & is_query).dropDuplicates(["vec_id"]), d):
             block = spark.sparkContext.broadcast(found)
             near = materialize(_scan(cells, d, low, width, block, k))
             ranked = Window.partitionBy("query_id").orderBy(F.col("lower").desc())
             top = near.withColumn("_r", F.row_number().over(ranked)).where(F.col("_r") <= k)
             certain = top.groupBy("query_id").agg(F.when(F.count(F.lit(1)) == k, F.min("lower")).otherwise(F.lit(float("-inf"))).alias("kth"))
-            near = near.join(certain, "query_id").where("upper >= kth").select("query_id", "vec_id").distinct()
-            scored = _refine(near.join(mine.select("vec_id", "q"), "vec_id").select("query_id", "vec_id", "q"), d, block)
-            top = scored.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
-            out = out.union(materialize(top) if n else top)
+            near = materialize(near.join(certain, "query_id").where("upper >= kth").drop("kth").dropDuplicates(["query_id", "vec_id"]))
+            reads: list | None = None if trace is None else []
+            top = _read_in_order(near, mine.select("vec_id", "q"), d, block, k, reads)
+            if trace is not None:
+                trace.append((near.count(), reads))
+            release(near)
+            out = out.union(top)
     return out

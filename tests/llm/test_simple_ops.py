@@ -79,7 +79,6 @@ def test_flow_matches_exhaustive_search(seed):
     best = min(
         sum(sorted((b[3] / b[2] for b in blocks if b[0] == s for _ in range(b[2])))[i] for s in range(3) for i in range(max(0, sum(b[2] for b in blocks if b[0] == s) - base - (s in more))))
         for more in itertools.combinations(range(shards), extra)
-        if all(True for _ in more)
     )
     moves = resharding.plan_transfers(blocks, shards)
     price = {(b[0], b[1]): b[3] / b[2] for b in blocks}
@@ -90,6 +89,47 @@ def test_flow_matches_exhaustive_search(seed):
     assert sorted(fill.values()) == sorted([base] * (shards - extra) + [base + 1] * extra)
 
 
+def least_bytes(rows, shards):
+    """Each old shard sheds its smallest surplus rows; the rows spared by one more place are the largest ones."""
+    by = defaultdict(list)
+    for r in rows:
+        by[r.old_shard].append(r["size"])
+    base, extra = divmod(len(rows), shards)
+    moved, spared = 0, []
+    for s, sizes in by.items():
+        n = max(0, len(sizes) - base) if s < shards else len(sizes)
+        shed = sorted(sizes)[:n]
+        moved += sum(shed)
+        if n and s < shards:
+            spared.append(shed[-1])
+    return moved - sum(sorted(spared, reverse=True)[:extra])
+
+
+@pytest.mark.parametrize("old,new", [(32, 40), (40, 7), (5, 6)])
+def test_resharding_moves_the_fewest_bytes(spark, sf_dir, old, new):
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    for x in (docs, odd(spark)):
+        rows = resharding.reshard(x, old, new).collect()
+        assert sum(r["size"] for r in rows if r.moved) == least_bytes(rows, new)
+        fill = Counter(r.shard for r in rows)
+        assert max(fill.values()) - min(fill[s] for s in range(new)) <= 1
+
+
+@pytest.mark.parametrize("old,new", [(6, 8), (8, 3)])
+def test_affected_files_are_rewritten(spark, sf_dir, tmp_path, old, new):
+    path = f"file://{tmp_path}/shards"
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").limit(200).withColumn("shard", F.pmod(F.xxhash64("doc_id"), F.lit(old)).cast("int"))
+    docs.write.partitionBy("shard").parquet(path)
+    held = spark.read.parquet(path)
+    placement = resharding.reshard(held, shards=new, old="shard").persist()
+    want = sorted((r.doc_id, r.shard) for r in placement.collect())
+    resharding.rewrite_affected(held, placement, path)
+    got = spark.read.parquet(path)
+    assert sorted((r.doc_id, r.shard) for r in got.select("doc_id", "shard").collect()) == want
+    texts = {r.doc_id: r.text for r in spark.read.parquet(f"{sf_dir}/documents.parquet").collect()}
+    assert all(texts[r.doc_id] == r.text for r in got.collect())
+
+
 def brute_turns(rows):
     by = defaultdict(list)
     for r in rows:
@@ -114,6 +154,22 @@ def test_chat_windows_read_back(spark, sf_dir):
     assert chat_windows.conversation_digests(chat_windows.format_windows(turns.limit(0))).count() == 0
 
 
+@pytest.mark.parametrize("budget,history", [(512, 128), (96, 40), (20, 0)])
+def test_windows_stay_within_the_budget(spark, sf_dir, budget, history):
+    hard = [(2, i, ("user", "assistant")[i % 2], "long words " * (i * 17 % 40)) for i in range(90)] + [(3, 0, "system", "s" * 100), *((3, i, "user", "x" * (i % 50)) for i in range(1, 60)), (4, 0, "system", "s" * 4000), (4, 1, "user", "a"), (4, 2, "assistant", "b")]
+    turns = spark.createDataFrame(hard, "conv_id long, turn long, role string, text string").union(spark.read.parquet(f"{sf_dir}/conversations.parquet").select("conv_id", "turn", "role", "text"))
+    shared = 0
+    for w in chat_windows.format_windows(turns, budget, history).collect():
+        pieces = [x.split("\n", 1) for x in w.text.split("<turn:")[1:]]
+        cost = [-(-(len(body) - len(chat_windows.CLOSE)) // 4) + 4 for _, body in pieces]
+        assert sum(cost) == w.tokens
+        system = cost[0] if pieces[0][0][2:] == "system" else 0
+        new = [c for (head, _), c in zip(pieces, cost, strict=True) if head[0] == "n" and head[2:] != "system"]
+        assert w.tokens <= budget or (len(new) <= 1 and system + sum(new) == w.tokens)
+        shared += len(new) > 1
+    assert shared or budget == 20
+
+
 def test_mixing_targets_and_takes(spark, sf_dir):
     rows = queries.op9_source_mixing(spark, sf_dir).collect()
     assert sorted(map(tuple, rows)) == sorted(map(tuple, queries.op9_source_mixing(spark, sf_dir).collect()))

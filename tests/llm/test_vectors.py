@@ -53,6 +53,19 @@ def test_near_duplicates_equal_brute_force(spark, sf_dir, monkeypatch, block, st
     assert embedding_join.near_duplicates(df.limit(0)).count() == 0
 
 
+def test_rows_that_share_an_id(spark):
+    df = spark.createDataFrame([(1, [1.0, 0.0]), (1, [0.0, 1.0]), (2, [1.0, 0.01]), (None, [1.0, 0.0]), (3, [0.0, 0.0])], "vec_id long, embedding array<float>")
+    got = sorted(map(tuple, embedding_join.near_duplicates(df).collect()), key=str)
+    assert got == sorted([(1, 1, 1, True), (1, 0, 1, True), (2, 1, 1, False), (None, 0, None, None), (3, 0, 3, True)], key=str)
+
+
+def test_strips_are_compared_on_all_dimensions(spark):
+    boxes = [(0, [0.0, 0.0], [0.1, 0.1]), (1, [0.0, 5.0], [0.1, 5.1]), (2, [0.05, 0.3], [0.2, 0.4])]
+    df = spark.createDataFrame(boxes, "strip long, low array<double>, high array<double>")
+    got = {tuple(r) for r in embedding_join._strip_pairs(df, 2, 0.45).collect()}
+    assert got == {(0, 0), (1, 1), (2, 2), (2, 0)}
+
+
 def test_near_duplicates_of_the_table(spark, sf_dir):
     df = spark.read.parquet(f"{sf_dir}/embeddings.parquet")
     got = {r.vec_id: (r.n_links, r.component_id, r.kept) for r in queries.op3_embedding_dedup(spark, sf_dir).collect()}
@@ -80,3 +93,32 @@ def test_search_equals_brute_force(spark, sf_dir, monkeypatch):
     got = vector_file.search(odd, F.col("vec_id") >= 0)
     assert sorted(map(tuple, got.collect())) == brute_search(rows, {i for i, _ in rows}, 5)
     assert vector_file.search(odd.limit(0), F.col("vec_id") >= 0).count() == 0
+
+
+def test_search_reads_by_bounds_and_stops_early(spark, sf_dir, monkeypatch):
+    monkeypatch.setattr(vector_file, "FIRST_READ", 5)
+    rnd = np.random.default_rng(2)
+    rows = [(i, [float(x) for x in rnd.normal(size=24)]) for i in range(3000)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    trace = []
+    got = sorted(map(tuple, vector_file.search(df, F.col("vec_id") % 50 == 0, trace=trace).collect()))
+    assert got == brute_search(rows, {i for i in range(0, 3000, 50)}, 5)
+    survivors, reads = map(sum, zip(*((n, sum(r)) for n, r in trace), strict=True))
+    assert len(trace[0][1]) > 1 and reads < survivors
+
+
+def test_ties_at_the_last_rank_go_to_smaller_ids(spark, monkeypatch):
+    monkeypatch.setattr(vector_file, "FIRST_READ", 5)
+    rows = [(i, [1.0, float(i % 3 == 0)]) for i in range(60)] + [(7, [1.0, 1.0]), (100, [2.0, 1.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = [tuple(r) for r in vector_file.search(df, F.col("vec_id") == 100).orderBy("rank").collect()]
+    assert got == [(100, n, i, 3 * 256 * 256) for n, i in enumerate([0, 3, 6, 7, 9], 1)]
+
+
+def test_cells_take_six_bits():
+    cells = np.random.default_rng(1).integers(0, 64, (7, 11)).astype(np.uint8)
+    packed = vector_file._pack(cells)
+    assert packed.shape == (7, 9)
+    import pyarrow as pa
+
+    assert (vector_file._unpack_cells(pa.array([r.tobytes() for r in packed], pa.binary()), 11) == cells).all()
