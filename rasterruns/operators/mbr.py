@@ -2,15 +2,49 @@
 
 from __future__ import annotations
 
+import math
+from dataclasses import dataclass
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from rasterruns.grid import DOMAIN
 from rasterruns.operators.tiles import BOX, Tiles, uniform_tiles
 
 #: Rows up to which a side may be broadcast; beyond, the tiled join takes over.
 BROADCAST_ROWS = 100_000
+#: Objects a tile should hold on average, and those of one tile beyond which it is dealt over several tasks.
+PER_TILE = 64
+HOT = 65_536
+MOST_TILES = 4096
+
+
+@dataclass(frozen=True)
+class Profile:
+    """Objects of a layer, mean width plus height, and mean area of their boxes."""
+
+    objects: int
+    extent: float
+    area: float
+
+
+def profile(layer: DataFrame) -> Profile:
+    """One aggregate over the boxes, kept with the frame, so that a stored layer is read for it once."""
+    if not hasattr(layer, "_profile"):
+        w, h = F.col("xmax") - F.col("xmin"), F.col("ymax") - F.col("ymin")
+        r = layer.agg(F.count(F.lit(1)), F.avg((w + h).cast("double")), F.avg((w + 1.0) * (h + 1.0))).first()
+        layer._profile = Profile(r[0], r[1] or 0.0, r[2] or 1.0)
+    return layer._profile
+
+
+def fitting_tiles(left: DataFrame, right: DataFrame) -> Tiles:
+    """As many tiles as keep their contents level whatever the tables hold, but none smaller than a mean object of the larger kind."""
+    a, b = profile(left), profile(right)
+    wanted = math.isqrt(max(a.objects, b.objects) // PER_TILE) + 1
+    largest = DOMAIN / max(1.0, max(a.extent, b.extent) / 2)
+    return uniform_tiles(int(max(1, min(wanted, largest, MOST_TILES))))
 
 
 def _side(df: DataFrame, p: str, tiles: Tiles | None) -> DataFrame:
@@ -20,6 +54,16 @@ def _side(df: DataFrame, p: str, tiles: Tiles | None) -> DataFrame:
     return df.select(*columns)
 
 
+def _dealt(r: DataFrame, s: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Both sides with ``part``: the left rows of a hot tile are dealt, the right ones stand in each of its parts."""
+    n = r.groupBy("tile_id").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > HOT)
+    hot = F.broadcast(n.select("tile_id", F.ceil(F.col("n") / HOT).cast("int").alias("parts")))  # at most one row for HOT rows of a side
+    parts = F.coalesce("parts", F.lit(1))
+    left = r.join(hot, "tile_id", "left").withColumn("part", F.pmod(F.xxhash64("rid"), parts).cast("int")).drop("parts")
+    right = s.join(hot, "tile_id", "left").withColumn("part", F.explode(F.sequence(F.lit(0), parts - 1))).drop("parts")
+    return left, right
+
+
 def _meets(predicate: str) -> Column:
     c = F.col
     if predicate == "within":
@@ -68,23 +112,25 @@ def mbr_join(left: DataFrame, right: DataFrame, predicate: str = "intersects", s
     """Candidate pairs ``(tile_id, rid, sid)``; every pair once, without a distinct.
 
     ``tiled`` (default): an equi-join on tiles with range predicates and an
-    owner test; ``sweep``: the same with a sorted sweep in each tile;
+    owner test; left objects of a tile with more than HOT are dealt over parts,
+    each with a copy of the tile's right objects; ``sweep``: the same with a
+    sorted sweep in each part;
     ``broadcast``: the right side is sent whole if its checked count allows,
     else ``tiled``; ``nested``: all pairs, the baseline.
     """
-    tiles = tiles or uniform_tiles(32)
     if strategy == "broadcast" and right.limit(BROADCAST_ROWS + 1).count() > BROADCAST_ROWS:
         strategy = "tiled"
     if strategy in ("broadcast", "nested"):
         r, s = _side(left, "r", None), _side(right, "s", None)
         pairs = r.join(F.broadcast(s) if strategy == "broadcast" else s, _meets(predicate))
         return pairs.select(F.lit(0).alias("tile_id"), "rid", "sid")
-    r, s = _side(left, "r", tiles), _side(right, "s", tiles)
+    tiles = tiles or fitting_tiles(left, right)
+    r, s = _dealt(_side(left, "r", tiles), _side(right, "s", tiles))
     if strategy == "tiled":
-        pairs = r.join(s, "tile_id").where(_meets(predicate))
+        pairs = r.join(s, ["tile_id", "part"]).where(_meets(predicate))
     elif strategy == "sweep":
         fields = ", ".join(f"{p}_{c} long" for p in "rs" for c in BOX)
-        pairs = r.groupBy("tile_id").cogroup(s.groupBy("tile_id")).applyInArrow(_sweep(tiles, predicate), f"tile_id int, rid long, sid long, {fields}")
+        pairs = r.groupBy("tile_id", "part").cogroup(s.groupBy("tile_id", "part")).applyInArrow(_sweep(tiles, predicate), f"tile_id int, rid long, sid long, {fields}")
     else:
         raise ValueError(f"unknown strategy {strategy}")
     return pairs.where(_owned(tiles)).select("tile_id", "rid", "sid")

@@ -16,7 +16,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from rasterruns.runtime import materialize
+
 SPLIT = 4096
+#: Rows up to which the table of objects with more than SPLIT pairs is broadcast.
+BROADCAST_ROWS = 1_000_000
 
 
 def pair_stage(pairs: DataFrame, small: DataFrame, large: DataFrame, small_id: str, large_id: str, kernel: Callable, schema: str) -> DataFrame:
@@ -26,7 +30,12 @@ def pair_stage(pairs: DataFrame, small: DataFrame, large: DataFrame, small_id: s
     side's columns and of large rows, and the large row of each pair; returns a
     record batch.
     """
-    pairs = pairs if "tile_id" in pairs.columns else pairs.withColumn("tile_id", F.lit(0))
+    if not hasattr(pairs, "_cut_path"):
+        # ids are cut once: they are read for the counts and for the deal, and whatever found them runs once
+        tile = F.col("tile_id") if "tile_id" in pairs.columns else F.lit(0)
+        pairs = materialize(pairs.select(tile.cast("int").alias("tile_id"), "rid", "sid"))
+    elif "tile_id" not in pairs.columns:
+        pairs = pairs.withColumn("tile_id", F.lit(0))
     keys = ["tile_id", large_id]
 
     def side(df: DataFrame, name: str, prefix: str) -> DataFrame:
@@ -38,8 +47,12 @@ def pair_stage(pairs: DataFrame, small: DataFrame, large: DataFrame, small_id: s
     on_small = ["tile_id", small_id] if "tile_id" in small.columns else [small_id]
     rows = rows if "tile_id" in small.columns else rows.drop("tile_id")
     on_large = ["tile_id", large_id] if "tile_id" in large.columns else [large_id]
-    parts = pairs.groupBy(*keys).agg(F.ceil(F.count(F.lit(1)) / SPLIT).cast("int").alias("parts"))
-    dealt = pairs.select("tile_id", "rid", "sid").join(parts, keys).withColumn("part", F.pmod(F.xxhash64(small_id), F.col("parts")).cast("int")).drop("parts")
+    parts = materialize(pairs.groupBy(*keys).agg(F.ceil(F.count(F.lit(1)) / SPLIT).cast("int").alias("parts")))
+    hot = parts.where("parts > 1")
+    if hot.count() <= BROADCAST_ROWS:
+        hot = F.broadcast(hot)  # so hot objects are dealt before anything is keyed by them
+    part = F.pmod(F.xxhash64(small_id), F.coalesce("parts", F.lit(1))).cast("int")
+    dealt = pairs.select("tile_id", "rid", "sid").join(hot, keys, "left").withColumn("part", part).drop("parts")
     dealt = dealt.join(rows, on_small)
     copies = parts.join(big if "tile_id" in large.columns else big.drop("tile_id"), on_large).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
     one = dealt.withColumn("kind", F.lit(1))

@@ -50,15 +50,13 @@ def approximate_layer(layer: DataFrame, method: str, side: str, grid: GridSpec,
 
 
 def larger_side(left: DataFrame, right: DataFrame) -> str:
-    """The side whose objects have the longer boundaries on average (two rows reach the driver)."""
-    size = F.avg((F.col("xmax") - F.col("xmin") + F.col("ymax") - F.col("ymin")).cast("double"))
-    return "left" if (left.agg(size).first()[0] or 0.0) > (right.agg(size).first()[0] or 0.0) else "right"
+    """The side whose objects have the longer boundaries on average."""
+    return "left" if mbr.profile(left).extent > mbr.profile(right).extent else "right"
 
 
 def guess_order(left: DataFrame, right: DataFrame) -> str:
-    """A merge order from mean box areas (two rows reach the driver); ours, off by default."""
-    area = F.avg((F.col("xmax") - F.col("xmin") + 1.0) * (F.col("ymax") - F.col("ymin") + 1.0))
-    r, s = left.agg(area).first()[0] or 1.0, right.agg(area).first()[0] or 1.0
+    """A merge order from mean box areas; ours, off by default."""
+    r, s = mbr.profile(left).area, mbr.profile(right).area
     return "CK,KC,CC" if s > AUTO_RATIO * r else "KC,CK,CC" if r > AUTO_RATIO * s else "CC,CK,KC"
 
 
@@ -110,8 +108,8 @@ def finish(found: DataFrame, left: DataFrame, right: DataFrame, predicate: str)
 def spatial_join(left: DataFrame, right: DataFrame, predicate: str = "intersects", method: str = "dual", grid: GridSpec = GridSpec(), tiles: Tiles | None = None, mbr_predicate: str | None = None, strategy: str = "tiled", **options) -> JoinResult:
     """Join two layers.  ``predicate``: intersects, within (left within right) or line (polygons left, paths right)."""
     boxes = mbr_predicate or ("within" if predicate == "within" else "intersects")
-    pairs = mbr.mbr_join(left, right, boxes, strategy, tiles)
-    return finish(verdicts(pairs.drop("tile_id"), left, right, predicate, method, grid, **options), left, right, predicate)
+    pairs = materialize(mbr.mbr_join(left, right, boxes, strategy, tiles).select("rid", "sid"))  # the box join runs once
+    return finish(verdicts(pairs, left, right, predicate, method, grid, **options), left, right, predicate)
 
 
 def partitioned_join(left: DataFrame, right: DataFrame, p: int = 2, order: int = 16, tiles: Tiles | None = None, method: str = "onestep_neighbours") -> JoinResult:
@@ -144,7 +142,7 @@ def spatial_select(layer: DataFrame, probes: DataFrame, method: str = "dual", gr
 
 def choose_order(layer: DataFrame, max_runs: int = 2000) -> int:
     """The highest order (at most 16) at which an average object's boundary takes about ``max_runs`` cells."""
-    mean = layer.agg(F.avg((F.col("xmax") - F.col("xmin")) + (F.col("ymax") - F.col("ymin")))).first()[0] or 1.0
+    mean = mbr.profile(layer).extent or 1.0
     order = 16
     while order > 1 and 2 * mean / (DOMAIN >> order) > max_runs:
         order -= 1

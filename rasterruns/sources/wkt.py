@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
-from pyspark.sql import Column, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceWriter, InputPartition, WriterCommitMessage
 
@@ -17,12 +17,29 @@ def to_wkt(points: Column, closed: bool) -> Column:
     return F.concat(F.lit("LINESTRING ("), F.array_join(text, ", "), F.lit(")"))
 
 
+_PAIR = r"-?\d{1,18}\s+-?\d{1,18}"
+_LIST = rf"\(\s*{_PAIR}\s*(?:,\s*{_PAIR}\s*)*\)"
+#: What is read exactly: a polygon of one closed ring, or a path, with integer coordinates.
+_RING = rf"(?i)^\s*POLYGON\s*\(\s*{_LIST}\s*\)\s*$"
+_PATH = rf"(?i)^\s*LINESTRING\s*{_LIST}\s*$"
+
+
 def from_wkt(text: Column) -> Column:
-    """Points of a one-ring polygon (without the repeated one) or of a path; null if the text is neither."""
-    pairs = F.regexp_extract_all(text, F.lit(r"(-?\d+)\s+(-?\d+)"), F.lit(0))
-    points = F.transform(pairs, lambda p: F.struct(F.split_part(p, F.lit(" "), F.lit(1)).cast("long").alias("x"), F.regexp_extract(p, r"\s(-?\d+)$", 1).cast("long").alias("y")))
-    ring = text.rlike(r"(?i)^\s*POLYGON\s*\(\(")
-    return F.when(ring, F.slice(points, F.lit(1), F.greatest(F.size(points) - 1, F.lit(0)))).when(text.rlike(r"(?i)^\s*LINESTRING\s*\("), points)
+    """Points of a one-ring polygon (without the repeated one) or of a path.
+
+    Null for any other text: holes, several parts, decimals, a third
+    coordinate, a ring that isn't closed.  ``wkt_rejects`` lists such rows.
+    """
+    pairs = F.regexp_extract_all(text, F.lit(rf"({_PAIR})"), F.lit(1))
+    part = lambda p, i: F.regexp_extract(p, r"^(-?\d+)\s+(-?\d+)$", i).cast("long")
+    points = F.transform(pairs, lambda p: F.struct(part(p, 1).alias("x"), part(p, 2).alias("y")))
+    closed = (F.size(points) > 3) & (F.element_at(points, 1) == F.element_at(points, -1))
+    return F.when(text.rlike(_RING), F.when(closed, F.slice(points, F.lit(1), F.size(points) - 1))).when(text.rlike(_PATH), points)
+
+
+def wkt_rejects(rows: DataFrame, column: str = "wkt") -> DataFrame:
+    """Rows whose text isn't read."""
+    return rows.where(from_wkt(F.col(column)).isNull())
 
 
 class _Part(InputPartition):

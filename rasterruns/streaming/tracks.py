@@ -7,11 +7,14 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import DataStreamWriter
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from rasterruns.grid import DOMAIN, GridSpec
 from rasterruns.operators import approximate, filters, mbr
+from rasterruns.operators.refine import refine
 from rasterruns.operators.tiles import Tiles, uniform_tiles
+from rasterruns.runtime import materialize, release
 from rasterruns.sources.layers import STEPS, with_mbr
 
 SEGMENT = "oid long, user_id long, ts timestamp, x0 long, y0 long, x1 long, y1 long"
@@ -47,7 +50,12 @@ def _extend(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> I
 
 
 def stream_segments(events: DataFrame) -> DataFrame:
-    """Stateful form on a stream: one last position a user is all the state."""
+    """Stateful form on a stream: one last position a user is all the state.
+
+    Segments follow the order of arrival: events are sorted within a
+    micro-batch, and one that arrives in a later batch than its successors is
+    joined to the last position seen, unlike in the batch form.
+    """
     return place(events).groupBy("user_id").applyInPandasWithState(_extend, SEGMENT, "x long, y long", "append", GroupStateTimeout.NoTimeout)
 
 
@@ -57,11 +65,7 @@ def as_paths(segs: DataFrame) -> DataFrame:
 
 
 def filter_segments(segs: DataFrame, polygons: DataFrame, grid: GridSpec, stored: DataFrame | None = None, tiles: Tiles | None = None) -> DataFrame:
-    """Segments against stored polygons' dual runs: ``(rid, sid, verdict)`` without misses.
-
-    A stream-static join: it runs in each micro-batch, on tiles, so the
-    polygons need not be small.
-    """
+    """Segments against stored polygons' dual runs: ``(rid, sid, verdict)`` without misses (a batch)."""
     paths = as_paths(segs)
     runs = stored if stored is not None else approximate.build_dual(polygons, grid)
     pairs = mbr.mbr_join(polygons, paths, tiles=tiles or uniform_tiles(32)).drop("tile_id")
@@ -69,6 +73,29 @@ def filter_segments(segs: DataFrame, polygons: DataFrame, grid: GridSpec, stored
     return got.where("verdict <> 'miss'").select("rid", "sid", "verdict")
 
 
+def select_stream(segs: DataFrame, polygons: DataFrame, grid: GridSpec, sink: str, checkpoint: str, stored: DataFrame | None = None, exact: bool = True) -> DataStreamWriter:
+    """Stream-static selection: each micro-batch of segments against the stored polygons, appended as Parquet.
+
+    ``exact`` adds the exact test: hits and confirmed pairs ``(rid, sid)``; else
+    verdicts.  A batch writes its own folder ``batch=N``, which a repeated
+    batch replaces, so results hold every batch once.  The polygons' lists are
+    built once, before the stream starts.
+    """
+    runs = stored if stored is not None else materialize(approximate.build_dual(polygons, grid))
+
+    def batch(rows: DataFrame, number: int) -> None:
+        mine = materialize(rows)
+        found = materialize(filter_segments(mine, polygons, grid, runs))
+        out = found
+        if exact:
+            unsure = refine(found.where("verdict = 'unsure'"), polygons, as_paths(mine), "line")
+            out = found.where("verdict = 'hit'").select("rid", "sid").unionByName(unsure)
+        out.write.mode("overwrite").parquet(f"{sink}/batch={number}")
+        release(mine, found)
+
+    return segs.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint)
+
+
 def _timed(stream: DataFrame, at: str, late: str) -> DataFrame:
     """The stream with its event time as a point in time, under a watermark."""
     return stream.withColumn(at, F.col(at).cast("timestamp")).withWatermark(at, late)
