@@ -12,33 +12,73 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 
+#: Levels that one table look-up takes.
+_STEP = 6
+
+
+def _walk(bits, f, w, levels: int, forward: bool):
+    """``levels`` levels from the flags on, bit by bit: (ids or cells, flags).  ``bits``: (cx, cy) or (id,)."""
+    out = [np.zeros_like(bits[0]) for _ in range(1 if forward else 2)]
+    for i in range(levels - 1, -1, -1):
+        if forward:
+            bx, by = (bits[0] >> i) & 1, (bits[1] >> i) & 1
+            swap = w * (bx ^ by)
+            rx, ry = bx ^ swap ^ f, by ^ swap ^ f
+            out[0] = (out[0] << 2) | ((3 * rx) ^ ry)
+        else:
+            q = (bits[0] >> (2 * i)) & 3
+            rx = q >> 1
+            ry = (q ^ rx) & 1
+            a, b = rx ^ f, ry ^ f
+            swap = w * (a ^ b)
+            out = [(out[0] << 1) | (a ^ swap), (out[1] << 1) | (b ^ swap)]
+        still = 1 - ry
+        f, w = f ^ (still & rx), w ^ still
+    return out, f, w
+
+
+def _tables(step: int) -> tuple[np.ndarray, np.ndarray]:
+    """For each orientation and ``step`` levels of input: output bits with the next orientation in the two low bits."""
+    n, low = 1 << (2 * step), (1 << step) - 1
+    state, x = np.divmod(np.arange(4 * n), n)
+    (d,), f, w = _walk((x >> step, x & low), state >> 1, state & 1, step, True)
+    (cx, cy), g, v = _walk((x,), state >> 1, state & 1, step, False)
+    return (d << 2 | f << 1 | w).astype(np.int32), ((cx << step | cy) << 2 | g << 1 | v).astype(np.int32)
+
+
+_TABLES = {k: _tables(k) for k in range(1, _STEP + 1)}
+
+
+def _strides(order: int) -> list[tuple[int, int]]:
+    """(levels, lowest level) of the look-ups from the top."""
+    steps = [order % _STEP] * (order % _STEP > 0) + [_STEP] * (order // _STEP)
+    return [(k, order - sum(steps[: i + 1])) for i, k in enumerate(steps)]
+
+
 def encode(cx: np.ndarray, cy: np.ndarray, order: int) -> np.ndarray:
     """Ids of cells at an order."""
     cx, cy = np.asarray(cx, np.int64), np.asarray(cy, np.int64)
-    d, f, w = np.zeros_like(cx), np.zeros_like(cx), np.zeros_like(cx)
-    for i in range(order - 1, -1, -1):
-        bx, by = (cx >> i) & 1, (cy >> i) & 1
-        swap = w * (bx ^ by)
-        rx, ry = bx ^ swap ^ f, by ^ swap ^ f
-        d = (d << 2) | ((3 * rx) ^ ry)
-        still = 1 - ry
-        f, w = f ^ (still & rx), w ^ still
+    d, state = np.zeros_like(cx), 0
+    for k, i in _strides(order):
+        low = (1 << k) - 1
+        got = _TABLES[k][0][state << (2 * k) | ((cx >> i) & low) << k | (cy >> i) & low]
+        d <<= 2 * k
+        d |= got >> 2
+        state = got & 3
     return d
 
 
 def decode(hid: np.ndarray, order: int) -> tuple[np.ndarray, np.ndarray]:
     """Cells of ids at an order."""
     hid = np.asarray(hid, np.int64)
-    cx, cy, f, w = (np.zeros_like(hid) for _ in range(4))
-    for i in range(order - 1, -1, -1):
-        q = (hid >> (2 * i)) & 3
-        rx = q >> 1
-        ry = (q ^ rx) & 1
-        a, b = rx ^ f, ry ^ f
-        swap = w * (a ^ b)
-        cx, cy = (cx << 1) | (a ^ swap), (cy << 1) | (b ^ swap)
-        still = 1 - ry
-        f, w = f ^ (still & rx), w ^ still
+    cx, cy, state = np.zeros_like(hid), np.zeros_like(hid), 0
+    for k, i in _strides(order):
+        got = _TABLES[k][1][state << (2 * k) | (hid >> (2 * i)) & ((1 << 2 * k) - 1)]
+        cx <<= k
+        cx |= got >> (2 + k)
+        cy <<= k
+        cy |= (got >> 2) & ((1 << k) - 1)
+        state = got & 3
     return cx, cy
 
 

@@ -180,19 +180,19 @@ def onestep(b: Batch, neighbours: bool = True) -> dict:
     if neighbours and g:
         gap_at = np.full(m, -1)
         gap_at[at] = np.arange(g)
-        free = np.ones(g, bool)
+        free = np.arange(g)  # gaps without a neighbour so far
         for sx, sy in ((-1, 0), (1, 0), (0, -1), (0, 1)):
-            x, y = cx + sx, cy + sy
-            ok = free & (x >= 0) & (y >= 0) & (x < b.grid.side) & (y < b.grid.side)
-            ids = hilbert.encode(np.where(ok, x, 0), np.where(ok, y, 0), n)
-            ok &= ids < first
-            want = (go << (2 * n)) | ids
+            x, y = cx[free] + sx, cy[free] + sy
+            ok = (x >= 0) & (y >= 0) & (x < b.grid.side) & (y < b.grid.side)
+            mine, ids = free[ok], hilbert.encode(x[ok], y[ok], n)
+            early = ids < first[mine] - 1  # the cell just before is an edge cell
+            mine, ids = mine[early], ids[early]
+            want = (go[mine] << (2 * n)) | ids
             pos = np.searchsorted(key, want, "right") - 1
-            known = (pos >= 0) & (po[np.maximum(pos, 0)] == go)
-            ok &= ~(known & (key[np.maximum(pos, 0)] == want))
-            to = np.where(known, gap_at[np.maximum(pos, 0)], g)
-            parent[:-1][ok] = to[ok]
-            free &= ~ok
+            known = (pos >= 0) & (po[np.maximum(pos, 0)] == go[mine])
+            led = ~(known & (key[np.maximum(pos, 0)] == want))
+            parent[mine[led]] = np.where(known, gap_at[np.maximum(pos, 0)], g)[led]
+            free = free[parent[free] == free]
         while True:
             up = parent[parent]
             if (up == parent).all():
