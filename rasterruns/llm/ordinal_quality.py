@@ -24,15 +24,17 @@ ignored; repeated rows are scored alike; an empty table gives no rows.
 from __future__ import annotations
 
 import re
+from array import array
 from collections import Counter
-from collections.abc import Iterator
-from itertools import islice
+from collections.abc import Iterable, Iterator
+from itertools import islice, pairwise
 from operator import eq
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from xxhash import xxh3_64_intdigest
 
 from rasterruns.llm.common import sliced
 
@@ -41,49 +43,82 @@ MAX_ROWS = 6_000
 CUTOFF = 0.5
 #: Tokens remembered by one task at most.
 CACHE_TOKENS = 300_000
+#: Texts, and different tokens of texts, whose features are computed together (a longer text is a group by itself).
+GROUP_ROWS, GROUP_TOKENS = 256, 1 << 15
+_COUNT_BITS = 36
 _SCALE = 6.0
 #: Lengths of the word beginnings that count besides the whole word (99).
 _PREFIXES = (99, 5, 6, 7, 8)
 _WORD = re.compile(r"[^\W\d_]+")
+_DIGITS = re.compile(r"\d+")
 _RUNS = re.compile(r"(.)\1+")
 
 
 def _slot(name: str) -> int:
-    import xxhash
-
-    return xxhash.xxh3_64_intdigest(name) & ((1 << BITS) - 1)
+    return xxh3_64_intdigest(name) & ((1 << BITS) - 1)
 
 
 class Features(dict):
-    """Maps a token to (slots of its words and their beginnings, slot of its shape)."""
+    """Numbers tokens; number i has the slots ``_slots[_starts[i]:_starts[i + 1]]`` (of its words, their beginnings and its shape)."""
+
+    def __init__(self):
+        self._slots, self._starts = array("i"), array("q", [0])
+
+    def __missing__(self, token: str) -> int:
+        low, case = token.lower(), "U" if token.isupper() and len(token) > 1 else "l"
+        for w in (low,) if low.isalpha() else _WORD.findall(low):
+            self._slots.extend([_slot(f"{n}:{w[:n]}") for n in _PREFIXES if n == 99 or len(w) > n])
+        shape = case if token.isalpha() else _RUNS.sub(r"\1+", _WORD.sub(case, _DIGITS.sub("9", token)))
+        self._slots.append(_slot("s:" + shape[:12]))
+        self._starts.append(len(self._slots))
+        out = self[token] = len(self)
+        return out
 
-    def __missing__(self, token: str) -> tuple[tuple[int, ...], int]:
-        words = tuple(_slot(f"{n}:{w[:n]}") for w in _WORD.findall(token.lower()) for n in _PREFIXES if n == 99 or len(w) > n)
-        case = "U" if token.isupper() and len(token) > 1 else "l"
-        shape = _RUNS.sub(r"\1+", re.sub(r"[^\W\d_]+", case, re.sub(r"\d+", "9", token)))
+    def of(self, texts: Iterable[str | None]) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
+        """Texts -> groups ``(texts in it, row, slot, value)``, rows counted from 0 in each group; none for a text without tokens.
+
+        A slot may stand twice in a row; its values add up.
+        """
+        held: list[tuple[list[str], Counter]] = []
+        size = 0
+        for text in texts:
+            tokens = (text or "").split()
+            held.append((tokens, counts := Counter(tokens)))
+            size += len(counts)
+            if size >= GROUP_TOKENS or len(held) == GROUP_ROWS:
+                yield len(held), *self._together(held)
+                held, size = [], 0
+        if held:
+            yield len(held), *self._together(held)
+
+    def _together(self, held: list[tuple[list[str], Counter]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         if len(self) >= CACHE_TOKENS:
             self.clear()
-        out = self[token] = (words, _slot("s:" + shape[:12]))
-        return out
-
-    def of(self, text: str | None) -> dict[int, float]:
-        """Slots and values of a text; empty for a text without tokens."""
-        tokens = (text or "").split()
-        counts, n = Counter(tokens), len(tokens)
-        if not n:
-            return {}
-        out: dict[int, float] = {}
-        for token, c in counts.items():
-            words, shape = self[token]
-            for w in words:
-                out[w] = out.get(w, 0.0) + c
-            out[shape] = out.get(shape, 0.0) + c
-        scale = _SCALE / n**0.5
-        if again := sum(map(eq, tokens, islice(tokens, 1, None))):
-            out[_slot("r:")] = again
-        out = {k: scale * c**0.5 for k, c in out.items()}
-        out[_slot(f"v:{int(10 * len(counts) / n)}:{n.bit_length()}")] = 1.0
-        return out
+            self._slots, self._starts = array("i"), array("q", [0])
+        size = np.array([len(counts) for _, counts in held], np.int64)
+        number = np.fromiter((self[t] for _, counts in held for t in counts), np.int64, size.sum())
+        count = np.fromiter((c for _, counts in held for c in counts.values()), np.int64, size.sum())
+        length = np.array([len(tokens) for tokens, _ in held], np.int64)
+        again = np.array([sum(map(eq, tokens, islice(tokens, 1, None))) for tokens, _ in held], np.int64)
+        some = np.flatnonzero(length)
+        # row, slot and count in one number, so that a plain sort brings the equal slots of a row together
+        start = np.frombuffer(self._starts, np.int64)[number]
+        n = np.frombuffer(self._starts, np.int64)[number + 1] - start
+        place = np.arange(n.sum()) + np.repeat(start - (np.cumsum(n) - n), n)
+        packed = np.repeat((np.repeat(np.arange(len(held)), size) << (BITS + _COUNT_BITS)) | count, n)
+        packed |= np.frombuffer(self._slots, np.int32)[place].astype(np.int64) << _COUNT_BITS
+        rerun = np.flatnonzero(again)
+        packed = np.concatenate([packed, (((rerun << BITS) | _slot("r:")) << _COUNT_BITS) | again[rerun]])
+        packed.sort()
+        at = packed >> _COUNT_BITS
+        head = np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1]])) if len(at) else at
+        total = np.add.reduceat(packed & ((1 << _COUNT_BITS) - 1), head) if len(at) else at
+        row, slot = at[head] >> BITS, at[head] & ((1 << BITS) - 1)
+        value = _SCALE * np.sqrt(total / length[row])
+        level = [_slot(f"v:{int(10 * size[i] / length[i])}:{int(length[i]).bit_length()}") for i in some.tolist()]
+        row, slot, value = np.concatenate([row, some]), np.concatenate([slot, np.array(level, np.int64)]), np.concatenate([value, np.ones(len(some))])
+        order = np.argsort(row, kind="stable")
+        return row[order], slot[order], value[order]
 
 
 def grade(quality: Column, toxic: Column) -> Column:
@@ -164,10 +199,10 @@ def fit(docs: DataFrame, ratings: DataFrame, key: str = "doc_id", text: str = "t
         features = Features()
         for batch in sliced(batches):
             slots, values = [], []
-            for t in batch.column(2):
-                f = features.of(t.as_py())
-                slots.append(np.fromiter(f.keys(), np.int32, len(f)).tobytes())
-                values.append(np.fromiter(f.values(), np.float32, len(f)).tobytes())
+            for n, row, slot, value in features.of(t.as_py() for t in batch.column(2)):
+                edges = np.searchsorted(row, np.arange(n + 1)).tolist()
+                slots += [slot[a:b].astype(np.int32).tobytes() for a, b in pairwise(edges)]
+                values += [value[a:b].astype(np.float32).tobytes() for a, b in pairwise(edges)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(slots, pa.binary()), pa.array(values, pa.binary())], names=["k", "grade", "slots", "values"])
 
     kind = rows.schema["k"].dataType.simpleString()
@@ -192,12 +227,11 @@ def _scored(docs: DataFrame, model: Model, text: str) -> DataFrame:
         weights, thresholds = shared.value
         own, features = Model(weights, thresholds), Features()
         for batch in sliced(batches):
-            score, some = np.zeros(batch.num_rows), np.zeros(batch.num_rows, bool)
-            for i, t in enumerate(batch.column(at)):
-                f = features.of(t.as_py())
-                if f:
-                    some[i] = True
-                    score[i] = np.dot(weights[np.fromiter(f.keys(), np.int64, len(f))], np.fromiter(f.values(), np.float64, len(f)))
+            scores, filled = [np.zeros(0)], [np.zeros(0, bool)]
+            for n, row, slot, value in features.of(t.as_py() for t in batch.column(at)):
+                scores.append(np.bincount(row, weights=weights[slot] * value, minlength=n))
+                filled.append(np.bincount(row, minlength=n) > 0)
+            score, some = np.concatenate(scores), np.concatenate(filled)
             p = own.grades(score)
             expected, tail = np.where(some, p @ np.arange(p.shape[1]), 0.0), np.where(some, p[:, -1], 0.0)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(expected), pa.array(tail)], names=[*batch.schema.names, "_expected", "_tail"])
