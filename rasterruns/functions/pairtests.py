@@ -9,6 +9,7 @@ integers.  Chunks bound the memory whatever the sizes.
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 
 from rasterruns.functions import geometry
 
@@ -38,12 +39,14 @@ class Shapes:
         return self.pts[self.off[i] : self.off[i + 1]]
 
 
-def _spread(count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def spread(count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Each row as often as ``count`` says, and the place within its repeats."""
     owner = np.repeat(np.arange(len(count)), count)
     return owner, np.arange(len(owner)) - np.repeat(np.cumsum(count) - count, count)
 
 
-def _pieces(cost: np.ndarray, at_once: int):
+def pieces(cost: np.ndarray, at_once: int):
+    """Bounds of stretches of rows whose cost stays near ``at_once``."""
     cum, a = np.cumsum(cost), 0
     while a < len(cost):
         b = max(a + 1, int(np.searchsorted(cum, (cum[a - 1] if a else 0) + at_once, "right")))
@@ -68,9 +71,9 @@ def relate(small: Shapes, large: Shapes, at: np.ndarray) -> tuple[np.ndarray, np
     first = small.off[:-1]
     size_s, size_l = np.diff(small.off), np.diff(large.off)[at]
     live = np.flatnonzero((size_s > 0) & (size_l > 0))
-    for a, b in _pieces(size_l[live], _EDGES):
+    for a, b in pieces(size_l[live], _EDGES):
         mine = live[a:b]
-        own, k = _spread(size_l[mine])
+        own, k = spread(size_l[mine])
         own = mine[own]
         e = large.off[:-1][at[own]] + k
         box = small.box
@@ -83,8 +86,8 @@ def relate(small: Shapes, large: Shapes, at: np.ndarray) -> tuple[np.ndarray, np
         odd += np.bincount(po[(side > 0) == (large.y1[pe] > large.y0[pe])], minlength=n)
         near = (large.right[e] >= box[own, 0]) & (large.left[e] <= box[own, 2])
         own, e = own[near], e[near]
-        for c, d in _pieces(size_s[own], _PAIRS):
-            q, k = _spread(size_s[own[c:d]])
+        for c, d in pieces(size_s[own], _PAIRS):
+            q, k = spread(size_s[own[c:d]])
             pair, j = own[c:d][q], e[c:d][q]
             i = first[pair] + k
             meet = (small.right[i] >= large.left[j]) & (small.left[i] <= large.right[j]) & (small.high[i] >= large.low[j]) & (small.low[i] <= large.high[j])
@@ -99,8 +102,8 @@ def _first_inside(points: Shapes, which: np.ndarray, rings: Shapes, rows: np.nda
     """Whether the first point of object ``which[i]`` lies inside ring ``rows[i]`` (off its boundary)."""
     out = np.zeros(len(rows), np.int64)
     size = np.diff(rings.off)[rows]
-    for a, b in _pieces(size, _EDGES):
-        own, k = _spread(size[a:b])
+    for a, b in pieces(size, _EDGES):
+        own, k = spread(size[a:b])
         own += a
         e = rings.off[:-1][rows[own]] + k
         p = points.off[:-1][which[own]]
@@ -141,3 +144,73 @@ def line_meets(small: Shapes, large: Shapes, at: np.ndarray) -> np.ndarray:
     """At least one common point of a path (small) and a closed polygon (large)."""
     touch, _, inside = relate(small, large, at)
     return touch | inside
+
+
+class Convex:
+    """Convex polygons (counter-clockwise) of a batch: corners and the side that leaves each one."""
+
+    def __init__(self, values: np.ndarray, offsets: np.ndarray):
+        self.x, self.y, self.off = values[0::2], values[1::2], offsets // 2
+        nxt = np.arange(len(self.x)) + 1
+        some = np.diff(self.off) > 0
+        nxt[self.off[1:][some] - 1] = self.off[:-1][some]
+        self.dx, self.dy = self.x[nxt] - self.x, self.y[nxt] - self.y
+        turn = np.arctan2(self.dy, self.dx)
+        none = (self.dx == 0) & (self.dy == 0)
+        turn[none] = turn[nxt[none]]  # a side of length zero goes with the next one
+        row = np.repeat(np.arange(len(some)), np.diff(self.off))
+        self.by_turn = np.argsort(8 * row + turn, kind="stable")
+        self.turns = (8 * row + turn)[self.by_turn]
+
+    @classmethod
+    def read(cls, column: pa.Array) -> Convex:
+        """From a column of flat coordinates."""
+        if isinstance(column, pa.ChunkedArray):
+            column = column.combine_chunks()
+        size = np.asarray(column.value_lengths().fill_null(0).to_numpy(zero_copy_only=False), np.int64)
+        return cls(column.flatten().to_numpy(zero_copy_only=False).astype(np.float64), np.concatenate([[0], np.cumsum(size)]))
+
+
+def _farthest(corners: Convex, row: np.ndarray, dx: np.ndarray, dy: np.ndarray, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Greatest position, left of the line through (x, y) along (dx, dy), of a corner of polygon ``row``.
+
+    Sides turn steadily, so the farthest corner begins the first side that
+    turns past the line's reverse; its neighbours are tried too, as angles are
+    rounded.
+    """
+    low, high = corners.off[row], corners.off[row + 1]
+    at = np.searchsorted(corners.turns, 8 * row + np.arctan2(-dy, -dx))
+    top = corners.by_turn[np.where(at < high, at, low)]
+    best = np.full(len(row), -np.inf)
+    for c in (np.where(top > low, top, high) - 1, top, np.where(top + 1 < high, top + 1, low)):
+        best = np.maximum(best, dx * (corners.y[c] - y) - dy * (corners.x[c] - x))
+    return best
+
+
+def _sides(sides: Convex, corners: Convex, least: int):
+    """Sides of the rows whose polygon has ``least`` corners or more, against a polygon that has any: (rows, dx, dy, x, y, margin)."""
+    n = np.diff(sides.off)
+    live = np.flatnonzero((n >= least) & (np.diff(corners.off) > 0))
+    for a, b in pieces(n[live], _PAIRS):
+        row, k = spread(n[live[a:b]])
+        row = live[a:b][row]
+        e = sides.off[:-1][row] + k
+        dx, dy = sides.dx[e], sides.dy[e]
+        yield row, dx, dy, sides.x[e], sides.y[e], 1e-6 * (np.abs(dx) + np.abs(dy) + 1)  # the margin covers rounded corners
+
+
+def convex_apart(a: Convex, b: Convex) -> np.ndarray:
+    """Per row: some side of one polygon has the other surely beyond it; a segment has two sides."""
+    out = np.zeros(len(a.off) - 1, bool)
+    for p, q in ((a, b), (b, a)):
+        for row, dx, dy, x, y, margin in _sides(p, q, 2):
+            out[row[_farthest(q, row, dx, dy, x, y) < -margin]] = True
+    return out
+
+
+def convex_sticks_out(inner: Convex, outer: Convex) -> np.ndarray:
+    """Per row: a corner of ``inner`` surely lies outside ``outer``."""
+    out = np.zeros(len(inner.off) - 1, bool)
+    for row, dx, dy, x, y, margin in _sides(outer, inner, 3):
+        out[row[_farthest(inner, row, -dx, -dy, x, y) > margin]] = True
+    return out

@@ -63,7 +63,7 @@ def register(spark: SparkSession) -> None:
     def coded_verdict(rr: pd.Series, rcode: pd.Series, sr: pd.Series, scode: pd.Series) -> pd.Series:
         sides = [(lists.to_column(*_lists(runs)), pa.array(list(code), pa.binary())) for runs, code in ((rr, rcode), (sr, scode))]
         hit, some = np.zeros(len(rr), bool), np.zeros(len(rr), bool)
-        for row, r, s in filters.common_codes(*sides):
+        for row, r, s, _ in filters.common_words(*sides):
             some[row] = True
             hit[row[(r & s) != 0]] = True
         return pd.Series(np.where(hit, "hit", np.where(some, "unsure", "miss")))

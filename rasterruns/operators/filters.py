@@ -14,8 +14,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rasterruns.functions import codec, geometry, lists
-from rasterruns.operators.approximate import CODES, SWAP
+from rasterruns.functions import codec, lists, pairtests
+from rasterruns.functions.pairtests import pieces, spread
+from rasterruns.operators.approximate import SWAP
 from rasterruns.operators.pairstage import pair_stage
 
 ORDERS = ("CC,CK,KC", "CC,KC,CK", "CK,KC,CC", "KC,CK,CC", "CK,CC,KC", "KC,CC,CK")
@@ -192,34 +193,47 @@ def dual_within_filter(pairs: DataFrame, left: DataFrame, right: DataFrame, stri
     return pair_stage(pairs, left.select("tile_id", "oid", "cover"), right.select("tile_id", "oid", "cover", "core"), "rid", "sid", kernel, _OUT)
 
 
-def _bits_of(codes: pa.Array, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """All code bits of a side, and the first bit of each run."""
-    data = np.frombuffer(b"".join(codes.to_pylist()), np.uint8)
+#: Cells whose codes are compared in one step: 3 bits each, 57 of a word's 64, so that any shift within a byte fits.
+WORD_CELLS = 19
+_ONES = np.uint64((8**WORD_CELLS - 1) // 7)  # the lowest bit of every code
+_WORD = np.uint64(8**WORD_CELLS - 1)
+
+
+def _windows(codes: pa.Array, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The eight bytes from each byte of a side's codes on, and the first byte of each run."""
+    data = np.frombuffer(b"".join(codes.to_pylist()) + bytes(8), np.uint8)
     start = np.concatenate([[0], np.cumsum((3 * (values[1::2] - values[0::2]) + 7) // 8)])
-    return np.unpackbits(data), 8 * start
+    return np.lib.stride_tricks.sliding_window_view(data, 8), start
+
+
+def _run_lists(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Runs of a column, compressed or not."""
+    return codec.decode(column) if pa.types.is_binary(column.type) else lists.flat(column)
 
 
-def common_codes(a: tuple[pa.Array, pa.Array], b: tuple[pa.Array, pa.Array], at: np.ndarray | None = None, at_once: int = 3_000_000):
-    """Codes of the cells that both run lists hold: yields (row of each cell, a's codes, b's codes).
+def common_words(a: tuple[pa.Array, pa.Array], b: tuple[pa.Array, pa.Array], at: np.ndarray | None = None, at_once: int = 1_000_000):
+    """Aligned codes of the stretches that both run lists hold, up to WORD_CELLS cells a word.
 
-    ``a``, ``b``: columns of runs and codes; row i of ``a`` meets row ``at[i]`` of ``b``.
+    Yields (row of each word, a's words, b's words, the bits in use).  ``a``,
+    ``b``: columns of runs and codes; row i of ``a`` meets row ``at[i]`` of ``b``.
     """
-    r, s = lists.flat(a[0]), lists.flat(b[0])
+    r, s = _run_lists(a[0]), _run_lists(b[0])
     i, j, row = lists.overlapping_pairs(r, s, at)
-    (rb, r0), (sb, s0) = _bits_of(a[1], r[0]), _bits_of(b[1], s[0])
+    sides = ((*_windows(a[1], r[0]), r[0], i), (*_windows(b[1], s[0]), s[0], j))
     start = np.maximum(r[0][0::2][i], s[0][0::2][j])
     size = np.minimum(r[0][1::2][i], s[0][1::2][j]) - start
-    cum, done = np.cumsum(size), 0
-    while done < len(i):
-        end = max(done + 1, int(np.searchsorted(cum, (cum[done - 1] if done else 0) + at_once, "right")))
-        own = np.repeat(np.arange(done, end), size[done:end])
-        k = np.arange(len(own)) - np.repeat(np.cumsum(size[done:end]) - size[done:end], size[done:end])
-        out = []
-        for bits, first, values, run in ((rb, r0, r[0], i), (sb, s0, s[0], j)):
-            bit = first[run[own]] + 3 * (start[own] - values[0::2][run[own]] + k)
-            out.append(bits[bit] << 2 | bits[bit + 1] << 1 | bits[bit + 2])
-        yield row[own], *out
-        done = end
+    for c, d in pieces((size + WORD_CELLS - 1) // WORD_CELLS, at_once):
+        own, k = spread((size[c:d] + WORD_CELLS - 1) // WORD_CELLS)
+        own += c
+        first = start[own] + WORD_CELLS * k
+        unused = (3 * np.maximum(WORD_CELLS * (k + 1) - size[own], 0)).astype(np.uint64)
+        used = _WORD >> unused << unused
+        words = []
+        for window, byte, values, run in sides:
+            bit = 8 * byte[run[own]] + 3 * (first - values[0::2][run[own]])
+            word = window[bit >> 3].view(">u8").ravel().astype(np.uint64)
+            words.append((word << (bit & 7).astype(np.uint64)) >> np.uint64(7) & used)
+        yield row[own], *words, used
 
 
 def coded_filter(pairs: DataFrame, left: DataFrame, right: DataFrame, same_side: bool = False, large: str = "right") -> DataFrame:
@@ -228,12 +242,13 @@ def coded_filter(pairs: DataFrame, left: DataFrame, right: DataFrame, same_side:
     ``same_side``: both lists carry left-hand codes; one side's are swapped on
     the way.  ``large`` names the side whose lists are sent once.
     """
+    swap = np.uint64(SWAP) * _ONES
 
     def kernel(own: pa.RecordBatch, table: pa.RecordBatch, at: np.ndarray) -> pa.RecordBatch:
         hit, some = np.zeros(own.num_rows, bool), np.zeros(own.num_rows, bool)
-        for row, p, q in common_codes((own.column("p_runs"), own.column("p_code")), (table.column("q_runs"), table.column("q_code")), at):
+        for row, p, q, used in common_words((own.column("p_runs"), own.column("p_code")), (table.column("q_runs"), table.column("q_code")), at):
             some[row] = True
-            hit[row[(p & (q ^ SWAP if same_side else q)) != 0]] = True
+            hit[row[(p & ((q ^ swap) & used if same_side else q)) != 0]] = True
         return _result(own, np.where(hit, HIT, np.where(some, UNSURE, MISS)))
 
     sides = (right, left, "sid", "rid") if large == "left" else (left, right, "rid", "sid")
@@ -241,19 +256,23 @@ def coded_filter(pairs: DataFrame, left: DataFrame, right: DataFrame, same_side:
 
 
 def coded_within_filter(pairs: DataFrame, left: DataFrame, right: DataFrame) -> DataFrame:
-    """Is r within s, on coded runs (left-hand codes on r, right-hand on s)?  s's lists are sent once."""
-    kinds = {side: np.zeros(8, np.int64) for side in "RS"}
-    for side, table in CODES.items():
-        for t, c in table.items():
-            kinds[side][c] = t
+    """Is r within s, on coded runs (left-hand codes on r, right-hand on s)?  s's lists are sent once.
+
+    Types are read off a word's bits: a left-hand code lacks its first bit when
+    full and has the last one too when strong; a right-hand code lacks its
+    middle bit when full and the last one when weak.
+    """
+    one, two = np.uint64(1), np.uint64(2)
 
     def kernel(own: pa.RecordBatch, table: pa.RecordBatch, at: np.ndarray) -> pa.RecordBatch:
-        miss = ~lists.probe_contained(lists.flat(own.column("p_runs")), lists.flat(table.column("q_runs")), at)
+        miss = ~lists.probe_contained(_run_lists(own.column("p_runs")), _run_lists(table.column("q_runs")), at)
         full = np.ones(own.num_rows, bool)
-        for row, rc, sc in common_codes((own.column("p_runs"), own.column("p_code")), (table.column("q_runs"), table.column("q_code")), at):
-            rt, st = kinds["R"][rc], kinds["S"][sc]
-            miss[row[(rt == 3) & (st != 3) | (rt == 2) & (st == 1)]] = True
-            full[row[st != 3]] = False
+        for row, p, q, used in common_words((own.column("p_runs"), own.column("p_code")), (table.column("q_runs"), table.column("q_code")), at):
+            here = used & _ONES
+            partly = (q >> one) & here
+            less = (~(p >> two) & here & partly) | ((p >> two) & p & partly & ~q)
+            miss[row[less != 0]] = True
+            full[row[partly != 0]] = False
         return _result(own, np.where(miss, MISS, np.where(full, HIT, UNSURE)))
 
     return pair_stage(pairs, left.select("oid", "runs", "code"), right.select("oid", "runs", "code"), "rid", "sid", kernel, _OUT)
@@ -327,18 +346,17 @@ def local_raster_within(pairs: DataFrame, left: DataFrame, right: DataFrame) ->
     return attach(pairs, left, right, ["k", "cells"]).mapInArrow(run, _OUT)
 
 
-def _convex(batch: pa.RecordBatch, name: str) -> list[np.ndarray]:
-    return [np.array(x, np.float64).reshape(-1, 2) for x in batch.column(name).to_pylist()]
-
-
 def corner_hull_filter(pairs: DataFrame, left: DataFrame, right: DataFrame) -> DataFrame:
     """Five corners apart, or else hulls apart: miss; never a hit.  Serves polygons and lines alike."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            sides = [_convex(batch, c) for c in ("r_corners", "s_corners", "r_hull", "s_hull")]
-            apart = [geometry.convex_apart(a, b) or geometry.convex_apart(c, d) for a, b, c, d in zip(*sides, strict=True)]
-            yield _result(batch, np.where(np.array(apart, bool), MISS, UNSURE))
+            apart = np.zeros(batch.num_rows, bool)
+            for kind in ("corners", "hull"):  # hulls are compared where the corners leave it open
+                rest = np.flatnonzero(~apart)
+                a, b = (pairtests.Convex.read(batch.column(f"{side}_{kind}").take(pa.array(rest))) for side in "rs")
+                apart[rest] = pairtests.convex_apart(a, b)
+            yield _result(batch, np.where(apart, MISS, UNSURE))
 
     return attach(pairs, left, right, ["corners", "hull"]).mapInArrow(run, _OUT)
 
@@ -348,9 +366,12 @@ def corner_hull_within(pairs: DataFrame, left: DataFrame, right: DataFrame) -> D
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            sides = [_convex(batch, c) for c in ("r_hull", "s_corners", "s_hull")]
-            out = [geometry.convex_sticks_out(r, c) or geometry.convex_sticks_out(r, h) for r, c, h in zip(*sides, strict=True)]
-            yield _result(batch, np.where(np.array(out, bool), MISS, UNSURE))
+            out = np.zeros(batch.num_rows, bool)
+            for kind in ("corners", "hull"):
+                rest = np.flatnonzero(~out)
+                a, b = (pairtests.Convex.read(batch.column(c).take(pa.array(rest))) for c in ("r_hull", f"s_{kind}"))
+                out[rest] = pairtests.convex_sticks_out(a, b)
+            yield _result(batch, np.where(out, MISS, UNSURE))
 
     return attach(pairs, left, right, ["hull"], ["corners", "hull"]).mapInArrow(run, _OUT)
 

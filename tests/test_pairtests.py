@@ -1,9 +1,15 @@
 """The batch predicates equal the predicates of single pairs, touching boundaries and degenerate paths included."""
 
+import random
+
 import numpy as np
+import pyarrow as pa
 import pytest
+from hypothesis import given, settings
+from hypothesis import strategies as st
 
-from rasterruns.functions import geometry, pairtests
+from rasterruns.functions import codec, geometry, lists, pairtests
+from rasterruns.operators import approximate, filters
 
 
 def star(rnd, n, at, size):
@@ -44,3 +50,50 @@ def test_empty_rows_relate_to_nothing():
     at = np.array([0, 0, 1])
     assert pairtests.intersects(s, g, at).tolist() == [False, True, False]
     assert pairtests.within(s, g, at).tolist() == [False, True, False]
+
+
+@settings(max_examples=60, deadline=None)
+@given(seed=st.integers(0, 10_000))
+def test_convex_batches_equal_single_pairs(seed):
+    rnd = random.Random(seed)
+    point = lambda: [rnd.randint(1, 30), rnd.randint(1, 30)]
+    hulls = [geometry.convex_hull(np.array([point() for _ in range(rnd.randint(1, 9))])) for _ in range(40)] + [np.zeros((0, 2), np.int64)]
+    sides = [[rnd.choice(hulls) for _ in range(30)] for _ in "ab"]
+    a, b = (pairtests.Convex.read(pa.array([h.ravel().tolist() for h in side], pa.list_(pa.int64()))) for side in sides)
+    some = [len(x) > 0 and len(y) > 0 for x, y in zip(*sides, strict=True)]
+    assert pairtests.convex_apart(a, b).tolist() == [ok and geometry.convex_apart(x, y) for ok, x, y in zip(some, *sides, strict=True)]
+    assert pairtests.convex_sticks_out(a, b).tolist() == [ok and geometry.convex_sticks_out(x, y) for ok, x, y in zip(some, *sides, strict=True)]
+
+
+@settings(max_examples=60, deadline=None)
+@given(seed=st.integers(0, 10_000), at_once=st.sampled_from([1, 7, 1_000_000]))
+def test_words_hold_the_codes_of_common_cells(seed, at_once):
+    """Aligned words against codes looked up cell by cell, for long runs at any shift, compressed or not."""
+    rnd = random.Random(seed)
+
+    def side(n: int, name: str):
+        rows, runs, code = [], [], []
+        for _ in range(n):
+            at, cells, ends, data = rnd.randint(0, 40), {}, [], b""
+            for _ in range(rnd.randint(0, 6)):
+                size = rnd.choice([1, 2, 3, 18, 19, 20, 57, 130])
+                kind = np.array([rnd.randint(1, 3) for _ in range(size)])
+                cells |= {at + k: approximate.CODES[name][t] for k, t in enumerate(kind.tolist())}
+                data += approximate.pack_codes(kind, np.zeros(size, np.int64), np.array([size]), name)[0].tobytes()
+                ends += [at, at + size]
+                at += size + rnd.randint(1, 60)
+            rows.append(cells), runs.append(ends), code.append(data)
+        return rows, pa.array(runs, pa.list_(pa.int64())), pa.array(code, pa.binary())
+
+    (r, r_runs, r_code), (s, s_runs, s_code) = side(20, "R"), side(5, "S")
+    at = np.array([rnd.randrange(5) for _ in r])
+    packed = codec.encode(*lists.flat(r_runs))
+    for runs in (r_runs, packed):
+        got: dict[int, list] = {}
+        for row, p, q, used in filters.common_words((runs, r_code), (s_runs, s_code), at, at_once):
+            for i, x, y, u in zip(row.tolist(), p.tolist(), q.tolist(), used.tolist(), strict=True):
+                n = u.bit_count() // 3
+                got.setdefault(i, []).extend((x >> 3 * (18 - k) & 7, y >> 3 * (18 - k) & 7) for k in range(n))
+        for i, cells in enumerate(r):
+            other = s[at[i]]
+            assert got.get(i, []) == [(cells[h], other[h]) for h in sorted(cells.keys() & other.keys())]
