@@ -5,6 +5,8 @@ A byte below 128 ends a value.
 
 from __future__ import annotations
 
+import zlib
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column
@@ -60,6 +62,17 @@ def decode(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return total - np.repeat(base, np.diff(offsets)), offsets
 
 
+def deflate(column: pa.Array) -> pa.Array:
+    """Each binary after a byte that says how it is kept: 1 deflated, 0 as it is, where deflating doesn't shorten it."""
+    small = ((x, zlib.compress(x, 6)) for x in column.to_pylist())
+    return pa.array([b"\x01" + z if len(z) < len(x) else b"\x00" + x for x, z in small], pa.binary())
+
+
+def inflate(column: pa.Array) -> pa.Array:
+    """The inverse of ``deflate`` (nulls as empty binaries)."""
+    return pa.array([(zlib.decompress(x[1:]) if x[0] else x[1:]) if x else b"" for x in column.to_pylist()], pa.binary())
+
+
 class Cursor:
     """Decodes a coded list block by block, so that a merge can stop before the end."""
 

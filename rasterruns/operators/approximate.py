@@ -146,8 +146,11 @@ def pack_codes(kind: np.ndarray, run_of: np.ndarray, size: np.ndarray, side: str
     return np.packbits(bits), start
 
 
-def build_coded(layer: DataFrame, grid: GridSpec, side: str = "R", clip_all: bool = False) -> DataFrame:
-    """``(oid, runs, code, side)``: flat run bounds, and the runs' codes one after the other."""
+def build_coded(layer: DataFrame, grid: GridSpec, side: str = "R", clip_all: bool = False, compressed: bool = False) -> DataFrame:
+    """``(oid, runs, code, side)``: flat run bounds, and the runs' codes one after the other.
+
+    ``compressed``: bounds as a binary of gaps, codes deflated where that shortens them.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -158,20 +161,23 @@ def build_coded(layer: DataFrame, grid: GridSpec, side: str = "R", clip_all: boo
                 data, start = pack_codes(kind, np.repeat(np.arange(len(size)), size), size, side)
                 cut = start[off // 2].astype(np.int32)
                 code = pa.Array.from_buffers(pa.binary(), part.n, [None, pa.py_buffer(cut.tobytes()), pa.py_buffer(data.tobytes())])
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), lists.to_column(values, off), code, pa.array([side] * part.n)], names=["oid", "runs", "code", "side"])
+                both = (codec.encode(values, off), codec.deflate(code)) if compressed else (lists.to_column(values, off), code)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), *both, pa.array([side] * part.n)], names=["oid", "runs", "code", "side"])
 
-    return layer.select("oid", "ring").mapInArrow(run, "oid long, runs array<bigint>, code binary, side string")
+    return layer.select("oid", "ring").mapInArrow(run, f"oid long, runs {'binary' if compressed else 'array<bigint>'}, code binary, side string")
 
 
 def cell_codes(coded: DataFrame) -> DataFrame:
-    """``(oid, hid, code)`` of every cell of coded runs, read back from the packed bytes."""
+    """``(oid, hid, code)`` of every cell of coded runs (compressed or not), read back from the packed bytes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            values, off = lists.flat(batch.column("runs"))
+            packed = pa.types.is_binary(batch.column("runs").type)
+            values, off = codec.decode(batch.column("runs")) if packed else lists.flat(batch.column("runs"))
+            codes = codec.inflate(batch.column("code")) if packed else batch.column("code")
             size = values[1::2] - values[0::2]
             first = np.concatenate([[0], np.cumsum((3 * size + 7) // 8)])[:-1]
-            bits = np.unpackbits(np.frombuffer(b"".join(batch.column("code").to_pylist()), np.uint8))
+            bits = np.unpackbits(np.frombuffer(b"".join(codes.to_pylist()), np.uint8))
             run_of = np.repeat(np.arange(len(size)), size)
             k = np.arange(len(run_of)) - np.repeat(np.cumsum(size) - size, size)
             at = 8 * first[run_of] + 3 * k

@@ -215,11 +215,13 @@ def common_words(a: tuple[pa.Array, pa.Array], b: tuple[pa.Array, pa.Array], at:
     """Aligned codes of the stretches that both run lists hold, up to WORD_CELLS cells a word.
 
     Yields (row of each word, a's words, b's words, the bits in use).  ``a``,
-    ``b``: columns of runs and codes; row i of ``a`` meets row ``at[i]`` of ``b``.
+    ``b``: columns of runs and codes, compressed or not; row i of ``a`` meets
+    row ``at[i]`` of ``b``.
     """
     r, s = _run_lists(a[0]), _run_lists(b[0])
     i, j, row = lists.overlapping_pairs(r, s, at)
-    sides = ((*_windows(a[1], r[0]), r[0], i), (*_windows(b[1], s[0]), s[0], j))
+    codes = (codec.inflate(x[1]) if pa.types.is_binary(x[0].type) else x[1] for x in (a, b))
+    sides = ((*_windows(next(codes), r[0]), r[0], i), (*_windows(next(codes), s[0]), s[0], j))
     start = np.maximum(r[0][0::2][i], s[0][0::2][j])
     size = np.minimum(r[0][1::2][i], s[0][1::2][j]) - start
     for c, d in pieces((size + WORD_CELLS - 1) // WORD_CELLS, at_once):

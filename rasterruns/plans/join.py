@@ -15,7 +15,7 @@ from rasterruns.operators.refine import refine
 from rasterruns.operators.tiles import Tiles, assign, raster_boxes, uniform_tiles
 from rasterruns.runtime import materialize
 
-METHODS = ("dual", "dual_compressed", "coded", "local_raster", "corner_hull", "direct")
+METHODS = ("dual", "dual_compressed", "coded", "coded_compressed", "local_raster", "corner_hull", "direct")
 #: The method guesses of merge_order="auto": proving a hit first pays where boxes are of unlike size.
 AUTO_RATIO = 64
 
@@ -38,8 +38,8 @@ def approximate_layer(layer: DataFrame, method: str, side: str, grid: GridSpec,
     """The approximation of a layer that a method needs."""
     if method in ("dual", "dual_compressed"):
         return approximate.build_dual(layer, grid, construction, compressed=method == "dual_compressed")
-    if method == "coded":
-        return approximate.build_coded(layer, grid, side)
+    if method in ("coded", "coded_compressed"):
+        return approximate.build_coded(layer, grid, side, compressed=method == "coded_compressed")
     if method == "local_raster":
         return approximate.build_local_raster(layer, max_cells)
     if method == "corner_hull":
@@ -64,7 +64,7 @@ def verdicts(pairs: DataFrame, left: DataFrame, right: DataFrame, predicate: str
     """Filter candidate pairs by a method; ``approx`` gives stored approximations instead of building them."""
     if method not in METHODS:
         raise ValueError(f"unknown method {method}")
-    if predicate == "line" and method in ("coded", "local_raster"):
+    if predicate == "line" and method in ("coded", "coded_compressed", "local_raster"):
         raise ValueError(f"{method} isn't offered for lines: a strong cell proves nothing about a path")
     if method == "direct":
         return filters.no_filter(pairs)
@@ -84,10 +84,10 @@ def verdicts(pairs: DataFrame, left: DataFrame, right: DataFrame, predicate: str
             a, b = approximate.decompress(a), approximate.decompress(b)
         if method.startswith("dual"):
             return filters.dual_within_filter(pairs, a, b, strict, order_left, order_right)
-        return {"coded": filters.coded_within_filter, "local_raster": filters.local_raster_within, "corner_hull": filters.corner_hull_within}[method](pairs, a, b)
+        return {"coded": filters.coded_within_filter, "coded_compressed": filters.coded_within_filter, "local_raster": filters.local_raster_within, "corner_hull": filters.corner_hull_within}[method](pairs, a, b)
     if method.startswith("dual"):
         return filters.dual_filter(pairs, a, b, merge_order, method == "dual_compressed", order_left=order_left, order_right=order_right, large=larger_side(left, right))
-    if method == "coded":
+    if method.startswith("coded"):
         return filters.coded_filter(pairs, a, b, large=larger_side(left, right))
     return {"local_raster": filters.local_raster_filter, "corner_hull": filters.corner_hull_filter}[method](pairs, a, b)
 

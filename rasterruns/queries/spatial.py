@@ -170,6 +170,12 @@ for _side in "RS":
     query(f"coded_run_codes_{_side.lower()}", f"{_TYPES} SELECT oid, {hilbert.duckdb_hilbert('cx', 'cy', FINE)} AS hid, CASE type {_code} END AS code FROM sites_types")(lambda spark, d, s=_side: approximate.cell_codes(approximate.build_coded(layer(spark, d, "sites"), GridSpec(FINE), s)))
 
 
+@query("coded_codes_inflated", f"{_TYPES} SELECT oid, {hilbert.duckdb_hilbert('cx', 'cy', FINE)} AS hid, CASE type {' '.join(f'WHEN {k} THEN {v}' for k, v in approximate.CODES['R'].items())} END AS code FROM sites_types")
+def _(spark, d):
+    """Codes of all cells, read back from compressed coded runs."""
+    return approximate.cell_codes(approximate.build_coded(layer(spark, d, "sites"), GridSpec(FINE), compressed=True))
+
+
 @query("coded_runs", _runs_sql("sites", FINE).replace("SELECT oid, list, min(h) AS st, max(h) + 1 AS en FROM marked GROUP BY oid, list, g", "SELECT oid, min(h) AS st, max(h) + 1 AS en FROM marked WHERE list = 'cover' GROUP BY oid, g"))
 def _(spark, d):
     coded = approximate.build_coded(layer(spark, d, "sites"), GridSpec(FINE))
@@ -333,6 +339,11 @@ def _(spark, d):
     return _verdicts(spark, d, *PAIRS["sites_counties"], method="coded").select("rid", "sid", "verdict")
 
 
+@query("coded_filter_compressed", oracle.coded_verdicts('sites', 'counties', COARSE) + _ALL)
+def _(spark, d):
+    return _verdicts(spark, d, *PAIRS["sites_counties"], method="coded_compressed").select("rid", "sid", "verdict")
+
+
 @query("coded_filter_swapped", oracle.coded_verdicts('sites', 'counties', COARSE) + _ALL)
 def _(spark, d):
     a, b = (layer(spark, d, x) for x in ("sites", "counties"))
@@ -483,9 +494,6 @@ def _(spark, d):
     return text.select("oid", F.posexplode(wkt.from_wkt(F.col("wkt"))).alias("i", "p")).select("oid", F.col("i").cast("long").alias("i"), "p.x", "p.y")
 
 
-query("scan_mbr_pruned", SQL["selection_mbr"])(Q["selection_mbr"])
-
-
 @query("scan_pruned_lists", _runs_sql("sites", FINE).replace("SELECT oid, list, min(h)", ", runs AS (SELECT oid, list, min(h)") + ") SELECT oid, count(*) AS n FROM runs WHERE list = 'cover' GROUP BY oid")
 def _(spark, d):
     stored = materialize(approximate.build_dual(layer(spark, d, "sites"), GridSpec(FINE)))
@@ -507,3 +515,9 @@ def _(spark, d):
     v = layer(spark, d, "sites").select("oid", F.posexplode("ring").alias("i", "p"))
     ring = F.array_sort(F.collect_list(F.struct("i", "p")))
     return v.groupBy("oid").agg(ring.alias("r")).select("oid", F.array_join(F.transform("r", lambda e: F.concat_ws(" ", e["p"]["x"], e["p"]["y"])), ",").alias("points"))
+
+
+@query("join_blobs_sites")
+def _(spark, d):
+    """Spiky stars with sites: the dual filter on irregular shapes, then the exact test."""
+    return join.spatial_join(layer(spark, d, "blobs"), layer(spark, d, "sites"), grid=GridSpec(COARSE)).pairs.select("rid", "sid")

@@ -9,7 +9,6 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
-_made: list = []
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -46,7 +45,7 @@ def materialize(df: DataFrame) -> DataFrame:
             spark.conf.set(_CLEANUP, before)
     out = spark.read.schema(df.schema).parquet(path)
     out._cut_path = path
-    _made.append((spark, path))
+    atexit.register(_sweep, spark, path)  # no module variable holds a session: kernels are pickled with their modules
     return out
 
 
@@ -58,10 +57,8 @@ def release(*frames: DataFrame) -> None:
             _delete(df.sparkSession, path)
 
 
-@atexit.register
-def _sweep() -> None:
-    for spark, path in _made:
-        try:
-            _delete(spark, path)
-        except Exception:  # the session has ended; its folder belongs to the cluster
-            return
+def _sweep(spark: SparkSession, path: str) -> None:
+    try:
+        _delete(spark, path)
+    except Exception:  # the session has ended; its folder belongs to the cluster
+        return

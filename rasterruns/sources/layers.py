@@ -127,8 +127,13 @@ def load_layer(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def load_blobs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Spiky stars: 64 radii from each embedding's components, centres spread like the other layers'."""
-    rows = spark.read.parquet(f"{sf_dir}/embeddings.parquet").where(F.size("embedding") == 64)
+    """Spiky stars: 64 radii from each embedding's components, centres spread like the other layers'.
+
+    Vectors of another length or with a component that is null, not finite or
+    beyond 1 make no shape (a star must stay inside the domain).
+    """
+    whole = F.forall("embedding", lambda e: F.coalesce(F.abs(e.cast("double")) <= 1, F.lit(False)))  # NaN counts as greater
+    rows = spark.read.parquet(f"{sf_dir}/embeddings.parquet").where((F.size("embedding") == 64) & whole)
     dx, dy = (F.array(*[F.lit(v).cast("long") for v in d]) for d in directions(64))
     kk = F.col("vec_id") + 10 * _LAYER_STEP
     m = 5000

@@ -1,9 +1,10 @@
 """Every method gives the same result, verdicts are sound, and the plans are the ones meant."""
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from rasterruns.functions import sql
+from rasterruns.functions import geometry, sql
 from rasterruns.grid import GridSpec
 from rasterruns.operators import approximate, filters, mbr, pairstage, tiles
 from rasterruns.operators.refine import refine
@@ -36,7 +37,7 @@ def test_methods_agree_and_are_sound(layers, predicate, r, s):
     a, b = layers[r], layers[s]
     truth = pairs(refine(mbr.mbr_join(a, b), a, b, predicate))
     for m in join.METHODS:
-        if predicate == "line" and m in ("coded", "local_raster"):
+        if predicate == "line" and m in ("coded", "coded_compressed", "local_raster"):
             with pytest.raises(ValueError):
                 join.spatial_join(a, b, predicate, m)
             continue
@@ -49,9 +50,9 @@ def test_methods_agree_and_are_sound(layers, predicate, r, s):
 
 def test_dual_and_coded(layers):
     a, b = layers["sites"], layers["ponds"]
-    got = {m: verdicts(join.spatial_join(a, b, method=m, grid=GridSpec(11)).verdicts) for m in ("dual", "coded", "dual_compressed")}
+    got = {m: verdicts(join.spatial_join(a, b, method=m, grid=GridSpec(11)).verdicts) for m in ("dual", "coded", "dual_compressed", "coded_compressed")}
     of = lambda m, x: {p for p, v in got[m].items() if v == x}
-    assert of("dual", "miss") == of("coded", "miss") and of("dual", "hit") <= of("coded", "hit") and got["dual"] == got["dual_compressed"]
+    assert of("dual", "miss") == of("coded", "miss") and of("dual", "hit") <= of("coded", "hit") and got["dual"] == got["dual_compressed"] and got["coded"] == got["coded_compressed"]
     swapped = filters.coded_filter(mbr.mbr_join(a, b).drop("tile_id"), *(approximate.build_coded(x, GridSpec(11), "R") for x in (a, b)), same_side=True)
     assert verdicts(swapped) == got["coded"]
 
@@ -263,3 +264,20 @@ def test_stream_static_selection_equals_the_batch(spark, layers, tmp_path):
         else:
             pairs = join.spatial_join(layers["counties"], tracks.as_paths(held), "line", "direct").pairs
             assert got == {(r.rid, r.sid) for r in pairs.collect()} and got
+
+
+def test_spiky_stars(spark, layers):
+    """Irregular shapes: constructions give equal lists, and every method the brute-force join."""
+    blobs, sites = materialize(load_layer(spark, SF01, "blobs")), layers["sites"]
+    assert blobs.count() == spark.read.parquet(f"{SF01}/embeddings.parquet").count()
+    first = [{r.oid: (r.cover, r.core) for r in approximate.build_dual(blobs, GridSpec(10), m).collect()} for m in ("onestep_neighbours", "scanline")]
+    assert first[0] == first[1]
+    rings = {n: [(r.oid, np.array([(p.x, p.y) for p in r.ring])) for r in x.select("oid", "ring").collect()] for n, x in (("a", blobs), ("b", sites))}
+    boxes = [(o, ring, ring.min(0), ring.max(0)) for o, ring in rings["b"]]
+    truth = set()
+    for o, ring in rings["a"]:
+        low, high = ring.min(0), ring.max(0)
+        truth |= {(o, p) for p, other, lo, hi in boxes if (low <= hi).all() and (lo <= high).all() and geometry.polygons_intersect(ring, other)}
+    assert truth
+    for m in ("dual", "coded", "corner_hull"):
+        assert pairs(join.spatial_join(blobs, sites, method=m, grid=GridSpec(11)).pairs) == truth, m

@@ -87,10 +87,11 @@ def test_words_hold_the_codes_of_common_cells(seed, at_once):
 
     (r, r_runs, r_code), (s, s_runs, s_code) = side(20, "R"), side(5, "S")
     at = np.array([rnd.randrange(5) for _ in r])
-    packed = codec.encode(*lists.flat(r_runs))
-    for runs in (r_runs, packed):
+    packed = codec.encode(*lists.flat(r_runs)), codec.deflate(r_code)
+    assert codec.inflate(packed[1]).equals(r_code)
+    for mine in ((r_runs, r_code), packed):
         got: dict[int, list] = {}
-        for row, p, q, used in filters.common_words((runs, r_code), (s_runs, s_code), at, at_once):
+        for row, p, q, used in filters.common_words(mine, (s_runs, s_code), at, at_once):
             for i, x, y, u in zip(row.tolist(), p.tolist(), q.tolist(), used.tolist(), strict=True):
                 n = u.bit_count() // 3
                 got.setdefault(i, []).extend((x >> 3 * (18 - k) & 7, y >> 3 * (18 - k) & 7) for k in range(n))
