@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from rasterruns.operators.timejoin import as_of_join
+from rasterruns.runtime import shared_file
 from rasterruns.streaming import tracks
 
 Q: dict = {}
@@ -174,10 +175,22 @@ _sql("stream_tumbling", "SELECT unix_timestamp(window(ts, '1 hour').start) AS st
 _sql("stream_sliding", "SELECT unix_timestamp(window(ts, '2 hours', '1 hour').start) AS start_s, count(*) AS n FROM {events} GROUP BY window(ts, '2 hours', '1 hour')", "SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) - 3600 * o AS start_s, count(*) AS n FROM events, (VALUES (0), (1)) t(o) GROUP BY ALL")
 _sql("stream_session", "SELECT user_id, unix_timestamp(session_window(ts, '6 hours').start) AS start_s, count(*) AS n FROM {events} GROUP BY user_id, session_window(ts, '6 hours')", """WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
 s AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, CAST(floor(epoch(min(ts))) AS BIGINT) AS start_s, count(*) AS n FROM s GROUP BY user_id, k""")
-_sql("stream_dedup", "SELECT user_id, event_type, CAST(date_trunc('day', ts) AS DATE) AS day FROM {events} GROUP BY ALL")
 _sql("stream_interval_join", "SELECT a.event_id AS click, b.event_id AS purchase FROM {events} a JOIN {events} b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 10 MINUTES", "SELECT a.event_id AS click, b.event_id AS purchase FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 10 MINUTE")
 
 
+@_query("stream_dedup", "SELECT DISTINCT user_id, event_type, CAST(date_trunc('day', ts) AS DATE) AS day FROM events")
+def _(spark, d):
+    """One row a user, event type and day, by a stream that runs until its input is read; the watermark spans the table."""
+    source = f"{d}/events.parquet"
+    span = spark.read.parquet(source).agg(F.coalesce(F.datediff(F.max("ts"), F.min("ts")), F.lit(0))).first()[0]
+    stream = spark.readStream.schema(spark.read.parquet(source).schema).parquet(f"{source}*")
+    keys = ["user_id", "event_type", "day"]
+    rows = tracks.deduplicated(stream.withColumn("day", F.to_date("ts")), "ts", keys, f"{span + 1} days").select(*keys)
+    out = shared_file(spark, "stream")
+    rows.writeStream.format("parquet").option("path", f"{out}/rows").option("checkpointLocation", f"{out}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(rows.schema).parquet(f"{out}/rows")
+
+
 @_query("stream_track_segments")
 def _(spark, d):
     """Segments between successive events of a user, by the batch form of the stateful stream."""

@@ -11,8 +11,8 @@ from rasterruns.operators import approximate, cells, filters, mbr, measures, til
 from rasterruns.operators.refine import refine
 from rasterruns.plans import join
 from rasterruns.queries import oracle
-from rasterruns.runtime import materialize
-from rasterruns.sources import wkt
+from rasterruns.runtime import materialize, shared_file
+from rasterruns.sources import store, wkt
 from rasterruns.sources.layers import duckdb_layer, load_layer
 
 #: Orders at which the oracles enumerate cells.
@@ -494,6 +494,14 @@ def _(spark, d):
     return text.select("oid", F.posexplode(wkt.from_wkt(F.col("wkt"))).alias("i", "p")).select("oid", F.col("i").cast("long").alias("i"), "p.x", "p.y")
 
 
+@query("scan_mbr_pruned", SQL["selection_mbr"])
+def _(spark, d):
+    """The window over the stored layer, sorted by box corner: row groups outside it are skipped."""
+    path = shared_file(spark, "layer")
+    store.write_layer(layer(spark, d, "ponds"), path)
+    return mbr.window(store.read_layer(spark, path), _BOX).select("oid")
+
+
 @query("scan_pruned_lists", _runs_sql("sites", FINE).replace("SELECT oid, list, min(h)", ", runs AS (SELECT oid, list, min(h)") + ") SELECT oid, count(*) AS n FROM runs WHERE list = 'cover' GROUP BY oid")
 def _(spark, d):
     stored = materialize(approximate.build_dual(layer(spark, d, "sites"), GridSpec(FINE)))

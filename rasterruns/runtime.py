@@ -26,6 +26,13 @@ def _delete(spark: SparkSession, path: str) -> None:
     target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
 
 
+def shared_file(spark: SparkSession, kind: str) -> str:
+    """A new path in the shared folder, deleted when this process ends."""
+    path = f"{shared_dir(spark)}/{kind}-{uuid.uuid4().hex}"
+    atexit.register(_sweep, spark, path)  # no module variable holds a session: kernels are pickled with their modules
+    return path
+
+
 def materialize(df: DataFrame) -> DataFrame:
     """Write ``df`` as Parquet into the shared folder and read it back.
 
@@ -33,7 +40,7 @@ def materialize(df: DataFrame) -> DataFrame:
     released when it ends.
     """
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/cut-{uuid.uuid4().hex}"
+    path = shared_file(spark, "cut")
     before = spark.conf.get(_CLEANUP, None)
     try:
         spark.conf.set(_CLEANUP, "true")
@@ -45,7 +52,6 @@ def materialize(df: DataFrame) -> DataFrame:
             spark.conf.set(_CLEANUP, before)
     out = spark.read.schema(df.schema).parquet(path)
     out._cut_path = path
-    atexit.register(_sweep, spark, path)  # no module variable holds a session: kernels are pickled with their modules
     return out
 
 
