@@ -53,3 +53,25 @@ def test_joins_write_no_pairs(spark, sf_dir, monkeypatch):
         monkeypatch.setattr(module, "materialize", stop)
     got = join.spatial_join(a, b, grid=GridSpec(11))
     assert got.pairs.count() and got.verdicts.where(F.col("verdict") == "hit").count()
+
+
+def test_blocks_of_many_rows_equal_one_cursor_a_row():
+    import numpy as np
+
+    from rasterruns.functions import codec
+    from rasterruns.operators import filters
+
+    rng = np.random.default_rng(5)
+    size = np.array([0, 2, 400, 90, 6, 250])
+    sides = []
+    for _ in range(2):
+        values = np.concatenate([np.sort(rng.choice(200_000, n, replace=False)) for n in size])
+        sides.append(codec.encode(values, np.concatenate([[0], np.cumsum(size)])))
+    i, j = (x.ravel() for x in np.meshgrid(np.arange(6), np.arange(6)))
+    a, b = codec.Cursors(sides[0], i, 20), codec.Cursors(sides[1], j, 20)
+    got = filters._blockwise_overlap(a, b, len(i))
+    for k in range(len(i)):
+        x, y = codec.Cursor(sides[0][int(i[k])].as_py(), 20), codec.Cursor(sides[1][int(j[k])].as_py(), 20)
+        assert got[k] == codec.cursors_overlap(x, y)
+        assert (a.read[k], b.read[k]) == (x.read, y.read)
+    assert got.any() and not got.all()
