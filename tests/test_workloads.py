@@ -69,3 +69,24 @@ def test_compression_runs_on_all_pairs(spark, sf_dir):
         assert {k: v[0] for k, v in x["whole"].items()} == {k: v[0] for k, v in x["plain"].items()}
         assert all(x["whole"][k][1] < x["plain"][k][1] for k in x["whole"])
     assert all(r.reads_less for r in workloads.Q["w15_incremental"](spark, sf_dir).collect())
+
+
+def test_examples_read_the_sites(spark, sf_dir):
+    from rasterruns.grid import GridSpec
+    from rasterruns.queries.spatial import FINE, layer
+
+    rows = workloads.Q["w16_examples"](spark, sf_dir).collect()
+    cells = approximate.coverage_cells(layer(spark, sf_dir, "sites"), GridSpec(FINE)).count()
+    assert sum(r.n for r in rows) == cells > 0
+    assert all(r.swaps for r in rows) and {r.code: r.shares_bit for r in rows} == {0b100: False, 0b101: True, 0b011: True}
+
+
+def test_worked_examples_of_packing_and_alignment():
+    import numpy as np
+
+    from rasterruns.operators import filters
+
+    data, _ = approximate.pack_codes(np.array([1, 2, 1]), np.zeros(3, np.int64), np.array([3]), "R")
+    assert "".join(map(str, np.unpackbits(data)[:9].tolist())) == "100101100"
+    pack = lambda bits: int(bits.ljust(16, "0"), 2).to_bytes(2, "big")
+    assert not filters.aligned_and(pack("100101101101"), pack("100100101100"), 6, 6, swap=True)
