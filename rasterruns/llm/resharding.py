@@ -8,7 +8,9 @@ blocks: below, at and above that size.  A block's rows may stay (cost 0) or move
 size has one size only).  The flow is solved on the block table, three rows an
 old shard whatever the data; it also decides which shards take one row more.
 A transfer names a stretch of ranks of one block, so each row finds its shard
-by a join with a small table, and only rows on the move are rewritten.
+by a join with a small table.  ``lay_out`` stores documents as folders
+``shard=N``; ``reshard_files`` places the stored rows, replaces the files of the
+shards that give or take rows and leaves the others alone.
 
 Defined results: null text has 0 bytes; equal texts, repeated ids and null ids
 are rows like any other and are dealt out as such, so a text that makes up a
@@ -19,16 +21,18 @@ from __future__ import annotations
 
 import heapq
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from rasterruns.llm.common import materialize, release, salted_rank
-from rasterruns.runtime import _delete
+from rasterruns.runtime import _delete, released_shuffles
 
 #: Bytes that every document takes besides its text.
 OVERHEAD = 16
 SALTS = 64
+#: The codec of stored shards.
+CODEC = "zstd"
 
 
 class FlowNetwork:
@@ -141,6 +145,40 @@ def _surplus_ends(rows: DataFrame, shards: int) -> DataFrame:
     return reach.where((surplus > 0) & (F.col("upto") >= surplus)).groupBy("old_shard").agg(F.min("size").alias("edge"))
 
 
+def _size(text: Column) -> Column:
+    return F.coalesce(F.octet_length(text), F.lit(0)).cast("long") + OVERHEAD
+
+
+def _crc(text: Column) -> Column:
+    return F.crc32(F.coalesce(text, F.lit("")).cast("binary"))
+
+
+def _salt(key: str) -> Column:
+    return F.pmod(F.xxhash64(key, F.lit(1)), F.lit(SALTS))
+
+
+def _ranked(rows: DataFrame, shards: int) -> tuple[DataFrame, list[tuple[int, int, int, int, int]]]:
+    """``rows(key, size, text_crc32, old_shard, ...)`` with kind and rank in its block, and the transfers of the blocks."""
+    edges = F.broadcast(_surplus_ends(rows, shards))  # one row an old shard
+    rows = rows.join(edges, "old_shard", "left").withColumn("kind", F.when(F.col("size") < F.col("edge"), 0).when(F.col("size") == F.col("edge"), 1).otherwise(2)).drop("edge")
+    blocks = [tuple(r) for r in rows.groupBy("old_shard", "kind").agg(F.count(F.lit(1)), F.sum("size")).orderBy("old_shard", "kind").collect()]
+    return salted_rank(rows, ["old_shard", "kind"], [F.col("key"), F.col("text_crc32")], _salt("key"), "_rank", few=True), plan_transfers(blocks, shards)
+
+
+def _placed(ranked: DataFrame, transfers: list[tuple[int, int, int, int, int]]) -> DataFrame:
+    """Add shard and slot: the transfers into a shard stand one after the other, so its slots are gapless from 0."""
+    filled: dict[int, int] = {}
+    table = []
+    for t in transfers:
+        table.append((*t, filled.get(t[4], 0)))
+        filled[t[4]] = table[-1][5] + t[3] - t[2]
+    schema = T.StructType([T.StructField(n, t()) for n, t in (("_s", T.IntegerType), ("_c", T.IntegerType), ("_from", T.LongType), ("_to", T.LongType), ("shard", T.IntegerType), ("_base", T.LongType))])
+    moves = F.broadcast(ranked.sparkSession.createDataFrame(table, schema))  # at most blocks + shards rows, a bound free of the data
+    rank = F.col("_rank")
+    placed = ranked.join(moves, (F.col("old_shard") == F.col("_s")) & (F.col("kind") == F.col("_c")) & (rank >= F.col("_from")) & (rank < F.col("_to")))
+    return placed.withColumn("slot", F.col("_base") + rank - F.col("_from")).drop("kind", "_rank", "_s", "_c", "_from", "_to", "_base")
+
+
 def reshard(docs: DataFrame, old_shards: int = 32, shards: int = 40, key: str = "doc_id", text: str = "text", old: str | None = None) -> DataFrame:
     """Place all rows of ``docs`` into ``shards`` shards of equal row counts (law ``rows``).
 
@@ -150,20 +188,63 @@ def reshard(docs: DataFrame, old_shards: int = 32, shards: int = 40, key: str =
     grown_shard (null under this law), old_shard, moved.
     """
     present = docs[old] if old else F.pmod(F.xxhash64(docs[key]), F.lit(old_shards))
-    size = F.coalesce(F.octet_length(docs[text]), F.lit(0)).cast("long") + OVERHEAD
-    rows = materialize(docs.select(docs[key].alias("key"), size.alias("size"), F.crc32(F.coalesce(docs[text], F.lit("")).cast("binary")).alias("text_crc32"), present.cast("int").alias("old_shard")))
-    edges = F.broadcast(_surplus_ends(rows, shards))  # one row an old shard
-    rows = rows.join(edges, "old_shard", "left").withColumn("kind", F.when(F.col("size") < F.col("edge"), 0).when(F.col("size") == F.col("edge"), 1).otherwise(2))
-    blocks = [tuple(r) for r in rows.groupBy("old_shard", "kind").agg(F.count(F.lit(1)), F.sum("size")).orderBy("old_shard", "kind").collect()]
-    schema = T.StructType([T.StructField(n, t()) for n, t in (("_s", T.IntegerType), ("_c", T.IntegerType), ("_from", T.LongType), ("_to", T.LongType), ("shard", T.IntegerType))])
-    transfers = docs.sparkSession.createDataFrame(plan_transfers(blocks, shards), schema)
-    salt = F.pmod(F.xxhash64("key", F.lit(1)), F.lit(SALTS))
-    ranked = salted_rank(rows, ["old_shard", "kind"], [F.col("key"), F.col("text_crc32")], salt, "_rank")
-    # transfers: at most blocks + shards rows, a bound free of the data
-    placed = ranked.join(F.broadcast(transfers), (F.col("old_shard") == F.col("_s")) & (F.col("kind") == F.col("_c")) & (F.col("_rank") >= F.col("_from")) & (F.col("_rank") < F.col("_to")))
-    placed = materialize(placed.select("key", "size", "text_crc32", "shard", "old_shard"))
-    slots = salted_rank(placed, ["shard"], [F.col("key"), F.col("text_crc32")], salt, "slot")
-    return slots.select(F.col("key").alias(key), "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "old_shard", (F.col("shard") != F.col("old_shard")).alias("moved"))
+    rows = materialize(docs.select(docs[key].alias("key"), _size(docs[text]).alias("size"), _crc(docs[text]).alias("text_crc32"), present.cast("int").alias("old_shard")))
+    placed = _placed(*_ranked(rows, shards))
+    return placed.select(F.col("key").alias(key), "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "old_shard", (F.col("shard") != F.col("old_shard")).alias("moved"))
+
+
+def _write(rows: DataFrame, path: str) -> None:
+    """Replace the folders ``shard=N`` of the shards in ``rows``; the shuffle files are released when the job ends."""
+    with released_shuffles(rows.sparkSession):
+        rows.write.option("partitionOverwriteMode", "dynamic").option("compression", CODEC).mode("overwrite").partitionBy("shard").parquet(path)
+
+
+def lay_out(docs: DataFrame, path: str, shards: int = 32, key: str = "doc_id", text: str = "text") -> None:
+    """Store ``docs`` as folders ``shard=N`` by a hash of the key, with a ``slot`` that is gapless from 0 in a shard."""
+    if clash := {"shard", "slot"} & set(docs.columns):
+        raise ValueError(f"columns {sorted(clash)} are taken by the layout")
+    rows = docs.withColumn("shard", F.pmod(F.xxhash64(key), F.lit(shards)).cast("int"))
+    _write(salted_rank(rows, ["shard"], [F.col(key), _crc(F.col(text))], _salt(key), "slot", few=True), path)
+
+
+def stored(spark: SparkSession, path: str, schema: T.StructType | None = None) -> DataFrame:
+    """The rows of a folder of shards; ``schema`` reads a folder that may hold no row."""
+    return (spark.read.schema(schema) if schema else spark.read).parquet(path)
+
+
+def reshard_files(docs: DataFrame, path: str, shards: int = 40, key: str = "doc_id", text: str = "text") -> None:
+    """Bring the folders under ``path``, whose rows (with shard and slot) are ``docs``, to ``shards`` shards of equal row counts.
+
+    Rows travel once, with their text, from their old shard's folder to the
+    new one; no key need be unique.  Shards that neither give nor take rows keep
+    their files; of the others the folders are replaced when all new files are
+    written, or deleted when no row is left.
+    """
+    own = [c for c in docs.columns if c not in ("shard", "slot")]
+    rows = docs.select(F.struct(*own).alias("row"), F.col(key).alias("key"), _size(F.col(text)).alias("size"), _crc(F.col(text)).alias("text_crc32"), F.col("shard").alias("old_shard"))
+    ranked, transfers = _ranked(rows, shards)
+    before, after = {t[0] for t in transfers}, {t[4] for t in transfers}
+    changed = {s for t in transfers if t[0] != t[4] for s in (t[0], t[4])}
+    if not changed:
+        return
+    placed = _placed(ranked, transfers).where(F.col("shard").isin(sorted(changed & after)))
+    _write(placed.select("row.*", "slot", "shard"), path)
+    for shard in sorted(before - after):
+        _delete(docs.sparkSession, f"{path}/shard={shard}")
+
+
+def digests(docs: DataFrame, path: str, old_shards: int = 32, shards: int = 40, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """Lay ``docs`` out over ``old_shards``, reshard the files, and read each row's place, size and checksum back from them.
+
+    Columns as ``reshard`` gives them.
+    """
+    spark = docs.sparkSession
+    lay_out(docs, path, old_shards, key, text)
+    schema = T.StructType([T.StructField(f.name, f.dataType) for f in docs.schema] + [T.StructField("slot", T.LongType()), T.StructField("shard", T.IntegerType())])
+    reshard_files(stored(spark, path, schema), path, shards, key, text)
+    got = stored(spark, path, schema)
+    old = F.pmod(F.xxhash64(key), F.lit(old_shards)).cast("int")
+    return got.select(key, _size(F.col(text)).alias("size"), _crc(F.col(text)).alias("text_crc32"), F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), old.alias("old_shard"), (F.col("shard") != old).alias("moved"))
 
 
 def rewrite_affected(docs: DataFrame, placement: DataFrame, path: str, key: str = "doc_id") -> None:
