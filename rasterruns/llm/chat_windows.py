@@ -6,7 +6,7 @@ between the same two multiples of the span along the sums share a window, and a
 turn that crosses a multiple has a window of its own.  Each window repeats the
 leading system turn and, as far as the budget still allows, a limited history
 of the turns just before it, so a window never exceeds the budget unless the
-system turn and one turn alone do.  Repeated turns are context, outside the loss
+system turn and one turn alone do (with ``charged``, the default).  Repeated turns are context, outside the loss
 mask, so each assistant text is under the mask once.
 
 Template: a turn is ``<turn:n>`` (new) or ``<turn:c>`` (context), the role, a
@@ -51,9 +51,13 @@ def unescape(text: Column) -> Column:
     return text
 
 
-def format_windows(turns: DataFrame, budget: int = BUDGET, history_tokens: int = HISTORY_TOKENS, history_turns: int = HISTORY_TURNS) -> DataFrame:
+def format_windows(turns: DataFrame, budget: int = BUDGET, history_tokens: int = HISTORY_TOKENS, history_turns: int = HISTORY_TURNS, charged: bool = True) -> DataFrame:
     """``turns(conv_id, turn, role, text)`` -> one row per window.
 
+    ``charged``: what a window repeats is charged to its budget, which then
+    holds.  Otherwise turns that start within the same half budget share a
+    window and repeats come on top, so that a window may exceed ``budget``.
+
     Columns: conv_id, window (from 1), text, loss (array of start, length in
     characters), n_new, n_context, tokens.  One shuffle, by conversation; rows
     hold the turns of one window.
@@ -68,13 +72,14 @@ def format_windows(turns: DataFrame, budget: int = BUDGET, history_tokens: int =
     t = t.withColumn("system", F.first(F.when(F.col("is_system"), cost).otherwise(F.lit(0))).over(line))
     t = t.withColumn("tokens", F.when(F.col("is_system"), F.lit(0)).otherwise(cost).cast("long"))
     t = t.withColumn("start", F.coalesce(F.sum("tokens").over(line.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
-    width = F.greatest(F.lit(budget - history_tokens) - F.col("system"), F.lit(1))
+    width = F.greatest(F.lit(budget - history_tokens) - F.col("system") if charged else F.lit(budget // 2), F.lit(1))
     t = t.withColumn("span", F.floor(F.col("start") / width))
-    t = t.withColumn("crosses", (F.col("tokens") > 0) & (F.floor((F.col("start") + F.col("tokens") - 1) / width) > F.col("span")))
+    t = t.withColumn("crosses", F.lit(charged) & (F.col("tokens") > 0) & (F.floor((F.col("start") + F.col("tokens") - 1) / width) > F.col("span")))
     opens = (F.col("span") != F.lag("span").over(line)) | F.col("crosses") | F.lag("crosses").over(line)
     t = t.withColumn("opens", F.coalesce(opens, F.lit(True)).cast("int"))
     t = t.withColumn("win", F.sum("opens").over(line.rowsBetween(Window.unboundedPreceding, 0)).cast("int"))
-    t = t.withColumn("room", F.least(F.lit(history_tokens), F.lit(budget) - F.col("system") - F.sum("tokens").over(Window.partitionBy("conv_id", "win"))))
+    free = F.lit(budget) - F.col("system") - F.sum("tokens").over(Window.partitionBy("conv_id", "win"))
+    t = t.withColumn("room", F.least(F.lit(history_tokens), free) if charged else F.lit(history_tokens))
     for k in range(1, history_turns + 1):
         t = t.withColumn(f"w{k}", F.lead("win", k).over(line)).withColumn(f"s{k}", F.lead("start", k).over(line)).withColumn(f"r{k}", F.lead("room", k).over(line))
     t = t.withColumn("last_win", F.max("win").over(Window.partitionBy("conv_id")))
