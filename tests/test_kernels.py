@@ -211,3 +211,43 @@ def test_upscale_rule():
     key, kind = filters.upscale(np.zeros(6, np.int64), np.array([0, 0, 1, 1, 2, 3]), np.array([0, 1, 0, 1, 0, 0]), np.array([3, 3, 3, 3, 3, 2]), np.ones(6, np.int64))
     assert kind.tolist() == [3, 1]
     assert isinstance(pa.array(key), pa.Array)
+
+
+def test_exact_cell_areas_equal_clipping():
+    """Areas of random rings in cells, against clipping at the cell's four sides; shares add up to the ring."""
+    from fractions import Fraction
+
+    from rasterruns.operators import rasterize
+
+    def clipped(ring, x0, y0, s):
+        pts = [(Fraction(x), Fraction(y)) for x, y in ring]
+        for axis, limit, turn in ((0, x0, 1), (0, x0 + s, -1), (1, y0, 1), (1, y0 + s, -1)):
+            out = []
+            for q, p in zip(pts[-1:] + pts[:-1], pts, strict=True):
+                a, c = turn * (q[axis] - limit), turn * (p[axis] - limit)
+                if (a >= 0) != (c >= 0):
+                    out.append(tuple(q[k] + a / (a - c) * (p[k] - q[k]) for k in (0, 1)))
+                if c >= 0:
+                    out.append(p)
+            pts = out
+        return abs(sum(q[0] * p[1] - p[0] * q[1] for q, p in zip(pts[-1:] + pts[:-1], pts, strict=True))) / 2
+
+    rng = np.random.default_rng(11)
+    for _ in range(40):
+        a = np.sort(rng.random(7)) * 2 * np.pi
+        ring = [(int(40 + r * np.cos(t)), int(40 + r * np.sin(t))) for r, t in zip(rng.integers(3, 30, 7), a, strict=True)]
+        for ring_ in (ring, ring[::-1]):
+            got = {(x, y): rasterize._clip_exact(ring_, x, y, 8) for x in range(0, 80, 8) for y in range(0, 80, 8)}
+            assert all(v == clipped(ring_, *k, 8) for k, v in got.items())
+
+
+def test_exact_areas_touch_few_edges(monkeypatch):
+    """Edges outside the cell's rows or left of it cost no rational: a ring of many edges takes a handful."""
+    from rasterruns.operators import rasterize
+
+    made = []
+    real = rasterize.Fraction
+    monkeypatch.setattr(rasterize, "Fraction", lambda *a: made.append(a) or real(*a))
+    t = np.linspace(0, 2 * np.pi, 400, endpoint=False)
+    ring = [(int(x), int(y)) for x, y in zip(1000 + 900 * np.cos(t), 1000 + 900 * np.sin(t), strict=True)]
+    assert rasterize._clip_exact(ring, 1000, 1000, 16) == 256 and len(made) < 10
