@@ -75,3 +75,35 @@ def test_blocks_of_many_rows_equal_one_cursor_a_row():
         assert got[k] == codec.cursors_overlap(x, y)
         assert (a.read[k], b.read[k]) == (x.read, y.read)
     assert got.any() and not got.all()
+
+
+@pytest.mark.parametrize("method", ["coded", "corner_hull", "local_raster", "direct"])
+def test_shares_count_in_the_stage(spark, sf_dir, method):
+    """The shares read counts of chunks, not a row a pair, and equal the counts of all verdicts."""
+    a, b = (spatial.layer(spark, sf_dir, x) for x in ("sites", "ponds"))
+    got = join.spatial_join(a, b, method=method, grid=GridSpec(11))
+    want = {x.verdict: x["count"] for x in got.verdicts.groupBy("verdict").count().collect()}
+    assert {x.verdict: x.n for x in got.stats().collect()} == want
+    assert 0 < got.counts.count() < sum(want.values())
+    assert got.counts.columns == ["verdict", "n"]
+
+
+def test_coded_lists_are_decoded_once_an_object(spark, sf_dir, monkeypatch):
+    import numpy as np
+    import pyarrow as pa
+
+    from rasterruns.functions import codec
+    from rasterruns.operators import approximate, filters
+
+    a, b = (approximate.build_coded(spatial.layer(spark, sf_dir, x), GridSpec(8), side, compressed=True).select("runs", "code").limit(40).toArrow().combine_chunks().to_batches()[0] for x, side in (("sites", "R"), ("counties", "S")))
+    i, j = (x.ravel() for x in np.meshgrid(np.arange(a.num_rows), np.arange(b.num_rows)))
+    zero = pa.array(np.zeros(len(i), np.int64))
+    ids = pa.RecordBatch.from_arrays([zero, pa.array(i), pa.array(j)], names=["tile_id", "rid", "sid"])
+    read, decode = [], codec.decode
+    monkeypatch.setattr(codec, "decode", lambda column: (read.append(len(column)), decode(column))[1])
+    kernel = filters.coded_kernel()
+    halves = [kernel(ids.slice(x, len(i) // 2), a, i[x:][: len(i) // 2], b, j[x:][: len(i) // 2]).column("verdict").to_pylist() for x in (0, len(i) // 2)]
+    assert sum(read) == a.num_rows + b.num_rows
+    plain = pa.RecordBatch.from_arrays([*ids.columns, *(c.take(pa.array(i)) for c in a.columns)], names=[*ids.schema.names, "p_runs", "p_code"])
+    assert halves[0] + halves[1] == filters._of_pairs(filters.coded_kernel())(plain, b.rename_columns(["q_runs", "q_code"]), j).column("verdict").to_pylist()
+    assert {"miss", "unsure"} <= {*halves[0], *halves[1]}

@@ -98,3 +98,25 @@ def test_words_hold_the_codes_of_common_cells(seed, at_once):
         for i, cells in enumerate(r):
             other = s[at[i]]
             assert got.get(i, []) == [(cells[h], other[h]) for h in sorted(cells.keys() & other.keys())]
+
+
+@settings(max_examples=40, deadline=None)
+@given(seed=st.integers(0, 10_000))
+def test_pairs_of_table_rows_equal_pair_by_pair(seed):
+    """Rings long enough for many strips; small rows stand once in the table however many pairs they have."""
+    rng = np.random.default_rng(seed)
+    stars = lambda n, size, r: [ring(rng, size, r) for _ in range(n)]
+    small, large = stars(6, 9, 40), stars(3, 200, 160)
+    own, at = (x.ravel() for x in np.meshgrid(np.arange(6), np.arange(3)))
+    s, g = shapes(small), shapes(large)
+    strips = g.strips
+    assert (strips.n == pairtests.STRIPS).all() and sorted(strips.edges[strips.start[0] :].tolist()) == list(range(600))
+    assert pairtests.intersects(s, g, at, own).tolist() == [geometry.polygons_intersect(small[i], large[k]) for i, k in zip(own, at, strict=True)]
+    assert pairtests.within(s, g, at, own).tolist() == [geometry.polygon_within(small[i], large[k]) for i, k in zip(own, at, strict=True)]
+
+
+def ring(rng, n: int, r: int) -> np.ndarray:
+    """A star around a random centre."""
+    turn = 2 * np.pi * np.arange(n) / n
+    radius = r * rng.uniform(0.6, 1, n)
+    return np.round(rng.integers(200, 500, 2) + np.stack([radius * np.cos(turn), radius * np.sin(turn)], 1)).astype(np.int64)
