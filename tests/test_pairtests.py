@@ -120,3 +120,34 @@ def ring(rng, n: int, r: int) -> np.ndarray:
     turn = 2 * np.pi * np.arange(n) / n
     radius = r * rng.uniform(0.6, 1, n)
     return np.round(rng.integers(200, 500, 2) + np.stack([radius * np.cos(turn), radius * np.sin(turn)], 1)).astype(np.int64)
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_strips_settle_points_and_boxes(seed, monkeypatch):
+    """A strip's edges decide a point as the whole ring does; a box beside a ring's strips shares no point with it."""
+    monkeypatch.setattr(pairtests, "_EDGES", 50)
+    rng = np.random.default_rng(seed)
+    rings = [ring(rng, n, r) for n, r in ((3, 40), (20, 90), (256, 150))] + [np.array([[200, 200], [300, 200], [300, 203], [200, 203]])]
+    g = shapes(rings)
+    at = rng.integers(0, len(rings), 600)
+    x, y = rng.integers(0, 700, (2, 600))
+    got = g.strips.inside(x, y, at)
+    cross = [sum((a[1] > q) != (b[1] > q) and ((b[0] - a[0]) * (q - a[1]) - (p - a[0]) * (b[1] - a[1]) > 0) == (b[1] > a[1]) for a, b in zip(rings[k], np.roll(rings[k], -1, 0), strict=True)) for p, q, k in zip(x, y, at, strict=True)]
+    assert got.tolist() == [n % 2 == 1 for n in cross] and got.any()
+    box = np.stack([x, y, x + rng.integers(0, 60, 600), y + rng.integers(0, 60, 600)], 1)
+    beside = g.strips.beside(box, at)
+    meets = [geometry.polygons_intersect(b[[0, 1, 2, 1, 2, 3, 0, 3]].reshape(4, 2), rings[k]) for b, k in zip(box, at, strict=True)]
+    assert beside.any() and not (beside & np.array(meets)).any()
+
+
+def test_edges_are_compared_only_where_points_leave_it_open(monkeypatch):
+    rng = np.random.default_rng(3)
+    g = shapes([ring(rng, 256, 150)])
+    middle = g.pts.mean(0).astype(np.int64)
+    square = np.array([[0, 0], [9, 0], [9, 9], [0, 9]])
+    half = g.pts[g.pts[:, 0].argmax()] - [0, 4] + square - [9, 0]  # has the ring's rightmost point on its side
+    small = shapes([middle + square, middle + square + [400, 0], half])
+    seen, close = [], pairtests._close_edges
+    monkeypatch.setattr(pairtests, "_close_edges", lambda s, own, large, at: (seen.extend(own.tolist()), close(s, own, large, at))[1])
+    assert pairtests.intersects(small, g, np.zeros(3, np.int64)).tolist() == [True, False, True]
+    assert set(seen) <= {2}
