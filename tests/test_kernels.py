@@ -251,3 +251,24 @@ def test_exact_areas_touch_few_edges(monkeypatch):
     t = np.linspace(0, 2 * np.pi, 400, endpoint=False)
     ring = [(int(x), int(y)) for x, y in zip(1000 + 900 * np.cos(t), 1000 + 900 * np.sin(t), strict=True)]
     assert rasterize._clip_exact(ring, 1000, 1000, 16) == 256 and len(made) < 10
+
+
+@pytest.mark.parametrize("table", [40, 2_000_000])
+def test_hulls_and_corners_of_a_batch_equal_one_by_one(table, monkeypatch):
+    """Empty, single, repeated and collinear points, and rings of unlike sizes; no object is built by itself any more."""
+    rng = np.random.default_rng(5)
+    rings = [np.zeros((0, 2), np.int64), np.array([[3, 4]]), np.array([[3, 4]] * 3), np.array([[1, 1], [5, 5], [3, 3]]), np.array([[7, 2], [7, 9], [7, 2]])]
+    rings += [rng.integers(0, 12, (n, 2)) for n in rng.integers(1, 30, 60)]
+    turn = 2 * np.pi * np.arange(90) / 90
+    rings += [np.stack([np.cos(turn), np.sin(turn)], 1)[:n] * rng.uniform(5e4, 9e4) // 1 + 200_000 for n in (7, 30, 90)]
+    rings = [r.astype(np.int64) for r in rings]
+    hulls = [geometry.convex_hull(r).reshape(-1, 2) for r in rings]
+    fives = [geometry.five_corners(h) for h in hulls]
+    monkeypatch.setattr(geometry, "_TABLE", table)
+    for one in ("convex_hull", "five_corners"):
+        monkeypatch.setattr(geometry, one, lambda *_: pytest.fail("built by itself"))
+    column = pa.array([[{"x": x, "y": y} for x, y in r.tolist()] for r in rings], pa.list_(pa.struct([("x", pa.int64()), ("y", pa.int64())])))
+    batch = pa.RecordBatch.from_arrays([pa.array(np.arange(len(rings))), column], names=["oid", "ring"])
+    (got,) = approximate.hull_rows(iter([batch]))
+    assert got.column("hull").to_pylist() == [h.ravel().tolist() for h in hulls]
+    assert got.column("corners").to_pylist() == [f.ravel().tolist() for f in fives]

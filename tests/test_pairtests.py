@@ -151,3 +151,20 @@ def test_edges_are_compared_only_where_points_leave_it_open(monkeypatch):
     monkeypatch.setattr(pairtests, "_close_edges", lambda s, own, large, at: (seen.extend(own.tolist()), close(s, own, large, at))[1])
     assert pairtests.intersects(small, g, np.zeros(3, np.int64)).tolist() == [True, False, True]
     assert set(seen) <= {2}
+
+
+@pytest.mark.parametrize("seed,size", [(0, 12), (1, 40), (2, 3)])
+def test_hull_verdicts_of_table_rows_equal_single_pairs(seed, size, monkeypatch):
+    """Boxes and corners settle most pairs of hulls before sides are compared, degenerate hulls not; verdicts stay."""
+    rng = np.random.default_rng(seed)
+    rings = lambda n, r: [ring(rng, rng.integers(3, size + 1), r) for _ in range(n)] + [np.array([[300, 300]]), np.array([[300, 300], [330, 330]]), np.array([[340, 340], [350, 350]]), np.zeros((0, 2), np.int64)]
+    sides = [[geometry.convex_hull(r).reshape(-1, 2) for r in rings(n, r)] for n, r in ((60, 12), (8, 120))]
+    tables = [pa.RecordBatch.from_arrays([pa.array([f(h).ravel().tolist() for h in x], pa.list_(kind)) for f, kind in ((geometry.five_corners, pa.float64()), (lambda h: h, pa.int64()))], names=["corners", "hull"]) for x in sides]
+    i, j = (x.ravel() for x in np.meshgrid(*(np.arange(t.num_rows) for t in tables)))
+    ids = pa.RecordBatch.from_arrays([pa.array(np.zeros(len(i), np.int32)), pa.array(i), pa.array(j)], names=["tile_id", "rid", "sid"])
+    compared, apart = [], pairtests.convex_apart
+    monkeypatch.setattr(pairtests, "convex_apart", lambda a, b, p, q: (compared.append(len(p)), apart(a, b, p, q))[1])
+    got = filters.hull_kernel("intersects", "right")(ids, tables[0], i, tables[1], j).column("verdict").to_pylist()
+    want = [len(sides[0][a]) > 0 and len(sides[1][b]) > 0 and geometry.convex_apart(sides[0][a], sides[1][b]) for a, b in zip(i, j, strict=True)]
+    assert got == ["miss" if x else "unsure" for x in want] and {*got} == {"miss", "unsure"}
+    assert sum(compared) < len(i)
