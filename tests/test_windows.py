@@ -92,3 +92,15 @@ def test_a_join_by_local_rasters_profiles_each_layer_once(spark, sf_dir, monkeyp
     monkeypatch.setattr(mbr, "Profile", lambda *x: (made.append(x), real(*x))[1])
     join.spatial_join(a, b, method="local_raster", grid=GridSpec(11))
     assert len(made) == 2
+
+
+def test_centres_are_computed_by_batch(spark, sf_dir):
+    """No hash is a Column expression (each repeats its argument four times), and the stage reads coordinates without a lambda."""
+    from rasterruns.sources.layers import load_layer
+
+    got = {x: load_layer(spark, sf_dir, x) for x in ("ponds", "parks")}
+    for df in got.values():
+        assert "2246822519" not in df._jdf.queryExecution().optimizedPlan().toString()
+    a, b = (spatial.layer(spark, sf_dir, x) for x in ("sites", "ponds"))
+    plan = join.box_verdicts(a, b, method="local_raster")._jdf.queryExecution().optimizedPlan().toString()
+    assert ".x, ring#" in plan and "MapInArrow" in plan
